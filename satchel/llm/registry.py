@@ -3,11 +3,17 @@
 from __future__ import annotations
 
 from .bpe_codec import op5_bpe_codec
+from .id_shards import op10_id_shards
+from .quality_rules import op3_quality_rules
 from .token_counts import op8_token_counts
+from .toxicity import op4_toxicity
 
 QUERIES = {
+    "op3_quality_rules": op3_quality_rules,
+    "op4_toxicity": op4_toxicity,
     "op5_bpe_codec": op5_bpe_codec,
     "op8_token_counts": op8_token_counts,
+    "op10_id_shards": op10_id_shards,
 }
 
 SQL: dict[str, str] = {}
