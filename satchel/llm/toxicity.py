@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from .common import ship, table
 
 BUCKET_BITS, FEATURES, FACTORS = 22, 2048, 8
-SAMPLE_ROWS, EPOCHS, BATCH, RATE, SHRINK, FEWEST = 20_000, 12, 256, 0.1, 1e-4, 4
+SAMPLE_ROWS, STEPS, BATCH, RATE, SHRINK, FEWEST = 20_000, 1500, 256, 0.3, 1e-4, 4
 MEMO_ENTRIES = 400_000
 #: Lower-cases ASCII letters; everything else in ASCII separates. Other bytes stay, so accented words stay whole.
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -86,7 +86,7 @@ def fit(labels: np.ndarray, lists: list[np.ndarray], seed: int = 7) -> Machine:
     m = len(best)
     bias, w, v = math.log(toxic / (n - toxic)), np.zeros(m), rng.normal(0, 0.05, (m, FACTORS))
     gb, gw, gv = 1e-2, np.full(m, 1e-2), np.full((m, FACTORS), 1e-2)
-    for _ in range(EPOCHS):
+    for _ in range(-(-STEPS * BATCH // n)):
         order = rng.permutation(n)
         for k in range(0, n, BATCH):
             chosen = order[k : k + BATCH]
