@@ -4,19 +4,23 @@ from __future__ import annotations
 
 from .bpe_codec import op5_bpe_codec
 from .id_shards import op10_id_shards
+from .mixing import OP7_SQL, op7_source_mix
+from .pii import op1_private_data
 from .quality_rules import op3_quality_rules
 from .token_counts import op8_token_counts
 from .toxicity import op4_toxicity
 
 QUERIES = {
+    "op1_private_data": op1_private_data,
     "op3_quality_rules": op3_quality_rules,
     "op4_toxicity": op4_toxicity,
     "op5_bpe_codec": op5_bpe_codec,
+    "op7_source_mix": op7_source_mix,
     "op8_token_counts": op8_token_counts,
     "op10_id_shards": op10_id_shards,
 }
 
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {"op7_source_mix": OP7_SQL}
 
 
 def queries() -> dict:
