@@ -9,9 +9,11 @@ from .pii import op1_private_data
 from .quality_rules import op3_quality_rules
 from .token_counts import op8_token_counts
 from .toxicity import op4_toxicity
+from .warc import OP2_SQL, op2_warc
 
 QUERIES = {
     "op1_private_data": op1_private_data,
+    "op2_warc": op2_warc,
     "op3_quality_rules": op3_quality_rules,
     "op4_toxicity": op4_toxicity,
     "op5_bpe_codec": op5_bpe_codec,
@@ -20,7 +22,7 @@ QUERIES = {
     "op10_id_shards": op10_id_shards,
 }
 
-SQL: dict[str, str] = {"op7_source_mix": OP7_SQL}
+SQL: dict[str, str] = {"op2_warc": OP2_SQL, "op7_source_mix": OP7_SQL}
 
 
 def queries() -> dict:
