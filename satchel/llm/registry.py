@@ -8,6 +8,7 @@ from .mixing import OP7_SQL, op7_source_mix
 from .pii import op1_private_data
 from .quality_rules import op3_quality_rules
 from .token_counts import op8_token_counts
+from .topk import OP9_SQL, op9_top_products
 from .toxicity import op4_toxicity
 from .warc import OP2_SQL, op2_warc
 
@@ -19,10 +20,11 @@ QUERIES = {
     "op5_bpe_codec": op5_bpe_codec,
     "op7_source_mix": op7_source_mix,
     "op8_token_counts": op8_token_counts,
+    "op9_top_products": op9_top_products,
     "op10_id_shards": op10_id_shards,
 }
 
-SQL: dict[str, str] = {"op2_warc": OP2_SQL, "op7_source_mix": OP7_SQL}
+SQL: dict[str, str] = {"op2_warc": OP2_SQL, "op7_source_mix": OP7_SQL, "op9_top_products": OP9_SQL}
 
 
 def queries() -> dict:
