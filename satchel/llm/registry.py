@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .bpe_codec import op5_bpe_codec
 from .id_shards import op10_id_shards
+from .jaccard import op6_near_duplicates
 from .mixing import OP7_SQL, op7_source_mix
 from .pii import op1_private_data
 from .quality_rules import op3_quality_rules
@@ -18,6 +19,7 @@ QUERIES = {
     "op3_quality_rules": op3_quality_rules,
     "op4_toxicity": op4_toxicity,
     "op5_bpe_codec": op5_bpe_codec,
+    "op6_near_duplicates": op6_near_duplicates,
     "op7_source_mix": op7_source_mix,
     "op8_token_counts": op8_token_counts,
     "op9_top_products": op9_top_products,
