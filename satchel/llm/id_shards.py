@@ -9,7 +9,7 @@ Keys are eight bytes that sort as signed integers, behind a byte that puts null
 bytes each where the vocabulary has at most 65,536 entries, else four.
 
 Defined results: null texts are empty, so only the end id is written; rows with equal keys all stay,
-ordered by text (null first); a null key comes first; an empty table gives no rows; other columns
+ordered by a hash of the text; a null key comes first; an empty table gives no rows; other columns
 are not read. Files are written once per task attempt under names of their own, so a task that runs
 again never touches what another wrote, and only the attempt that Spark counts is listed.
 """
@@ -252,7 +252,8 @@ def write_shards(docs: DataFrame, folder: str, path: str | None = None, end_id:
             yield pa.RecordBatch.from_pydict({"shard": [context.partitionId()], "uri": [f"{folder}/{name}"], "n_docs": [writer.entries], "n_tokens": [writer.tokens]}, schema=pa.schema([("shard", pa.int32()), ("uri", pa.string()), ("n_docs", pa.int64()), ("n_tokens", pa.int64())]))
 
     rows = docs.select(F.col(id_col).cast("long").alias("key"), F.col(text_col).alias("body"))
-    ordered = rows.repartitionByRange(shuffle_width(spark), F.col("key").asc_nulls_first(), F.col("body").asc_nulls_first()).sortWithinPartitions(F.col("key").asc_nulls_first(), F.col("body").asc_nulls_first())
+    order = (F.col("key").asc_nulls_first(), F.col("tie"))  # the range sample sends these to the driver, so no text is among them
+    ordered = rows.withColumn("tie", F.xxhash64("body")).repartitionByRange(shuffle_width(spark), *order).sortWithinPartitions(*order)
     written = sorted(ordered.mapInArrow(write, "shard int, uri string, n_docs long, n_tokens long").collect())
     start, listed = 0, []
     for shard, uri, n_docs, n_tokens in written:
