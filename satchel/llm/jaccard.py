@@ -148,7 +148,7 @@ def signatures(h: np.ndarray) -> np.ndarray:
         if not apart:
             continue  # only equal sets
         m, deletion = allocation(band)
-        salt = U(band) * C1
+        salt = U(band * int(C1) & (1 << 64) - 1)
         token = mix(h ^ salt)
         segment = ((token >> U(32)) * U(m)) >> U(32)
         order = np.argsort(segment, kind="stable")
