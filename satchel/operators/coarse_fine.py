@@ -64,6 +64,9 @@ class FineLimits:
     seconds: float = 600.0
     hybrid_groups: int = 16
     columns: int = 100_000
+    repeats: int = 6  # of one remedy
+    gap: float = 1e-4  # of coarse and fine programs
+    nodes: int = 5_000
 
 
 @dataclass
@@ -328,7 +331,7 @@ def coarse_fine(part: Partitioning, q: PackageQuery, limits: FineLimits = FineLi
     begin = time.perf_counter()
     analyze(part.df.drop("gid"), q)
     t = translate(part.df, q)
-    solver = solver or BranchAndBound(SolverLimits(seconds=limits.seconds))
+    solver = solver or BranchAndBound(SolverLimits(seconds=limits.seconds, gap=limits.gap, nodes=limits.nodes))
     translated = time.perf_counter()
     out = PackageResult(q, part.df.drop("gid"), SolveStatus.INFEASIBLE)
     out.timing["translate"] = translated - begin
@@ -339,7 +342,7 @@ def coarse_fine(part: Partitioning, q: PackageQuery, limits: FineLimits = FineLi
     for remedy in remedies:
         if out.found or out.status is SolveStatus.UNBOUNDED or remedy == "hybrid":
             continue
-        for _ in range(6):
+        for _ in range(limits.repeats):
             if remedy == "smaller_tau":
                 if current.tau <= 1:
                     break
@@ -355,7 +358,7 @@ def coarse_fine(part: Partitioning, q: PackageQuery, limits: FineLimits = FineLi
                 current = current.merge()
             _attempt(current, t, q, out, counters, solver, limits, order, seed, False, rep_mode, budget, parallel, width)
             out.attempts.append(remedy)
-            if out.found or remedy != "merge":
+            if out.found:
                 break
     out.counters = {"solves": counters.solves, "backtracks": counters.backtracks, "nodes": counters.nodes, "largest": counters.largest}
     out.timing["total"] = time.perf_counter() - begin

@@ -15,6 +15,8 @@ from pyspark.sql import functions as F
 
 from ..lang.ast import INF
 from ..plans.coefficients import Translation
+from ..solve.problem import IlpProblem
+from ..solve.simplex import Simplex
 
 
 @dataclass
@@ -42,14 +44,21 @@ def dual_value(frame: DataFrame, t: Translation, lam: np.ndarray) -> tuple[float
     return sign * (row["v"] + paid), np.array([row[f"r{k}"] for k in range(len(lo))])
 
 
-def dual_bound(frame: DataFrame, t: Translation, rounds: int = 8, size: float | None = None) -> Dual:
-    """frame needs finite ub (REPEAT given). size: expected package size, to scale steps."""
+def multipliers_of(p: IlpProblem) -> np.ndarray | None:
+    """Multipliers from a small program that stands for the large one, such as the coarse problem."""
+    r = Simplex(p.A, p.lo, p.hi, p.minimized()).solve(np.zeros(p.n), p.upper)
+    return -r.duals if r.status == "optimal" else None
+
+
+def dual_bound(frame: DataFrame, t: Translation, rounds: int = 8, start: np.ndarray | None = None) -> Dual:
+    """frame needs finite ub (REPEAT given). start: multipliers to begin with."""
     sign = 1.0 if t.query.sense == "max" else -1.0
     lo, hi = t.lo(0), t.hi(0)
-    lam, best, at = np.zeros(len(lo)), INF, np.zeros(len(lo))
+    lam = np.zeros(len(lo)) if start is None else np.where(np.isinf(hi), np.minimum(start, 0), np.where(np.isinf(lo), np.maximum(start, 0), start))
+    best, at = INF, lam
     scale = frame.agg(F.stddev("obj").alias("o"), *(F.coalesce(F.stddev(f"c_{i}") + F.avg(F.abs(f"c_{i}")), F.lit(1.0)).alias(f"s{k}") for k, i in enumerate(t.branches[0]))).first()
     unit = np.array([scale[f"s{k}"] or 1.0 for k in range(len(lo))])
-    step = float(scale["o"] or 1.0)
+    step = float(scale["o"] or 1.0) * (1.0 if start is None else 0.02)
     for r in range(rounds):
         value, used = dual_value(frame, t, lam)
         if sign * value < best:
@@ -64,6 +73,36 @@ def dual_bound(frame: DataFrame, t: Translation, rounds: int = 8, size: float |
     return Dual(sign * best, at, rounds)
 
 
+def column_generation(frame: DataFrame, t: Translation, start: np.ndarray | None = None, rounds: int = 6, width: int = 2000) -> Dual:
+    """The relaxation's bound: a program over the most promising tuples gives multipliers, which find more such tuples.
+
+    Each round collects at most width tuples and runs one aggregation; it ends early when no other tuple could help.
+    """
+    sign = 1.0 if t.query.sense == "max" else -1.0
+    lam = np.zeros(len(t.branches[0])) if start is None else start
+    pool: dict[int, tuple] = {}
+    best, at, done = INF, lam, 0
+    for done in range(1, rounds + 1):
+        value, _ = dual_value(frame, t, lam)
+        if sign * value < best:
+            best, at = sign * value, lam
+        gain = _margin(t, lam, sign)
+        before = len(pool)
+        some = [c for i in t.branches[0] for c in (F.struct((-F.col(f"c_{i}")).alias("v"), "tid"),)] if not pool and start is None else []
+        for order in (gain.desc(), *(c.asc() for c in some)):
+            for r in frame.orderBy(order, "tid").limit(width).collect():
+                pool[r.tid] = (r.obj, r.ub, *(r[f"c_{i}"] for i in t.branches[0]))
+        if len(pool) == before:
+            break
+        x = np.array(list(pool.values()), float)
+        p = IlpProblem(x[:, 2:].T, t.lo(0), t.hi(0), x[:, 0], x[:, 1], t.query.sense, np.arange(len(x)))
+        found = multipliers_of(p)
+        if found is None:
+            break
+        lam = found
+    return Dual(sign * best, at, done)
+
+
 def prune_columns(frame: DataFrame, t: Translation, dual: Dual, incumbent: float) -> DataFrame:
     """Tuples that some better package than the incumbent could still use."""
     sign = 1.0 if t.query.sense == "max" else -1.0
@@ -76,3 +115,36 @@ def certified_ratio(objective: float, bound: float, sense: str) -> float | None:
     if objective <= 0 or bound <= 0:
         return None
     return bound / objective if sense == "max" else objective / bound
+
+
+def pruned_whole_solve(part, q, limits=None):
+    """The exact optimum of a large relation: coarse-fine gives a package, column generation a bound, and only tuples that
+    the two don't rule out are collected and solved. Needs REPEAT and one alternative; part is a Partitioning."""
+    from ..package.result import PackageResult
+    from ..plans.coefficients import branch_problem, coefficient_frame, collect_columns, limits_columns, translate
+    from ..scratch import stored
+    from ..solve.branch import BranchAndBound
+    from ..solve.problem import SolverLimits, SolveStatus
+    from .coarse_fine import coarse_fine, coarse_frame, load_coarse
+
+    limits = limits or SolverLimits()
+    t = translate(part.df, q)
+    if q.repeat is None or len(t.branches) != 1:
+        raise ValueError("needs a REPEAT bound and a condition without alternatives")
+    known = coarse_fine(part, q)
+    if not known.found:
+        return known
+    frame = stored(coefficient_frame(part.df, t), "coefficients")
+    centres = load_coarse(coarse_frame(part, t), t, 1 << 20)
+    dual = column_generation(frame, t, multipliers_of(centres.problem(t, 0)))
+    left = prune_columns(frame, t, dual, known.objective)
+    data = collect_columns(left, t, limits_columns(limits, t))
+    s = BranchAndBound(limits).solve(branch_problem(t, 0, *data))
+    out = PackageResult(q, part.df.drop("gid"), s.status, bound=s.bound, counters={"columns": len(data[0]), "nodes": s.nodes})
+    if not s.found:  # nothing better than what is known
+        return known
+    out.objective = s.objective
+    out.chosen = {int(i): int(round(k)) for i, k in zip(data[0], s.x, strict=True) if k > 0.5}
+    if (known.objective < s.objective) == (q.sense == "min") and known.objective != s.objective:
+        out.chosen, out.objective, out.status = known.chosen, known.objective, SolveStatus.FEASIBLE
+    return out

@@ -34,6 +34,7 @@ class LpResult:
     reduced: np.ndarray | None = None
     basis: Basis | None = None
     steps: int = 0
+    duals: np.ndarray | None = None  # of the rows
 
 
 class Simplex:
@@ -110,7 +111,7 @@ class Simplex:
             if enter < 0:
                 if first:
                     return LpResult("infeasible", steps=steps)
-                return LpResult("optimal", x[:n].copy(), value * self.size, d * self.size, basis, steps)
+                return LpResult("optimal", x[:n].copy(), value * self.size, d * self.size, basis, steps, y * self.size / self.unit)
             if steps >= MAX_STEPS or (clock and steps % 16 == 15 and clock.over()):
                 return LpResult("limit", steps=steps)
             way = -1.0 if (up[enter] or (free[enter] and reduced[enter] > 0)) else 1.0

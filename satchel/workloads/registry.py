@@ -1,9 +1,580 @@
-"""Queries and SQL of the package engine."""
+"""Queries of the package engine and, where SQL can say the same, their SQL."""
 
+from __future__ import annotations
 
-def queries() -> dict:
-    return {}
+from collections.abc import Callable
 
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-def oracle_sql() -> dict:
-    return {}
+from ..functions.build import avg_, count_, max_, min_, package_of, sum_
+from ..lang.parser import parse_package, to_statement
+from ..measure import measures
+from ..operators import baselines
+from ..operators.coarse_fine import FineLimits, coarse_fine, coarse_frame, load_coarse
+from ..operators.dual import column_generation, dual_value, multipliers_of, pruned_whole_solve
+from ..operators.whole import top_k_packages, whole_solve
+from ..package import result as packages
+from ..partition.cluster import agglomerative_partition, density_partition, kmeans_step
+from ..partition.quad import Partitioning, Relative, kd_partition, omega_for, partition_report, quad_partition
+from ..plans.coefficients import base_relations, coefficient_frame, translate
+from ..plans.reduction import ilp_to_package
+from ..solve.branch import lp_bound, round_lp
+from ..solve.problem import SolverLimits
+from ..sources.joins import as_of, join_tradeoff, prejoin, table
+from ..streaming.windows import windowed_packages
+from . import sql as S
+from .definitions import WORKLOADS, _once, features, first_lines, lines, meal, parts
+
+QUICK = SolverLimits(seconds=60)
+_QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+_SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def add(f):
+        _QUERIES[name] = f
+        if sql:
+            _SQL[name] = sql
+        return f
+
+    return add
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return dict(_QUERIES)
+
+
+def oracle_sql() -> dict[str, str]:
+    return dict(_SQL)
+
+
+def _partition(spark: SparkSession, sf_dir: str, name: str) -> Partitioning:
+    """A workload's partitioning with tau = 10 % and no radius, made once a session."""
+    w = WORKLOADS[name]
+    return _once(spark, sf_dir, f"partition-{name}", lambda: quad_partition(w.relation(spark, sf_dir), list(w.attrs), 0.1, digits=w.digits))
+
+
+def _part_groups(spark: SparkSession, sf_dir: str) -> Partitioning:
+    return _once(spark, sf_dir, "part-groups", lambda: quad_partition(parts(spark, sf_dir), ["p_size", "p_retailprice"], 100, digits=2))
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    part = _partition(spark, sf_dir, "w1")
+    return coarse_fine(part, WORKLOADS["w1"].query(part.df.drop("gid")), FineLimits(seconds=120)).package.drop("tid")
+
+
+# Translation
+
+LINE = "l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice"
+
+
+def _coefficients(df: DataFrame, q) -> DataFrame:
+    t = translate(df, q)
+    keys = tuple(LINE.split(", "))
+    frame = coefficient_frame(df, t, keys)
+    return frame.select(*keys, *(F.round(c, 6).alias(c) for c in t.names), F.round("obj", 6).alias("obj"))
+
+
+@query("coef_count_sum", f"SELECT {LINE}, CAST(1 AS DOUBLE) AS c_0, round(l_quantity, 6) AS c_1, round(l_tax, 6) AS c_2, round(l_extendedprice, 6) AS obj FROM lineitem")
+def coef_count_sum(spark, sf_dir):
+    df = table(spark, sf_dir, "lineitem")
+    return _coefficients(df, WORKLOADS["w1"].query(df))
+
+
+@query("coef_avg_shift", f"SELECT {LINE}, round(l_discount - 0.05, 6) AS c_0, round(l_discount - 0.07, 6) AS c_1, CAST(1 AS DOUBLE) AS c_2, CAST(0 AS DOUBLE) AS obj FROM lineitem")
+def coef_avg_shift(spark, sf_dir):
+    df = table(spark, sf_dir, "lineitem")
+    return _coefficients(df, package_of(df).repeat(0).such_that(avg_("l_discount").between(0.05, 0.07)).query)
+
+
+@query("coef_conditional_diff", f"SELECT {LINE}, CAST((CASE WHEN l_returnflag = 'R' THEN 1 ELSE 0 END) - (CASE WHEN l_linestatus = 'F' THEN 1 ELSE 0 END) AS DOUBLE) AS c_0, CAST(0 AS DOUBLE) AS obj FROM lineitem WHERE l_quantity > 10")
+def coef_conditional_diff(spark, sf_dir):
+    df = table(spark, sf_dir, "lineitem")
+    return _coefficients(df, package_of(df).repeat(0).where("l_quantity > 10").such_that(count_(where="l_returnflag = 'R'") >= count_(where="l_linestatus = 'F'")).query)
+
+
+@query("base_relations", "SELECT 'c_0' AS name, count(*) AS n FROM lineitem WHERE l_returnflag = 'R' UNION ALL SELECT 'c_1', count(*) FROM lineitem WHERE l_discount <> 0 UNION ALL SELECT 'c_0', count(*) FROM lineitem WHERE l_returnflag = 'R' UNION ALL SELECT 'c_1', count(*) FROM lineitem WHERE l_discount <> 0")
+def base_relations_query(spark, sf_dir):
+    """Separate scans first, the single scan after."""
+    df = lines(spark, sf_dir)
+    t = translate(df, package_of(df).repeat(0).such_that((count_(where="l_returnflag = 'R'") >= 3) & (sum_("l_discount") <= 1)).query)
+    out = None
+    for i, r in enumerate(base_relations(df, t, "separate")):
+        one = r.agg(F.count(F.lit(1)).alias("n")).select(F.lit(f"c_{i}").alias("name"), "n")
+        out = one if out is None else out.unionByName(one)
+    single = base_relations(df, t, "single")
+    for c in t.names:
+        out = out.unionByName(single.filter(F.col(c) != 0).agg(F.count(F.lit(1)).alias("n")).select(F.lit(c).alias("name"), "n"))
+    return out
+
+
+@query("repeat_bounds", "SELECT * FROM (VALUES ('none', NULL::DOUBLE, (SELECT count(*) FROM part)), ('0', 1.0::DOUBLE, (SELECT count(*) FROM part)), ('3', 4.0::DOUBLE, (SELECT count(*) FROM part))) v(repeat, ub, n)")
+def repeat_bounds(spark, sf_dir):
+    df, out = parts(spark, sf_dir), None
+    for k in (None, 0, 3):
+        q = package_of(df).repeat(k).such_that(count_() <= 5).query
+        one = coefficient_frame(df, translate(df, q)).groupBy("ub").agg(F.count(F.lit(1)).alias("n")).select(F.lit("none" if k is None else str(k)).alias("repeat"), "ub", "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("statement_roundtrip", "SELECT TRUE AS same, CAST(2701.2 AS DOUBLE) > 0 AS solved")
+def statement_roundtrip(spark, sf_dir):
+    text = "SELECT PACKAGE(P) AS M FROM part P REPEAT 2 WHERE P.p_type = 'PROMO' SUCH THAT COUNT(M.*) = 3 AND SUM(M.p_size) BETWEEN 60 AND 75 MINIMIZE SUM(M.p_retailprice)"
+    q = parse_package(text)
+    from ..lang.ast import same
+
+    r = whole_solve(parts(spark, sf_dir), q, QUICK)
+    return spark.createDataFrame([(same(q, parse_package(to_statement(q))), r.found)], "same boolean, solved boolean")
+
+
+@query("ilp_roundtrip", "SELECT CAST(max(5 * a + 4 * b + 3 * c + 7 * d) AS DOUBLE) AS objective, CAST(4 AS BIGINT) AS variables FROM range(7) x(a), range(5) y(b), range(8) z(c), range(4) u(d) WHERE 2 * a + 3 * b + c + 4 * d <= 12 AND 4 * a + b + 2 * c + 5 * d <= 15")
+def ilp_roundtrip(spark, sf_dir):
+    """max 5a + 4b + 3c + 7d with 2a + 3b + c + 4d <= 12, 4a + b + 2c + 5d <= 15, as a package query and back."""
+    df, q = ilp_to_package(spark, np.array([5.0, 4.0, 3.0, 7.0]), np.array([[2.0, 3.0, 1.0, 4.0], [4.0, 1.0, 2.0, 5.0]]), np.array([12.0, 15.0]))
+    r = whole_solve(df, q, QUICK)
+    return spark.createDataFrame([(float(r.objective), df.count())], "objective double, variables long")
+
+
+# Baselines
+
+MEAL_BAND = "size BETWEEN 60 AND 75"
+
+
+@query("selfjoin_meal", S.meal_sql("count(*) AS packages, min(cents) AS best", MEAL_BAND))
+def selfjoin_meal(spark, sf_dir):
+    df = parts(spark, sf_dir).filter("p_type = 'PROMO'").select("p_partkey", "p_size", F.round(F.col("p_retailprice") * 100).cast("long").alias("cents"))
+    all_ = baselines.self_join_packages(df, 3, "p_partkey", {"p_size": (60, 75)}, "cents", prune=True, limit=None)
+    return all_.agg(F.count(F.lit(1)).alias("packages"), F.min("cents").alias("best"))
+
+
+def _objective(r, spark) -> DataFrame:
+    return spark.createDataFrame([(r.status.value, int(round(r.objective * 100)) if r.found else None)], "status string, cents long")
+
+
+@query("whole_meal_objective", S.meal_sql("'optimal' AS status, min(cents) AS cents", MEAL_BAND))
+def whole_meal_objective(spark, sf_dir):
+    df = parts(spark, sf_dir)
+    return _objective(whole_solve(df, meal(df), QUICK), spark)
+
+
+@query("whole_meal_repeat2", S.meal_sql("'optimal' AS status, min(cents) AS cents", MEAL_BAND, "<="))
+def whole_meal_repeat2(spark, sf_dir):
+    df = parts(spark, sf_dir)
+    return _objective(whole_solve(df, meal(df, 2), QUICK), spark)
+
+
+@query("whole_meal_unlimited", S.meal_sql("'optimal' AS status, min(cents) AS cents", MEAL_BAND, "<="))
+def whole_meal_unlimited(spark, sf_dir):
+    df = parts(spark, sf_dir)
+    return _objective(whole_solve(df, meal(df, None), QUICK), spark)
+
+
+OR_MEAL = lambda: (count_() == 3) & ((sum_("p_size") <= 20) | (sum_("p_size") >= 120))
+
+
+@query("or_condition", S.meal_sql("'optimal' AS status, min(cents) AS cents", "size <= 20 OR size >= 120"))
+def or_condition(spark, sf_dir):
+    """By indicator columns."""
+    df = parts(spark, sf_dir)
+    return _objective(whole_solve(df, meal(df, 0, OR_MEAL()), QUICK, mode="indicators"), spark)
+
+
+@query("or_condition_branches", S.meal_sql("'optimal' AS status, min(cents) AS cents", "size <= 20 OR size >= 120"))
+def or_condition_branches(spark, sf_dir):
+    """Each alternative by itself."""
+    df = parts(spark, sf_dir)
+    return _objective(whole_solve(df, meal(df, 0, OR_MEAL()), QUICK, mode="branches"), spark)
+
+
+@query("not_condition", S.meal_sql("'optimal' AS status, min(cents) AS cents", "NOT (size BETWEEN 40 AND 130) AND size <> 131"))
+def not_condition(spark, sf_dir):
+    df = parts(spark, sf_dir)
+    condition = (count_() == 3) & ~sum_("p_size").between(40, 130) & (sum_("p_size") != 131)
+    return _objective(whole_solve(df, meal(df, 0, condition), QUICK), spark)
+
+
+@query("min_max_predicate", "WITH p AS (SELECT CAST(round(p_retailprice * 100) AS BIGINT) AS cents, p_partkey FROM part WHERE p_type = 'PROMO' AND p_size >= 10 AND p_size <= 30) SELECT 'optimal' AS status, CAST(sum(cents) AS BIGINT) AS cents FROM (SELECT cents FROM p ORDER BY cents LIMIT 4)")
+def min_max_predicate(spark, sf_dir):
+    df = parts(spark, sf_dir)
+    return _objective(whole_solve(df, meal(df, 0, (count_() == 4) & (min_("p_size") >= 10) & (max_("p_size") <= 30)), QUICK), spark)
+
+
+@query("status_cases", "SELECT * FROM (VALUES ('infeasible', 'infeasible'), ('unbounded', 'unbounded'), ('no objective', 'optimal'), ('memory', 'memory limit')) v(what, status)")
+def status_cases(spark, sf_dir):
+    df = parts(spark, sf_dir)
+    out = [
+        ("infeasible", whole_solve(df, meal(df, 0, (count_() == 3) & (sum_("p_size") >= 10_000)), QUICK)),
+        ("unbounded", whole_solve(df, package_of(df).repeat(None).such_that(count_() >= 1).maximize(sum_("p_size")).query, QUICK)),
+        ("no objective", whole_solve(df, package_of(df).repeat(0).such_that((count_() == 3) & (sum_("p_size") == 70)).query, QUICK)),
+        ("memory", whole_solve(df, meal(df), SolverLimits(bytes=512))),
+    ]
+    return spark.createDataFrame([(k, r.status.value) for k, r in out], "what string, status string")
+
+
+@query("topk_price", "SELECT 'optimal' AS status, CAST(sum(cents) AS BIGINT) AS cents FROM (SELECT CAST(round(l_extendedprice * 100) AS BIGINT) AS cents FROM lineitem ORDER BY 1 DESC LIMIT 10)")
+def topk_price(spark, sf_dir):
+    df = lines(spark, sf_dir)
+    return _objective(whole_solve(df, package_of(df).repeat(0).such_that(count_() == 10).maximize(sum_("l_extendedprice")).query, QUICK), spark)
+
+
+@query("top_by_objective", "SELECT sum(CAST(round(l_extendedprice * 100) AS BIGINT))::BIGINT AS cents FROM (SELECT l_extendedprice FROM lineitem ORDER BY 1 DESC LIMIT 10)")
+def top_by_objective(spark, sf_dir):
+    return baselines.top_by_objective(lines(spark, sf_dir), "l_extendedprice", 10).agg(F.sum(F.round(F.col("l_extendedprice") * 100).cast("long")).alias("cents"))
+
+
+@query("top_k_packages", S.meal_sql("CAST(row_number() OVER (ORDER BY cents) AS INTEGER) AS place, cents", MEAL_BAND, tail="ORDER BY cents LIMIT 5"))
+def top_k(spark, sf_dir):
+    df = parts(spark, sf_dir)
+    found = top_k_packages(df, meal(df), 5, QUICK)
+    return spark.createDataFrame([(i + 1, int(round(r.objective * 100))) for i, r in enumerate(found)], "place int, cents long")
+
+
+POWERSET = """WITH RECURSIVE s AS (SELECT s_suppkey AS k, CAST(round(s_acctbal * 100) AS BIGINT) AS cents FROM supplier WHERE s_suppkey < 12),
+g(last, size, cents) AS (SELECT k, 1, cents FROM s UNION ALL SELECT s.k, size + 1, g.cents + s.cents FROM g JOIN s ON s.k > g.last)
+SELECT count(*) AS subsets, max(cents) FILTER (cents <= 2000000) AS best FROM g"""
+
+
+def _twelve(spark, sf_dir) -> DataFrame:
+    return table(spark, sf_dir, "supplier").filter("s_suppkey < 12").select("s_suppkey", F.round(F.col("s_acctbal") * 100).cast("long").alias("cents"))
+
+
+@query("powerset_supplier12", POWERSET)
+def powerset(spark, sf_dir):
+    sets = baselines.powerset_packages(_twelve(spark, sf_dir), "s_suppkey", ["cents"])
+    return sets.agg(F.count(F.lit(1)).alias("subsets"), F.max(F.when(F.col("cents") <= 2_000_000, F.col("cents"))).alias("best"))
+
+
+@query("powerset_recursive", POWERSET)
+def powerset_recursive(spark, sf_dir):
+    _twelve(spark, sf_dir).createOrReplaceTempView("twelve_suppliers")
+    sets = spark.sql(baselines.powerset_recursive_sql("twelve_suppliers", "s_suppkey", "cents"))
+    return sets.agg(F.count(F.lit(1)).alias("subsets"), F.max(F.when(F.col("total") <= 2_000_000, F.col("total"))).alias("best"))
+
+
+FEATURES_SQL = r"(SELECT doc_id, n_chars, len(regexp_extract_all(text, '[^ \t\n\r]+')) AS n_words FROM documents)"
+
+
+@query("greedy_knapsack_v7", f"""SELECT count(*) AS taken, CAST(sum(n_words) AS BIGINT) AS words, CAST(sum(n_chars) AS BIGINT) AS chars FROM (
+  SELECT *, sum(n_chars) OVER (ORDER BY CAST(n_words AS DOUBLE) / greatest(CAST(n_chars AS DOUBLE), 1e-12) DESC, doc_id ROWS UNBOUNDED PRECEDING) AS upto FROM {FEATURES_SQL} WHERE n_words > 0 AND n_chars <= 50000) WHERE upto <= 50000""")
+def greedy_knapsack(spark, sf_dir):
+    df = features(spark, sf_dir)
+    taken = baselines.greedy_knapsack(df, WORKLOADS["v7"].query(df))
+    return taken.agg(F.count(F.lit(1)).alias("taken"), F.sum("obj").cast("long").alias("words"), F.sum("weight").cast("long").alias("chars"))
+
+
+@query("grid_windows", """WITH c AS (SELECT p_size // 5 AS cx, CAST(floor(p_retailprice / 10) AS BIGINT) AS cy, count(*) AS n, sum(CAST(round(p_retailprice * 100) AS BIGINT)) AS total FROM part GROUP BY 1, 2),
+w AS (SELECT cx - dx AS wx, cy - dy AS wy, sum(n) AS n, sum(total) AS total FROM c, range(2) a(dx), range(3) b(dy) GROUP BY 1, 2)
+SELECT CAST(wx AS BIGINT) AS wx, CAST(wy AS BIGINT) AS wy, CAST(n AS BIGINT) AS n, CAST(total AS BIGINT) AS total FROM w WHERE n >= 5""")
+def grid(spark, sf_dir):
+    df = parts(spark, sf_dir).withColumn("value", F.round(F.col("p_retailprice") * 100).cast("long"))
+    return baselines.grid_windows(df, "p_size", "p_retailprice", 2, 3, "n >= 5", (5, 10))
+
+
+@query("relaxation_and_rounding")
+def relaxation(spark, sf_dir):
+    from ..plans.coefficients import branch_problem, collect_columns
+
+    df = lines(spark, sf_dir)
+    q = WORKLOADS["w1"].query(df)
+    t = translate(df, q)
+    p = branch_problem(t, 0, *collect_columns(coefficient_frame(df, t), t, 1 << 22))
+    r = round_lp(p)
+    return spark.createDataFrame([(float(lp_bound(p)), r.status.value, float(r.objective) if r.found else None)], "relaxed double, status string, rounded double")
+
+
+# Partitioning
+
+LEAVES = "SELECT gid, count(*) AS n FROM placed GROUP BY gid"
+MEANS = "SELECT gid, count(*) AS n, round(avg(v0) / 100, 6) AS avg_p_size, round(avg(v1) / 100, 6) AS avg_p_retailprice FROM placed GROUP BY gid"
+
+
+@query("prejoin_sizes", "SELECT count(*) AS n, count(l_orderkey) AS with_lines, count(*) FILTER (l_orderkey IS NULL AND o_orderkey IS NOT NULL) AS orders_alone FROM lineitem FULL JOIN orders ON l_orderkey = o_orderkey FULL JOIN part ON l_partkey = p_partkey FULL JOIN supplier ON l_suppkey = s_suppkey FULL JOIN customer ON o_custkey = c_custkey")
+def prejoin_sizes(spark, sf_dir):
+    alone = F.col("l_orderkey").isNull() & F.col("o_orderkey").isNotNull()
+    return prejoin(spark, sf_dir).agg(F.count(F.lit(1)).alias("n"), F.count("l_orderkey").alias("with_lines"), F.count(F.when(alone, 1)).alias("orders_alone"))
+
+
+@query("quad_groups_part", S.quad_sql("part", "p_partkey", S.PART_VALUES, 100, LEAVES))
+def quad_groups_part(spark, sf_dir):
+    return _part_groups(spark, sf_dir).groups.select("gid", "n")
+
+
+LINE4 = ["l_quantity * 100", "round(l_extendedprice * 100)", "round(l_discount * 100)", "round(l_tax * 100)"]
+NUMBERED = "(SELECT row_number() OVER () AS key, * FROM lineitem)"
+
+
+@query("quad_stats_lineitem", S.quad_sql(NUMBERED, "key", LINE4, 600, "SELECT gid, count(*) AS n, round(avg(v0) / 100, 6) AS avg_l_quantity, min(v1) / 100 AS min_l_extendedprice, max(v1) / 100 AS max_l_extendedprice FROM placed GROUP BY gid"))
+def quad_stats_lineitem(spark, sf_dir):
+    p = _once(spark, sf_dir, "line-groups", lambda: quad_partition(lines(spark, sf_dir), ["l_quantity", "l_extendedprice", "l_discount", "l_tax"], 600, digits=2))
+    return p.groups.select("gid", "n", F.round("avg_l_quantity", 6).alias("avg_l_quantity"), "min_l_extendedprice", "max_l_extendedprice")
+
+
+@query("representatives_part", S.quad_sql("part", "p_partkey", S.PART_VALUES, 100, MEANS))
+def representatives_part(spark, sf_dir):
+    return _part_groups(spark, sf_dir).groups.select("gid", "n", F.round("avg_p_size", 6).alias("avg_p_size"), F.round("avg_p_retailprice", 6).alias("avg_p_retailprice"))
+
+
+@query("kd_groups", S.quad_sql("part", "p_partkey", S.PART_VALUES, 100, LEAVES, cycle=True))
+def kd_groups(spark, sf_dir):
+    return kd_partition(parts(spark, sf_dir), ["p_size", "p_retailprice"], 100, digits=2).groups.select("gid", "n")
+
+
+@query("quad_adaptive_report", "SELECT CAST(0 AS DOUBLE) AS over_tau, TRUE AS covers")
+def quad_adaptive(spark, sf_dir):
+    df = lines(spark, sf_dir)
+    p = quad_partition(df, list(WORKLOADS["w3"].attrs), 0.01, digits=2, split="adaptive")
+    n = df.count()
+    return partition_report(p).select("over_tau").withColumn("covers", F.lit(p.groups.agg(F.sum("n")).first()[0] == n))
+
+
+@query("radius_relative", "SELECT CAST(0 AS BIGINT) AS outside, CAST(0 AS DOUBLE) AS over_tau, CAST(0 AS DOUBLE) AS over_radius")
+def radius_relative(spark, sf_dir):
+    """No tuple leaves the relative radius around its centroid."""
+    p = _once(spark, sf_dir, "line-radius", lambda: quad_partition(lines(spark, sf_dir), ["l_quantity", "l_extendedprice"], 0.1, Relative(0.5), digits=2))
+    return partition_report(p).select(F.lit(measures.check_tuple_bounds(p, 0.5).count()).alias("outside"), "over_tau", "over_radius")
+
+
+@query("omega_eps", S.quad_sql("part", "p_partkey", S.PART_VALUES, 100, "SELECT round(0.1 * min(least(avg(v0), avg(v1)) / 100) OVER (), 6) AS omega_max, round(0.1 / 1.1 * min(least(avg(v0), avg(v1)) / 100) OVER (), 6) AS omega_min FROM placed GROUP BY gid LIMIT 1"))
+def omega_eps(spark, sf_dir):
+    p = _part_groups(spark, sf_dir)
+    return spark.createDataFrame([tuple(round(omega_for(p.groups, p.attrs, 0.1, s), 6) for s in ("max", "min"))], "omega_max double, omega_min double")
+
+
+@query("partition_sample")
+def partition_sample(spark, sf_dir):
+    p = _part_groups(spark, sf_dir)
+    out = None
+    for f in (0.1, 0.25, 0.5, 0.75, 1.0):
+        one = p.sample(f).groups.agg(F.lit(f).alias("fraction"), F.sum("n").alias("tuples"), F.max("n").alias("largest"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("dynamic_cut", "SELECT CAST(0 AS DOUBLE) AS over_tau, (SELECT count(*) FROM part) AS tuples, TRUE AS coarser")
+def dynamic_cut(spark, sf_dir):
+    p = _part_groups(spark, sf_dir)
+    c = p.cut(None, 600)
+    return partition_report(c, 600).select("over_tau", F.lit(c.groups.agg(F.sum("n")).first()[0]).alias("tuples"), (F.col("groups") <= p.groups.count()).alias("coarser"))
+
+
+@query("merged_groups", "SELECT count(*) AS tuples FROM part")
+def merged_groups(spark, sf_dir):
+    return _part_groups(spark, sf_dir).merge().groups.agg(F.sum("n").alias("tuples"))
+
+
+@query("kmeans_step", """WITH c(i, x, y) AS (VALUES (0, 10.0, 920.0), (1, 25.0, 950.0), (2, 40.0, 980.0)),
+a AS (SELECT p_partkey, p_size, p_retailprice, min_by(i, (p_size - x) * (p_size - x) + (p_retailprice - y) * (p_retailprice - y)) AS cluster FROM part, c GROUP BY ALL)
+SELECT CAST(cluster AS INTEGER) AS cluster, count(*) AS n, round(avg(p_size), 6) AS avg_p_size, round(avg(p_retailprice), 4) AS avg_p_retailprice FROM a GROUP BY cluster""")
+def kmeans_query(spark, sf_dir):
+    out = kmeans_step(parts(spark, sf_dir), ["p_size", "p_retailprice"], [[10.0, 920.0], [25.0, 950.0], [40.0, 980.0]])
+    return out.select("cluster", "n", F.round("avg_p_size", 6).alias("avg_p_size"), F.round("avg_p_retailprice", 4).alias("avg_p_retailprice"))
+
+
+@query("cluster_comparison")
+def cluster_comparison(spark, sf_dir):
+    """Groups, the largest and the share over tau by method, on suppliers (in-memory methods take no more)."""
+    from ..partition.cluster import kmeans_partition
+    from ..plans.coefficients import with_tid
+
+    df = with_tid(table(spark, sf_dir, "supplier").select("s_suppkey", "s_nationkey", "s_acctbal"), ["s_suppkey"])
+    attrs, out = ["s_nationkey", "s_acctbal"], None
+    made = {"quad": quad_partition(df, attrs, 0.1, digits=2), "kd": kd_partition(df, attrs, 0.1, digits=2), "kmeans": kmeans_partition(df, attrs, 10), "agglomerative": agglomerative_partition(df, attrs, 10), "density": density_partition(df, attrs, 0.5, 4)}
+    tau = made["quad"].tau
+    for name, p in made.items():
+        one = partition_report(p, tau).withColumn("method", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+# Coarse-fine
+
+@query("coarse_problem_meal", S.quad_sql("part", "p_partkey", S.PART_VALUES, 100, "SELECT gid, count(*) AS n, round(avg(p_size), 6) AS size, round(avg(p_retailprice), 6) AS obj FROM placed JOIN part ON p_partkey = key WHERE p_type = 'PROMO' GROUP BY gid"))
+def coarse_problem_meal(spark, sf_dir):
+    p = _part_groups(spark, sf_dir)
+    t = translate(p.df, meal(p.df.drop("gid")))
+    size = next(i for i, r in enumerate(t.rows) if "p_size" in r.sql)
+    return coarse_frame(p, t).select("gid", "n", F.round(f"c_{size}", 6).alias("size"), F.round("obj", 6).alias("obj"))
+
+
+def _audited(spark, sf_dir, name: str, **options) -> DataFrame:
+    w, part = WORKLOADS[name], _partition(spark, sf_dir, name)
+    relation = part.df.drop("gid")
+    q = w.query(relation)
+    r = coarse_fine(part, q, FineLimits(seconds=120), remedies=("hybrid", "smaller_tau", "drop", "merge"), **options)
+    if not r.found:
+        return spark.createDataFrame([(name, r.status.value, False)], "workload string, row string, satisfied boolean")
+    return packages.audit(r.package, q, relation).select(F.lit(name).alias("workload"), F.col("name").alias("row"), "satisfied")
+
+
+def _register_workloads() -> None:
+    rows = {"w1": "c0 c1 c2", "w2": "c0 c1 c2", "w3": "c0 c1 c2", "w4": "c0 c1", "w5": "c0 c1", "w6": "c0 c1 c2_avg c2_avg", "w7": "c0 c1 c2", "v1": "c0 c1", "v2": "c0 c1 c2 c3", "v3": "c0 c1 c2", "v4": "c0 c1_avg c2", "v5": "c0 c1 c2", "v6": "c0 c1 c2 c3 c4", "v7": "c0"}
+    for name, own in rows.items():
+        values = ", ".join(f"('{name}', '{r}', TRUE)" for r in own.split())
+        query(f"audit_{name}", f"SELECT * FROM (VALUES {values}) v(workload, row, satisfied)")(lambda spark, sf_dir, n=name: _audited(spark, sf_dir, n))
+
+
+_register_workloads()
+
+
+@query("ratio_report")
+def ratio_report(spark, sf_dir):
+    """Whole solve against coarse-fine on W1, W4, W5, V1: objective, ratio, seconds; with the certified ratio by the dual bound."""
+    from ..operators.dual import certified_ratio
+
+    out = []
+    for name in ("w1", "w4", "w5", "v1"):
+        part = _partition(spark, sf_dir, name)
+        relation = part.df.drop("gid")
+        q = WORKLOADS[name].query(relation)
+        a, b = whole_solve(relation, q, QUICK), coarse_fine(part, q, FineLimits(seconds=60))
+        t = translate(relation, q)
+        centres = load_coarse(coarse_frame(part, t), t, 1 << 20)
+        d = column_generation(coefficient_frame(relation, t), t, multipliers_of(centres.problem(t, 0)))
+        out.append((name, a.status.value, a.objective, b.objective, measures.approximation_ratio(b.objective, a.objective, q.sense), certified_ratio(b.objective or 0, float(d.bound), q.sense), a.timing["total"], b.timing["total"]))
+    return spark.createDataFrame(out, "query string, status string, whole double, coarse_fine double, ratio double, certified double, whole_s double, coarse_fine_s double")
+
+
+@query("ratio_summary")
+def ratio_summary(spark, sf_dir):
+    return measures.ratio_summary(ratio_report(spark, sf_dir))
+
+
+@query("variants_w1")
+def variants(spark, sf_dir):
+    """Orders, stored centroids, a small budget, and both parallel forms give packages that satisfy W1."""
+    part = _partition(spark, sf_dir, "w1")
+    relation = part.df.drop("gid")
+    q = WORKLOADS["w1"].query(relation)
+    out = []
+    for label, o in {"random": {}, "size": {"order": "size"}, "multiplicity": {"order": "multiplicity"}, "stored": {"rep_mode": "stored"}, "budget 20": {"budget": 20}, "groups": {"parallel": "groups"}, "orders": {"parallel": "orders"}}.items():
+        r = coarse_fine(part, q, FineLimits(seconds=60), **o)
+        out.append((label, r.status.value, r.objective, r.counters["solves"], r.counters["largest"], r.found and packages.is_feasible(r.package, q, relation)))
+    return spark.createDataFrame(out, "variant string, status string, objective double, solves int, largest int, feasible boolean")
+
+
+@query("remedies_v6")
+def remedies(spark, sf_dir):
+    w, part = WORKLOADS["v6"], _partition(spark, sf_dir, "v6")
+    q = w.query(part.df.drop("gid"))
+    out = []
+    for chain in ((), ("hybrid",), ("smaller_tau",), ("drop",), ("merge",), ("hybrid", "smaller_tau", "drop", "merge")):
+        r = coarse_fine(part, q, FineLimits(seconds=30), remedies=chain)
+        out.append((" ".join(chain) or "none", r.status.value, r.found, r.counters["solves"], len(r.attempts)))
+    return spark.createDataFrame(out, "chain string, status string, found boolean, solves int, attempts int")
+
+
+# Theory and measures
+
+@query("centroid_mean", "SELECT * FROM (VALUES ('p_size', TRUE), ('p_retailprice', TRUE)) v(attribute, same)")
+def centroid_mean(spark, sf_dir):
+    return measures.check_centroid_mean(_part_groups(spark, sf_dir)).select("attribute", (F.abs(F.col("centroids") - F.col("tuples")) < 1e-6).alias("same"))
+
+
+@query("projection_bounds", "SELECT * FROM (VALUES ('l_quantity', TRUE), ('l_extendedprice', TRUE)) v(attribute, holds)")
+def projection_bounds(spark, sf_dir):
+    p = _once(spark, sf_dir, "line-radius", lambda: quad_partition(lines(spark, sf_dir), ["l_quantity", "l_extendedprice"], 0.1, Relative(0.5), digits=2))
+    package = p.df.filter(F.pmod(F.xxhash64("tid"), F.lit(1000)) == 7).withColumn("multiplicity", F.lit(2))
+    return measures.check_projection_bounds(p, package, 0.5).select("attribute", "holds")
+
+
+@query("hoeffding", "SELECT round(least(1.0, 2 * exp(-2.0 * 60 * 60 / (20 * (max(l_quantity) - min(l_quantity)) ** 2))), 9) AS gamma FROM lineitem")
+def hoeffding(spark, sf_dir):
+    r = table(spark, sf_dir, "lineitem").agg(F.min("l_quantity").alias("lo"), F.max("l_quantity").alias("hi")).first()
+    return spark.createDataFrame([(round(measures.hoeffding_gamma(60, 20, r.lo, r.hi), 9),)], "gamma double")
+
+
+@query("selectivity_w5")
+def selectivity_w5(spark, sf_dir):
+    df, w = parts(spark, sf_dir), WORKLOADS["w5"]
+    return measures.selectivity(df, w.query(df), w.size, 2000).agg(F.avg(F.col("infeasible").cast("double")).alias("selectivity"), F.count(F.lit(1)).alias("trials"))
+
+
+@query("dual_value_fixed_lambda", "SELECT round(sum(greatest(0, l_extendedprice - (1000.0 + 50.0 * l_quantity + 2000.0 * l_tax))) + 1000.0 * 20 + 50.0 * 500 + 2000.0 * 1.0, 2) AS bound FROM lineitem")
+def dual_fixed(spark, sf_dir):
+    df = lines(spark, sf_dir)
+    t = translate(df, WORKLOADS["w1"].query(df))
+    value, _ = dual_value(coefficient_frame(df, t), t, np.array([1000.0, 50.0, 2000.0]))
+    return spark.createDataFrame([(round(float(value), 2),)], "bound double")
+
+
+@query("pruned_whole_solve", "SELECT * FROM (VALUES ('w1', TRUE, TRUE), ('w4', TRUE, TRUE), ('w5', TRUE, TRUE)) v(workload, same, fewer)")
+def pruned(spark, sf_dir):
+    """The optimum from the few tuples that bounds leave, against the whole solve."""
+    out = []
+    for name in ("w1", "w4", "w5"):
+        part = _partition(spark, sf_dir, name)
+        relation = part.df.drop("gid")
+        q = WORKLOADS[name].query(relation)
+        a, b = whole_solve(relation, q, QUICK), pruned_whole_solve(part, q, QUICK)
+        out.append((name, abs(a.objective - b.objective) < 1e-6 * abs(a.objective), b.counters["columns"] < a.counters["columns"]))
+    return spark.createDataFrame(out, "workload string, same boolean, fewer boolean")
+
+
+@query("coverage_sets", "SELECT * FROM (VALUES ('subset', 2, 2 / 3.0::DOUBLE), ('equal', 3, 1.0::DOUBLE), ('workload', 8, 8 / 3.0::DOUBLE)) v(attributes, n, coverage)")
+def coverage_sets(spark, sf_dir):
+    from ..partition.quad import attribute_sets, coverage
+    from ..plans.rules import query_attributes
+
+    df = lines(spark, sf_dir)
+    sets = [query_attributes(WORKLOADS[f"w{i}"].query(df)) for i in (1, 2, 3, 4, 6, 7)]
+    union = attribute_sets(sets, df)["workload"]
+    own = sets[0]
+    rows = [("subset", 2, coverage(sorted(own)[:2], own)), ("equal", len(own), coverage(sorted(own), own)), ("workload", len(union), coverage(union, own))]
+    return spark.createDataFrame(rows, "attributes string, n int, coverage double")
+
+
+# Joins, package operators, events
+
+@query("join_modes_agree", "WITH t AS (SELECT sum(cents) AS c FROM (SELECT CAST(round(o_totalprice * 100) AS BIGINT) AS cents FROM orders JOIN customer ON o_custkey = c_custkey ORDER BY 1 DESC LIMIT 5)) SELECT mode, CAST(c AS BIGINT) AS cents FROM t, (VALUES ('materialized'), ('pipelined'), ('ids')) v(mode)")
+def join_modes(spark, sf_dir):
+    orders, customer = table(spark, sf_dir, "orders"), table(spark, sf_dir, "customer")
+    on = orders.o_custkey == customer.c_custkey
+    q = package_of(orders.join(customer, on)).repeat(0).such_that(count_() == 5).maximize(sum_("o_totalprice")).query
+    rows = join_tradeoff(orders, customer, on, ["o_orderkey", "c_custkey"], q)
+    return spark.createDataFrame([(m, int(round(v * 100))) for m, _, v in rows], "mode string, cents long")
+
+
+@query("package_operators", "SELECT * FROM (VALUES ('expand', 8), ('collapse', 3), ('union', 16), ('except', 4), ('exclude', 0), ('nested', 1)) v(operator, n)")
+def package_operators(spark, sf_dir):
+    """On a fixed package of 3 tuples, taken 1, 3 and 4 times. exclude: tuples of it left in its own complement."""
+    df = parts(spark, sf_dir)
+    ids = [r.tid for r in df.orderBy("p_partkey").limit(3).collect()]
+    p = packages.materialize(df, dict(zip(ids, (1, 3, 4), strict=True)))
+    half = packages.materialize(df, dict(zip(ids, (1, 1, 2), strict=True)))
+    total = lambda d: int(d.agg(F.sum("multiplicity")).first()[0])
+    opened = packages.expand(p)
+    rows = [("expand", opened.count()), ("collapse", packages.collapse(opened).count()), ("union", total(packages.package_union(p, p))), ("except", total(packages.package_except(p, half))), ("exclude", packages.exclude(df, p).join(p.select("tid"), "tid", "left_semi").count()), ("nested", packages.to_nested(p).count())]
+    return spark.createDataFrame(rows, "operator string, n int")
+
+
+@query("windowed_packages", """SELECT day AS window_start, 'optimal' AS status, round(sum(value), 6) AS objective FROM (
+  SELECT date_trunc('day', ts) AS day, value, row_number() OVER (PARTITION BY date_trunc('day', ts) ORDER BY value DESC) AS r, count(*) OVER (PARTITION BY date_trunc('day', ts)) AS n FROM events) WHERE r <= 3 AND n >= 3 GROUP BY day""")
+def windowed(spark, sf_dir):
+    df = table(spark, sf_dir, "events")
+    q = package_of(df).repeat(0).such_that(count_() == 3).maximize(sum_("value")).query
+    out = windowed_packages(df, q, "ts", "event_id")
+    return out.filter("status = 'optimal'").select("window_start", "status", F.round("objective", 6).alias("objective"))
+
+
+@query("as_of_events", """SELECT e.event_id, e.user_id, max_by(p.event_id, (p.ts, p.event_id)) AS r_event_id FROM (SELECT * FROM events WHERE event_type = 'purchase') e
+LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'click' GROUP BY ALL) p ON p.user_id = e.user_id AND p.ts <= e.ts GROUP BY ALL""")
+def as_of_events(spark, sf_dir):
+    e = table(spark, sf_dir, "events")
+    right = e.filter("event_type = 'click'").groupBy("user_id", "ts").agg(F.max("event_id").alias("event_id"))
+    return as_of(e.filter("event_type = 'purchase'").select("event_id", "user_id", "ts"), right, "ts", "user_id").select("event_id", "user_id", "r_event_id")
+
+
+@query("selfjoin_growth")
+def selfjoin_growth(spark, sf_dir):
+    """Packages and candidates of the self join on 100 rows for sizes 2 and 3, against the whole solve's columns."""
+    df = first_lines(spark, sf_dir)
+    out = []
+    for k in (2, 3):
+        found = baselines.self_join_packages(df, k, "tid", {"l_quantity": (20.0 * k, 30.0 * k)}, "l_extendedprice", "max").collect()
+        q = package_of(df).repeat(0).such_that((count_() == k) & sum_("l_quantity").between(20.0 * k, 30.0 * k)).maximize(sum_("l_extendedprice")).query
+        r = whole_solve(df, q, QUICK)
+        out.append((k, round(found[0]["l_extendedprice"], 2), round(r.objective, 2)))
+    return spark.createDataFrame(out, "k int, self_join double, whole double")
