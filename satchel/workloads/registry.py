@@ -24,6 +24,7 @@ from ..solve.branch import lp_bound, round_lp
 from ..solve.problem import SolverLimits
 from ..sources.joins import as_of, join_tradeoff, prejoin, table
 from ..streaming.windows import windowed_packages
+from . import experiments
 from . import sql as S
 from .definitions import WORKLOADS, _once, features, first_lines, lines, meal, parts
 
@@ -578,3 +579,16 @@ def selfjoin_growth(spark, sf_dir):
         r = whole_solve(df, q, QUICK)
         out.append((k, round(found[0]["l_extendedprice"], 2), round(r.objective, 2)))
     return spark.createDataFrame(out, "k int, self_join double, whole double")
+
+
+# Experiments; seconds differ from run to run, so they have no SQL.
+
+query("ex0_self_join")(lambda spark, sf_dir: experiments.ex0_self_join(spark, sf_dir, 3))
+query("ex1_scaling")(lambda spark, sf_dir: experiments.ex1_scaling(spark, sf_dir, ("w1", "w4", "v1")))
+query("ex1b_radius")(experiments.ex1b_radius)
+query("ex2_tau")(lambda spark, sf_dir: experiments.ex2_tau(spark, sf_dir, taus=(0.5, 0.1, 0.01)))
+query("ex3_coverage")(experiments.ex3_coverage)
+query("ex4_partitioning")(experiments.ex4_partitioning)
+query("ex5_remedies")(experiments.ex5_remedies)
+query("ex6_methods")(experiments.ex6_methods)
+query("ex7_dynamic")(experiments.ex7_dynamic)
