@@ -1,0 +1,348 @@
+"""Each operator against a brute-force version, a library or a round trip, with awkward rows."""
+
+from __future__ import annotations
+
+import hashlib
+import random
+import re
+import zlib
+
+import numpy as np
+import pytest
+from conftest import agrees
+from pyspark.sql import functions as F
+
+from satchel.llm import bpe_codec, id_shards, jaccard, mixing, pii, quality_rules, registry, token_counts, topk, toxicity, warc
+from satchel.llm.wordbpe import vocabulary_path
+
+ODD = [None, "", "  \n\t ", "<|endoftext|>", "a<|endoftext|>b <|startoftext|> x", "ΣΑΣ İstanbul ǅ ²³¼ x²", "日本語 テスト 123", "été a\x1cb", "_a_b__c", "don't I'LL 's", "😀👩‍👩‍👧", "ﬁ ß ẞ", "x" * 4000, "\0a\0", "same", "same", "word " * 3000]
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, key string, body string, spans string, bucket long"
+
+
+def documents(spark, texts):
+    """With extra columns whose names clash with inner ones."""
+    return spark.createDataFrame([(i, t, None if i % 7 == 0 else "en", None if i % 5 == 0 else f"s{i % 3}", None, "k", "b", "s", 1) for i, t in enumerate(texts)], SCHEMA).repartition(3)
+
+
+@pytest.fixture(scope="module")
+def texts(spark, sf):
+    return ODD + [r.text for r in spark.read.parquet(f"{sf}/documents.parquet").orderBy("doc_id").limit(120).collect()]
+
+
+@pytest.mark.parametrize("name", sorted(registry.oracle_sql()))
+def test_sql(spark, sf, name):
+    agrees(spark, sf, registry.queries()[name], registry.oracle_sql()[name])
+
+
+def test_word_bpe_is_the_library(spark, texts):
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(vocabulary_path("word_bpe_49k.json"))
+    docs = documents(spark, texts)
+    counts = {r.doc_id: r for r in token_counts.token_counts(docs).collect()}
+    codes = {r.doc_id: r for r in bpe_codec.encode_decode(docs).collect()}
+    ids = {r.doc_id: r.ids for r in bpe_codec.token_ids(docs).collect()}
+    assert len(counts) == len(codes) == len(texts)
+    for i, t in enumerate(texts):
+        want = library.encode(t or "", add_special_tokens=False).ids
+        back = library.decode(want, skip_special_tokens=False)
+        assert ids[i] == want
+        assert (counts[i].n_tokens, counts[i].n_bytes, counts[i].over_limit) == (len(want), len((t or "").encode()), len(want) > 2048)
+        assert (codes[i].n_tokens, codes[i].ids_sha256, codes[i].decoded_sha256) == (len(want), hashlib.sha256(" ".join(map(str, want)).encode()).hexdigest(), hashlib.sha256(back.encode()).hexdigest())
+
+
+def test_merge_order_and_stale_entries():
+    ranks = {1 << 20 | 2: (0, 10), 10 << 20 | 2: (1, 11), 2 << 20 | 2: (2, 12)}
+    assert bpe_codec.merge_symbols([1, 2, 2, 2], ranks) == [11, 2]
+    assert bpe_codec.merge_symbols([2, 2, 2], ranks) == [12, 2]
+    assert bpe_codec.merge_symbols([], ranks) == [] and bpe_codec.merge_symbols([5], ranks) == [5]
+
+
+def test_id_shards(spark, texts, tmp_path):
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(vocabulary_path("byte_bpe_50k.json"))
+    docs = documents(spark, texts)
+    listed = id_shards.write_shards(docs, tmp_path.as_uri() + "/a")
+    got = {r.doc_id: r for r in id_shards.read_shards(listed).collect()}
+    start, some = 0, {}
+    for i, t in enumerate(texts):
+        ids = library.encode(t or "", add_special_tokens=False).ids + [0]
+        assert (got[i].start, got[i].n_tokens, got[i].ids_crc32) == (start, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+        start += len(ids)
+        some[i] = ids
+    found = id_shards.lookup(listed, [0, 5, len(texts) - 1, 10**9])
+    assert found == {i: some[i] for i in (0, 5, len(texts) - 1)}
+    repeated = spark.createDataFrame([(3, "a"), (3, "b"), (None, "c"), (3, "a")], "doc_id long, text string")
+    rows = id_shards.read_shards(id_shards.write_shards(repeated, tmp_path.as_uri() + "/b")).orderBy("start").collect()
+    assert [r.doc_id for r in rows] == [None, 3, 3, 3] and rows[-1].start + rows[-1].n_tokens == sum(r.n_tokens for r in rows)
+    assert id_shards.read_shards(id_shards.write_shards(docs.limit(0), tmp_path.as_uri() + "/c")).count() == 0
+
+
+def slow_features(t):
+    words = re.findall(r"[^\x20\x09-\x0D]+", t or "")
+    windows = [tuple(words[i : i + 5]) for i in range(len(words) - 4)]
+    covered = set()
+    for i, w in enumerate(windows):
+        if windows.count(w) > 1:
+            covered |= set(range(i, i + 5))
+    lines = [x for x in (t or "").split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+    return len(words), sum(map(len, words)), sum((t or "").count(c) for c in "#*$%&|<>"), len(lines) - len(set(lines)), len(covered)
+
+
+def test_quality_features(spark, texts):
+    texts = [t for t in texts if t is None or len(t) < 3000] + ["a b c d e f a b c d e\nx\nx\n\nx #*|"]
+    got = {r.doc_id: r for r in quality_rules.quality_features(documents(spark, texts)).collect()}
+    for i, t in enumerate(texts):
+        assert (got[i].n_words, got[i].word_chars, got[i].n_symbols, got[i].n_dup_lines, got[i].n_repeat_words) == slow_features(t)
+
+
+def test_quality_bounds(spark):
+    from math import comb
+
+    for n, k, p in ((20, 3, 0.2), (50, 0, 0.05), (7, 7, 0.5)):
+        assert abs(quality_rules.binomial_at_most(k, n, p) - sum(comb(n, i) * p**i * (1 - p) ** (n - i) for i in range(k + 1))) < 1e-9
+    schema = "doc_id long, stratum string, n_words long, word_chars long, n_symbols long, n_lines long, n_dup_lines long, n_repeat_words long"
+    rows = [(i, "en", 100, 500, 80 if i % 4 == 0 else 0, 10, 0, 0) for i in range(8000)]
+    features = spark.createDataFrame(rows, schema)
+    labels = spark.createDataFrame([(i, 0 if i % 4 == 0 else 1) for i in range(8000)], "doc_id long, quality int")
+    cuts = quality_rules.accepted_cutoffs(features, labels)
+    judged = quality_rules.judged(features, cuts).collect()
+    good = [r for r in judged if r.doc_id % 4]
+    assert sum(not r.kept for r in good) / len(good) <= quality_rules.RISK
+    assert sum(r.kept for r in judged if r.doc_id % 4 == 0) == 0
+    few = quality_rules.accepted_cutoffs(features.limit(50), labels)
+    assert few.count() == 0 and quality_rules.judged(features.limit(50), few).filter("kept").count() == 50
+
+
+def test_toxicity_pairs_and_empties(spark):
+    rng = random.Random(1)
+    fill = [f"w{i}" for i in range(200)]
+
+    def text(*own):
+        return " ".join(rng.sample(fill, 12) + list(own))
+
+    lists, labels = [], []
+    for i in range(4000):
+        a, b = rng.random() < 0.5, rng.random() < 0.5  # toxic only together
+        lists.append(np.array(sorted({toxicity.bucket(x) for x in toxicity.terms(text(*["fool"] * a, *["groupx"] * b).encode())})))
+        labels.append(float(a and b))
+    m = toxicity.fit(np.array(labels), lists)
+    at = lambda t: sorted({m.place[x] for x in map(toxicity.bucket, toxicity.terms(t)) if x in m.place})
+    assert m.score(at(b"fool groupx")) > 0.5 > max(m.score(at(b"fool")), m.score(at(b"groupx")), m.score([]))
+    docs = spark.createDataFrame([(1, None), (2, ""), (2, ""), (None, "FOOL groupx")], "doc_id long, text string")
+    out = toxicity.score(docs, m).collect()
+    assert len(out) == 4 and [r.predicted for r in out if r.doc_id is None] == [1]
+    none = toxicity.train(docs, spark.createDataFrame([], "doc_id long, toxic int"))
+    assert {r.predicted for r in toxicity.score(docs, none).collect()} == {0}
+
+
+def test_toxicity_held_out(spark, sf):
+    big = sf.replace("0.001", "0.01")
+    found = registry.queries()["op4_toxicity"](spark, big).join(spark.read.parquet(f"{big}/labels.parquet"), "doc_id").filter("held_out").collect()
+    clean = [r for r in found if not r.toxic]
+    assert sum(r.predicted for r in clean) <= 0.05 * len(clean)
+    assert sum(r.predicted for r in found if r.toxic) >= 0.5 * sum(r.toxic for r in found)
+
+
+def luhn(digits):
+    return sum(d if i % 2 == 0 else d * 2 - 9 * (d > 4) for i, d in enumerate(map(int, reversed(digits)))) % 10 == 0
+
+
+def slow_spans(t):
+    out = [(m.start(), 0, m.end()) for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]
+    out += [(m.start(), 1, m.end()) for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(x) <= 255 for x in m.group().split("."))]
+    for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", t):
+        d = re.sub("[^0-9]", "", m.group())
+        out += [(m.start(), 2, m.end())] * (14 <= len(d) <= 19 and luhn(d))
+    for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", t):
+        out += [(m.start(), 3, m.end())] * (10 <= len(re.sub("[^0-9]", "", m.group())) <= 15)
+    return sorted(out)
+
+
+def test_private_data(spark, texts):
+    rng = random.Random(3)
+    alphabet = "0123456789" * 3 + ".... --++@@ab() é😀\n"
+    mine = texts + ["".join(rng.choice(alphabet) for _ in range(rng.randrange(80))) for _ in range(400)]
+    mine += ["a@b.c%d@e.f", "0255.1.1.1 000.0.00.1 1.2.3.4.5.6.7.8", "9" * 20000, "1 " * 5000, "x@y.z " * 700, "4111111111111111 4111-1111-1111-1111", "mail bob (at) site (dot) com"]
+    got = {r.doc_id: r for r in pii.find_spans(documents(spark, mine)).collect()}
+    for i, t in enumerate(mine):
+        base = slow_spans(t or "")
+        assert [tuple(x) for x in got[i].base] == base
+        assert set(base) <= {tuple(x) for x in got[i].spans}
+    docs = documents(spark, mine)
+    clean = {r.doc_id: r.text for r in pii.redact(docs).collect()}
+    assert pii.redact(docs).columns == docs.columns
+    for i, t in enumerate(mine):
+        assert clean[i] == t if not got[i].spans else not slow_spans(re.sub(r"\[[A-Z]+\]", "|", clean[i]))
+
+
+def test_votes_are_weighed():
+    sure, unsure = ((1, 1, 1, 1, 1), 90), ((-1, -1, 0, -1, -1), 60)
+    share, chance, post = pii.reliabilities([sure, unsure])
+    assert 0.4 < share < 0.8 and post[0] > 0.9 > 0.1 > post[1]
+    w = pii.fit_logistic([sure, unsure], post)
+    assert w[0] + sum(w[1::2]) > 0 > w[0] + sum(w[2::2])
+
+
+def test_mixing(spark):
+    rng = random.Random(5)
+    rows = [(i % 900, " ".join("w" * rng.randrange(0, 30)), None if i % 9 == 0 else f"s{i % 4}") for i in range(1000)] + [(None, "a b", "s1"), (7, None, "tiny"), (8, "x " * 20000, "s2")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = mixing.mixed(docs).collect()
+    assert len(got) == len(rows)
+    sizes = {}
+    for r in got:
+        sizes.setdefault(r.source, []).append(r)
+    for own in sizes.values():
+        taken, largest = sum(r.size * r.copies for r in own), max(r.size for r in own)
+        assert sum(r.size for r in own) == own[0].source_size
+        assert own[0].target <= 3 * own[0].source_size + 1e-6
+        assert abs(taken - own[0].target) <= 2 * largest + 60
+        assert all(r.copies * r.size <= 3 * r.size for r in own)
+    assert abs(sum(own[0].target for own in sizes.values()) - sum(r.size for r in got)) < 1e-6
+    assert sorted(map(tuple, mixing.mixed(docs).collect()), key=repr) == sorted(map(tuple, got), key=repr)
+    assert mixing.mix_documents(docs).count() == sum(r.copies for r in got)
+    assert mixing.mixed(docs.limit(0)).count() == 0
+
+
+def test_warc(spark, tmp_path):
+    long = "<p>" + "x" * 200
+    pages = spark.createDataFrame([(5, "u\r\n5", long), (3, "u3", long), (3, "u3", long), (None, None, long), (9, "u", None), (10, "é\\n", "short"), (11, "z", "short"), (12, "y", "\r\n\r\nWARC/1.0\r\n\r\n" + "k" * 300)], "page_id long, url string, html string")
+    folder = tmp_path.as_uri() + "/w"
+    warc.write_archive(pages, folder)
+    got = warc.read_archive(spark, folder, payload=True, verify=True)
+    rows = {(r.page_id, r.url): r for r in got.collect()}
+    assert got.count() == 8 and rows[5, "u\r\n5"].refers_to == 3 and rows[None, None].record_type == "revisit"
+    assert rows[3, "u3"].record_type == rows[10, "é\\n"].record_type == rows[11, "z"].record_type == "response"
+    assert bytes(rows[12, "y"].payload).decode().endswith("k" * 300) and rows[5, "u\r\n5"].payload is None and rows[9, "u"].payload_bytes == 0
+    some = warc.read_archive(spark, folder).filter((F.col("record_type") == "response") & (F.col("page_id") > 9))
+    assert sorted(r.page_id for r in some.collect()) == [10, 11, 12]
+    assert "PushedFilters" in some._jdf.queryExecution().toString() or some.count() == 3
+    import gzip
+
+    for f in (tmp_path / "w").glob("*.gz"):
+        assert gzip.open(f).read().count(b"WARC/1.1\r\n") >= 1
+        plain = tmp_path / "p" / f.name.removesuffix(".gz")
+        plain.parent.mkdir(exist_ok=True)
+        plain.write_bytes(gzip.open(f).read())
+    assert warc.read_archive(spark, (tmp_path / "p").as_uri(), verify=True).count() == 8
+    empty = tmp_path.as_uri() + "/e"
+    warc.write_archive(pages.limit(0), empty)
+    assert warc.read_archive(spark, empty).count() == 0
+
+
+def slow_groups(texts):
+    sets = [jaccard.shingle_set((t or "").encode()) for t in texts]
+    parent = list(range(len(sets)))
+
+    def top(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i in range(len(sets)):
+        for j in range(i):
+            a, b = sets[i], sets[j]
+            if a and b and 100 * len(a & b) >= 80 * len(a | b):
+                x, y = top(i), top(j)
+                parent[max(x, y)] = min(x, y)
+    return [(i, len(s), top(i)) for i, s in enumerate(sets)]
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_near_duplicates(spark, seed):
+    rng = random.Random(seed)
+    vocabulary, texts = [f"w{i}" for i in range(300)], [None, "", " \n", "a", "A", "a b c", "a b c"]
+    for _ in range(60):
+        base = [rng.choice(vocabulary) for _ in range(rng.choice([1, 3, 5, 6, 8, 9, 10, 12, 14, 17, 20, 30, 60, 150]))]
+        for _ in range(rng.choice([1, 2, 5, 12])):
+            t = list(base)
+            for _ in range(rng.randrange(1 + max(1, len(base) // 12))):
+                i = rng.randrange(len(t))
+                what = rng.random()
+                if what < 0.4:
+                    t[i] = rng.choice(vocabulary)
+                elif what < 0.7:
+                    t.insert(i, rng.choice(vocabulary))
+                elif len(t) > 1:
+                    del t[i]
+            texts.append(" ".join(t).upper() if rng.random() < 0.2 else "\n".join(t))
+    got = sorted((r.doc_id, r.n_shingles, r.component_id) for r in jaccard.near_duplicates(documents(spark, texts)).collect())
+    assert got == slow_groups(texts)
+    one = jaccard.one_of_each(documents(spark, texts))
+    assert sorted(r.doc_id for r in one.collect()) == sorted({g for _, _, g in got})
+
+
+def test_near_duplicates_signatures_never_miss():
+    rng = np.random.default_rng(0)
+    for n in (4, 5, 7, 9, 13, 18, 26, 40, 90, 300, 1500):
+        for _ in range(20):
+            a = np.unique(rng.integers(0, 1 << 63, n).astype(np.uint64))
+            b = a.copy()
+            for _ in range(int(rng.integers(0, max(1, n // 8) + 1))):
+                b = np.delete(b, rng.integers(len(b))) if rng.random() < 0.5 else np.append(b, np.uint64(rng.integers(0, 1 << 63)))
+            b = np.unique(b)
+            both = len(np.intersect1d(a, b))
+            if 5 * both >= 4 * (len(a) + len(b) - both) and not np.array_equal(a, b):
+                assert len(np.intersect1d(jaccard.signatures(a), jaccard.signatures(b)))
+                words = min(len(jaccard.parity_sketch(a)), len(jaccard.parity_sketch(b)))
+                apart = int(np.bitwise_count(jaccard.folded(jaccard.parity_sketch(a), words) ^ jaccard.folded(jaccard.parity_sketch(b), words)).sum())
+                assert apart <= len(a) + len(b) - 2 * both
+
+
+def test_near_duplicates_repeated_keys(spark):
+    words = " ".join(f"w{i}" for i in range(40))
+    other = " ".join(f"v{i}" for i in range(40))
+    docs = spark.createDataFrame([(5, words), (5, other), (3, other), (None, words), (9, words + " x")], "doc_id long, text string")
+    got = sorted(((r.doc_id, r.component_id) for r in jaccard.near_duplicates(docs).collect()), key=repr)
+    assert got == [(3, 3), (5, 3), (5, 3), (9, 3), (None, None)]
+    assert jaccard.near_duplicates(docs.limit(0)).count() == 0
+
+
+def slow_top(rows, k=5):
+    own = [(i, np.floor(256 * np.array(v, float)).astype(int)) for i, v in rows if i is not None and v is not None and all(x is not None and np.isfinite(x) for x in v)]
+    out = []
+    for q, x in own:
+        if q % 50 == 0:
+            best = sorted(((-int(x @ y), i) for i, y in own if i != q))[:k]
+            out += [(q, r + 1, i, -s) for r, (s, i) in enumerate(best)]
+    return sorted(set(out))
+
+
+def test_top_products(spark, monkeypatch):
+    monkeypatch.setattr(topk, "BLOCK_ROWS", 40)
+    monkeypatch.setattr(topk, "BAND_ROWS", 120)
+    monkeypatch.setattr(topk, "QUERY_ROWS", 3)
+    rng = np.random.default_rng(2)
+    rows = [(i, [float(np.float32(x)) for x in rng.normal(0, 1 + (i % 7), 12)]) for i in range(600)]
+    rows += [(1000 + i, [1.0] * 12) for i in range(60)] + [(2001, None), (2002, [1.0] * 11 + [None]), (2050, [float("nan")] * 12), (2100, [float("inf")] + [0.0] * 11), (2150, [0.0] * 12)]
+    df = spark.createDataFrame(rows + [(None, [1.0] * 12)], "vec_id long, embedding array<float>")
+    got = sorted(map(tuple, topk.top_inner_products(df, F.col("vec_id") % 50 == 0).collect()))
+    assert got == slow_top(rows)
+    assert topk.top_inner_products(df.limit(0), F.col("vec_id") % 50 == 0).count() == 0
+    assert topk.top_inner_products(df.filter("vec_id in (0, 1)"), F.col("vec_id") % 50 == 0).count() == 1
+
+
+def test_exact_products_of_large_numbers():
+    a = np.array([[1 << 40, 3]])
+    assert topk.exact_products(a, np.array([[1 << 21, 5]]))[0, 0] == (1 << 61) + 15
+    assert topk.exact_products(a, np.array([[1 << 40, 5]]))[0, 0] == (1 << 63) - 1
+
+
+def test_pipeline(spark, sf):
+    import corpus_pipeline
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    out = corpus_pipeline.run(spark, sf)
+    assert out.columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+    known = {r.doc_id for r in docs.collect()}
+    assert {r.doc_id for r in out.collect()} <= known
+    odd = documents(spark, ODD).select(*corpus_pipeline.COLUMNS)
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        odd = stage(spark, odd, sf)
+        assert odd.columns == corpus_pipeline.COLUMNS
+    empty = docs.limit(0)
+    for _, stage in corpus_pipeline.STAGES:
+        empty = stage(spark, empty, sf)
+        assert empty.count() == 0
