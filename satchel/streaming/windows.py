@@ -23,7 +23,8 @@ def windowed_packages(events: DataFrame, q: PackageQuery, time_col: str, key: st
 
     A window's eligible tuples are gathered as coefficients only; a window must fit the memory limit.
     """
-    rows = events.withWatermark(time_col, watermark) if events.isStreaming else events
+    rows = events.withColumn(time_col, F.col(time_col).cast("timestamp"))
+    rows = rows.withWatermark(time_col, watermark) if events.isStreaming else rows
     keyed = rows.withColumn("tid", F.col(key).cast("long"))
     t = translate(keyed, q)
     frame = coefficient_frame(keyed, t, ("tid", time_col))
