@@ -129,14 +129,14 @@ def ex6_methods(spark: SparkSession, sf_dir: str, name: str = "v5") -> DataFrame
     return spark.createDataFrame(out, "method string, groups long, largest long, over_tau double, " + PAIR)
 
 
-def ex7_dynamic(spark: SparkSession, sf_dir: str, name: str = "w5") -> DataFrame:
+def ex7_dynamic(spark: SparkSession, sf_dir: str, name: str = "w5", epsilons=(0.1, 0.3, 0.6)) -> DataFrame:
     """A partitioning made for each eps against cuts of one fine tree."""
     w = WORKLOADS[name]
     df = w.relation(spark, sf_dir)
     attrs = list(w.attrs)
     tree = quad_partition(df, attrs, 0.05, radius_for(0.1, "max"), digits=w.digits)
     out = []
-    for eps in (0.1, 0.3, 0.6):
+    for eps in epsilons:
         radius = radius_for(eps, "max")
         a, made = timed(lambda radius=radius: quad_partition(df, attrs, 0.05, radius, digits=w.digits))
         b, cut = timed(lambda radius=radius: tree.cut(radius))
