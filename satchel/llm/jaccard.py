@@ -4,13 +4,16 @@ Sets of different texts can only reach T if their symmetric difference is small,
 is hashed into segments: as a pair differs in few tokens, some segment must hold the same tokens in both sets
 (or differ in one, where segments are allocated a deletion). Per band of set sizes the allocation with the
 lower estimated cost is used: many small segments that must be equal, or few larger ones that may miss one
-token and are also indexed without each of their tokens. A set indexes its first segments until enough
-non-empty ones are there for the pigeonhole to hold; sets that run out of segments meet in a list of their own.
+token and are also indexed without each of their tokens. Shingles that many documents hold (passages, licence
+lines) have segments of their own, which come last. A set indexes its first segments until enough non-empty
+ones are there for the pigeonhole to hold, so popular segments serve only sets that have little else; sets that
+run out of segments meet in a list of their own.
 
 Steps: (1) sets get a 128-bit fingerprint; equal sets are one from here on. (2) Signatures go, packed, to
-hash buckets; sets that share one form a list. (3) In every list each set is held against the smallest
-(by fingerprint), exactly, over whole texts. (4) In lists where that fails for some, these are held against
-all the others, so a pair is skipped only where both are known to hang together. (5) Links give components.
+hash buckets; sets that share one form a list. (3) In every list sizes and parity sketches rule out what can't be
+similar; the rest is held against the smallest set (by fingerprint), or else against the nearest few, exactly,
+over whole texts. (4) Then every pair of a list that isn't ruled out and doesn't hang together through links
+found so far is compared, so a pair is skipped only where it can't change a component. (5) Links give components.
 
 Words are runs between blanks, A-Z lower-cased; texts shorter than a shingle are one shingle. Fingerprints
 of shingles have 64 bits when sets are counted and indexed; pairs are verified on the words themselves.
@@ -33,11 +36,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, ship, shuffle_width, table
+from .common import materialize, ship, table
 
 WORDS, T_NUM, T_DEN = 5, 4, 5
-FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS = 1_500_000, 1_500_000, 500_000
-MEMO_ENTRIES = 500_000
+FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS, FOREST_EDGES, TRIES = 750_000, 3_000_000, 500_000, 500_000, 2
+MEMO_ENTRIES = 200_000
+#: A shingle is popular if a block of about BLOCK_HASHES holds it in OFTEN sets; the POPULAR most frequent ones count.
+#: This allocates segments and changes cost only.
+BLOCK_HASHES, OFTEN, POPULAR = 2_000_000, 5, 100_000
 U = np.uint64
 C1, C2, C3 = U(0x9E3779B97F4A7C15), U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB)
 
@@ -135,9 +141,15 @@ def allocation(band: int) -> tuple[int, bool]:
     return m, deletion
 
 
-def signatures(h: np.ndarray) -> np.ndarray:
-    """Of a set given by its hashes: what it is indexed under, in its own band and where larger partners are."""
+def signatures(h: np.ndarray, popular: np.ndarray | None = None) -> np.ndarray:
+    """Of a set given by its hashes: what it is indexed under, in its own band and where larger partners are.
+
+    popular: sorted hashes of popular shingles, the same for all sets.
+    """
     s = len(h)
+    late = None
+    if popular is not None and len(popular):
+        late = popular[np.minimum(np.searchsorted(popular, h), len(popular) - 1)] == h
     own = int(np.searchsorted(band_edges(), s))
     out = []
     for band in (own, own + 1):
@@ -151,6 +163,8 @@ def signatures(h: np.ndarray) -> np.ndarray:
         salt = U(band * int(C1) & (1 << 64) - 1)
         token = mix(h ^ salt)
         segment = ((token >> U(32)) * U(m)) >> U(32)
+        if late is not None:
+            segment = segment + late.astype(U) * U(m)
         order = np.argsort(segment, kind="stable")
         segment, token = segment[order], mix(token[order] + C3)
         starts = np.flatnonzero(np.concatenate(([True], segment[1:] != segment[:-1])))
@@ -181,24 +195,51 @@ def fingerprint(h: np.ndarray) -> tuple[int, int]:
 
 
 def shingle_sets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """key, n_shingles and the fingerprint (hi, lo) of each row's set, null for an empty one."""
+    """key, n_shingles, the fingerprint (hi, lo) and the sketch of each row's set, null for an empty one.
+
+    Further rows, with often and times and nothing else, have each block's popular shingles.
+    """
+
+    schema = pa.schema([("key", pa.int64()), ("n_shingles", pa.int64()), ("hi", pa.int64()), ("lo", pa.int64()), ("sketch", pa.binary()), ("often", pa.list_(pa.int64())), ("times", pa.list_(pa.int64()))])
+
+    def counted(block: dict[tuple, np.ndarray]) -> pa.RecordBatch:
+        """A row of shingles that many sets of the block hold."""
+        found, times = np.unique(np.concatenate(list(block.values())), return_counts=True) if block else (np.zeros(0, U), np.zeros(0, int))
+        many = times >= OFTEN
+        return pa.RecordBatch.from_pylist([{"often": found[many].view(np.int64).tolist(), "times": times[many].tolist()}], schema=schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        block: dict[tuple, np.ndarray] = {}
+        held = 0
         for batch in batches:
-            n, hi, lo = [], [], []
-            for raw in batch.column(1).to_pylist():
+            rows = []
+            for key, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 h = shingle_hashes(raw or b"")
-                a, b = fingerprint(h) if len(h) else (None, None)
-                n.append(len(h))
-                hi.append(a)
-                lo.append(b)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(hi, pa.int64()), pa.array(lo, pa.int64())], ["key", "n_shingles", "hi", "lo"])
+                a, b = mark = fingerprint(h) if len(h) else (None, None)
+                rows.append((key, len(h), a, b, parity_sketch(h).tobytes() if len(h) else None))
+                if len(h) and mark not in block:
+                    block[mark] = h
+                    held += len(h)
+                    if held >= BLOCK_HASHES:
+                        yield counted(block)
+                        block, held = {}, 0
+            columns = list(zip(*rows, strict=True)) if rows else [()] * 5
+            columns += [[None] * len(rows)] * 2
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)
+        yield counted(block)
 
     rows = docs.select(F.col(id_col).cast("long").alias("key"), F.col(text_col).cast("binary").alias("body"))
-    return rows.mapInArrow(run, "key long, n_shingles long, hi long, lo long")
+    return rows.mapInArrow(run, "key long, n_shingles long, hi long, lo long, sketch binary, often array<bigint>, times array<bigint>")
 
 
-def signature_buckets(docs: DataFrame, buckets: int, id_col: str, text_col: str) -> DataFrame:
+def popular_shingles(sets: DataFrame) -> np.ndarray:
+    """Sorted hashes of at most POPULAR shingles, by the blocks' counts over all documents."""
+    pairs = sets.filter("often is not null").select(F.explode(F.arrays_zip("often", "times")).alias("x")).select("x.often", "x.times")
+    best = pairs.groupBy("often").agg(F.sum("times").alias("times")).orderBy(F.col("times").desc(), "often").limit(POPULAR)
+    return np.sort(best.select("often").toArrow()["often"].to_numpy().astype(np.int64).view(U))
+
+
+def signature_buckets(docs: DataFrame, buckets: int, popular: np.ndarray, id_col: str, text_col: str) -> DataFrame:
     """Packed (signature, set) pairs by bucket; a task sends each pair once per flush."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -232,7 +273,7 @@ def signature_buckets(docs: DataFrame, buckets: int, id_col: str, text_col: str)
                 if lo in seen:
                     continue
                 seen.add(lo)
-                found = signatures(h)
+                found = signatures(h, popular)
                 sigs.append(found)
                 sets.append(np.full(len(found), lo, np.int64))
                 held += len(found)
@@ -267,75 +308,177 @@ def lists_of(sig: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def shared_lists(packed: DataFrame, partitions: int) -> DataFrame:
-    """part, lens, sets: the lists of each partition of buckets, packed."""
+    """part, lens, sets: the lists of each bucket, packed. A task works through its buckets one by one."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
+        part, sigs, sets = None, [], []
+
+        def lists() -> Iterator[pa.RecordBatch]:
+            if sigs:
+                sig, own = np.concatenate(sigs), np.concatenate(sets)
+                sigs.clear()
+                sets.clear()
+                yield from packed_lists(part, *lists_of(sig, own))
 
-        sigs, sets = [], []
         for batch in batches:
-            sigs += [np.frombuffer(x, U) for x in batch.column(1).to_pylist()]
-            sets += [np.frombuffer(x, np.int64) for x in batch.column(2).to_pylist()]
-        if sigs:
-            lengths, lo = lists_of(np.concatenate(sigs), np.concatenate(sets))
-            if len(lengths):
-                yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int64()), pa.array([lengths.astype(np.int64).tobytes()], pa.binary()), pa.array([lo.tobytes()], pa.binary())], ["part", "lens", "sets"])
+            for bucket, s, o in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
+                if bucket != part:
+                    yield from lists()
+                    part = bucket
+                sigs.append(np.frombuffer(s.as_buffer().to_pybytes(), U))
+                sets.append(np.frombuffer(o.as_buffer().to_pybytes(), np.int64))
+        yield from lists()
 
-    return packed.repartition(partitions, "bucket").mapInArrow(run, "part long, lens binary, sets binary")
+    return packed.repartition(partitions, "bucket").sortWithinPartitions("bucket").mapInArrow(run, "part long, lens binary, sets binary")
 
 
-def _pairs_batch(part: int, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
-    both = np.unique(np.stack((a, b), 1), axis=0) if len(a) else np.zeros((0, 2), np.int64)
-    for at in range(0, len(both), 200_000):
-        some = both[at : at + 200_000]
-        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), part)), pa.array(some[:, 0].copy()), pa.array(some[:, 1].copy())], ["part", "a", "b"])
+def packed_lists(part: int, lengths: np.ndarray, lo: np.ndarray) -> Iterator[pa.RecordBatch]:
+    if len(lengths):
+        yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([lengths.astype(np.int64).tobytes()], pa.binary()), pa.array([lo.astype(np.int64).tobytes()], pa.binary())], ["part", "lens", "sets"])
 
 
-def star_pairs(lists: DataFrame) -> DataFrame:
-    """part, a, b: in each list, the smallest set with every other."""
+def parity_sketch(h: np.ndarray) -> np.ndarray:
+    """Whether an odd number of tokens falls on each of about as many bits as the set has tokens, as 64-bit words.
+
+    Every token in which two sets differ flips one bit at most, so sketches never differ in more bits than the sets in tokens.
+    """
+    bits = 64
+    while bits < len(h):
+        bits *= 2
+    at = (mix(h ^ C3) & U(bits - 1)).astype(np.int64)
+    return np.packbits(np.bincount(at, minlength=bits).astype(np.uint8) & 1, bitorder="little").view("<u8")
+
+
+def folded(sketch: np.ndarray, words: int) -> np.ndarray:
+    """A sketch of fewer bits: halves laid over each other."""
+    while len(sketch) > words:
+        sketch = sketch[: len(sketch) // 2] ^ sketch[len(sketch) // 2 :]
+    return sketch
+
+
+def list_members(lists: DataFrame) -> DataFrame:
+    """part, lo: the sets in the lists of each part, each once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part, lens, sets in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                lengths, lo = np.frombuffer(lens, np.int64), np.frombuffer(sets, np.int64)
-                offsets = np.concatenate(([0], np.cumsum(lengths)[:-1]))
-                first = np.repeat(lo[offsets], lengths)
-                rest = np.ones(len(lo), bool)
-                rest[offsets] = False
-                yield from _pairs_batch(part, first[rest], lo[rest])
-
-    return lists.mapInArrow(run, "part long, a long, b long")
+            for part, sets in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                lo = np.unique(np.frombuffer(sets, np.int64))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(lo), part)), pa.array(lo)], ["part", "lo"])
+
+    return lists.select("part", "sets").mapInArrow(run, "part long, lo long")
+
+
+class Sketches:
+    """Sizes and sketches of some sets; may_link() says which pairs could be similar, and never misses one."""
+
+    def __init__(self, rows: list[dict]):
+        self.at = {r["lo"]: i for i, r in enumerate(rows)}
+        self.n = np.array([r["n"] for r in rows], np.int64)
+        self.sketch = [np.frombuffer(r["sketch"], "<u8") for r in rows]
+        self.short: dict[tuple[int, int], np.ndarray] = {}
+
+    def table(self, own: list[int]) -> np.ndarray:
+        words = min(len(self.sketch[i]) for i in own)
+        out = np.empty((len(own), words), np.uint64)
+        for k, i in enumerate(own):
+            x = self.sketch[i]
+            if len(x) != words:
+                if (i, words) not in self.short:
+                    self.short[i, words] = folded(x, words)
+                x = self.short[i, words]
+            out[k] = x
+        return out
 
+    def may_link(self, n: np.ndarray, table: np.ndarray, i: int, others: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which of the others may be similar to i, and in how many bits they differ."""
+        apart = np.bitwise_count(table[others] ^ table[i]).sum(1, dtype=np.int64)
+        a, b = np.minimum(n[others], n[i]), np.maximum(n[others], n[i])
+        return (T_DEN * a >= T_NUM * b) & ((T_DEN + T_NUM) * apart <= (T_DEN - T_NUM) * (a + b)), apart
 
-def further_pairs(lists: DataFrame, failed: DataFrame) -> DataFrame:
-    """a, b: in lists of three and more, sets that failed against the smallest one with all the others.
 
-    failed: part, a, b. The others all hang together through the smallest one, so nothing else is left to compare.
+def first_pairs(own: np.ndarray, known: Sketches, found: set[tuple[int, int]]) -> np.ndarray:
+    """Adds pairs of a list (ascending) that probably tie together all that belongs together: the first set with all
+    that may be similar to it, each other set with the TRIES of those that seem nearest to it, then the same among
+    the others. Returns the sets that may be similar to any other.
     """
-    gathered = failed.groupBy("part").agg(F.collect_list(F.struct("a", "b")).alias("bad"))
-    joined = lists.join(gathered, "part").select("part", "lens", "sets", "bad")
+    index = [known.at[x] for x in own.tolist()]
+    table, n = known.table(index), known.n[index]
+    rest, paired = np.arange(len(own)), np.zeros(len(own), bool)
+    while len(rest) > 1:
+        head, others = rest[0], rest[1:]
+        may, _ = known.may_link(n, table, head, others)
+        near, rest = others[may], others[~may]
+        if not len(near):
+            continue
+        paired[head] = paired[near] = True
+        found.update((int(own[head]), int(own[j])) for j in near)
+        for j in rest:
+            may, apart = known.may_link(n, table, j, near)
+            paired[j] |= bool(may.any())
+            for k in near[may][np.argsort(apart[may], kind="stable")[:TRIES]]:
+                found.add((int(min(own[j], own[k])), int(max(own[j], own[k]))))
+    return own[paired]
+
+
+def remaining_pairs(own: np.ndarray, known: Sketches, group: np.ndarray) -> Iterator[tuple[int, int]]:
+    """All pairs of a list that may be similar and don't hang together yet. group: of each set of known."""
+    index = [known.at[x] for x in own.tolist()]
+    ties = group[index]
+    names, counts = np.unique(ties, return_counts=True)
+    if len(names) == 1:
+        return
+    table, n = known.table(index), known.n[index]
+    outside = np.flatnonzero(ties != names[np.argmax(counts)])
+    late = np.zeros(len(own), bool)
+    for j in outside:
+        late[j] = True  # pairs of two such sets come up once
+        others = np.flatnonzero((ties != ties[j]) & ~late)
+        may, _ = known.may_link(n, table, j, others)
+        for k in others[may]:
+            yield int(min(own[j], own[k])), int(max(own[j], own[k]))
+
+
+def candidates(lists: DataFrame, members: DataFrame, parts: int, last: bool = False) -> DataFrame:
+    """part, a, b of pairs to compare; in the first round also part, lens, sets of what the last round must look at again.
+
+    members: part, lo, n, sketch, and in the last round tie: the group each set is in so far. Ranged by part, so each
+    part's members and then its lists come to one task, one part after the other.
+    """
+    tie = F.col("tie") if last else F.lit(None).cast("long").alias("tie")
+    none = lambda kind, name: F.lit(None).cast(kind).alias(name)
+    one = members.select("part", "lo", "n", "sketch", tie, none("binary", "lens"), none("binary", "sets"))
+    two = lists.select("part", none("long", "lo"), none("long", "n"), none("binary", "sketch"), none("long", "tie"), "lens", "sets")
+    rows = one.unionByName(two).repartitionByRange(parts, "part").sortWithinPartitions("part", F.col("lens").isNotNull())
+    schema = pa.schema([("part", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("lens", pa.binary()), ("sets", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part, known = None, []
         for batch in batches:
-            for part, lens, sets, bad in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                known = {(x["a"], x["b"]) for x in bad}
-                lengths, lo = np.frombuffer(lens, np.int64), np.frombuffer(sets, np.int64)
-                at, left, right = 0, [], []
-                for n in lengths:
-                    own = lo[at : at + n]
-                    at += n
-                    if n < 3:
-                        continue
-                    apart = np.array([(own[0], x) in known for x in own[1:].tolist()])
-                    others = own[1:]
-                    for i in np.flatnonzero(apart):
-                        with_ = others[~apart | (np.arange(len(others)) > i)]
-                        left.append(np.minimum(others[i], with_))
-                        right.append(np.maximum(others[i], with_))
-                if left:
-                    yield from _pairs_batch(part, np.concatenate(left), np.concatenate(right))
-
-    return joined.mapInArrow(run, "part long, a long, b long").select("a", "b").distinct()
+            for r in batch.to_pylist():
+                if r["part"] != part:
+                    part, known = r["part"], []
+                if r["lens"] is None:
+                    known.append(r)
+                    continue
+                sketches, lo = Sketches(known), np.frombuffer(r["sets"], np.int64)
+                group = np.array([x["tie"] for x in known], np.int64) if last else None
+                found, again, at = set(), {}, 0
+                for k in np.frombuffer(r["lens"], np.int64):
+                    own = lo[at : at + k]
+                    at += k
+                    if last:
+                        found.update(remaining_pairs(own, sketches, group))
+                    elif len(left := first_pairs(own, sketches, found)) > 2:
+                        again[left.tobytes()] = len(left)
+                pairs = sorted(found)
+                for i in range(0, len(pairs), 100_000):
+                    a, b = zip(*pairs[i : i + 100_000], strict=True)
+                    nothing = pa.nulls(len(a), pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array([part] * len(a), pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), nothing, nothing], schema=schema)
+                if again:
+                    yield pa.RecordBatch.from_pylist([{"part": part, "lens": np.array(list(again.values()), np.int64).tobytes(), "sets": b"".join(again)}], schema=schema)
+
+    return rows.mapInArrow(run, "part long, a long, b long, lens binary, sets binary")
 
 
 def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
@@ -364,6 +507,29 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return joined.mapInArrow(run, "a long, b long, key_a long, key_b long, linked boolean")
 
 
+def forest(links: DataFrame) -> DataFrame:
+    """links without edges that close a circle inside a block of at most FOREST_EDGES: the same components."""
+    blocks = -(-links.count() // FOREST_EDGES)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        above: dict[int, int] = {}
+
+        def top(x: int) -> int:
+            while (y := above.setdefault(x, x)) != x:
+                above[x] = x = above[y]
+            return x
+
+        for batch in batches:
+            for u, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                a, b = top(u), top(v)
+                above[max(a, b)] = min(a, b)
+        pairs = [(x, top(x)) for x in list(above)]
+        u, v = zip(*[p for p in pairs if p[0] != p[1]], strict=True) if any(x != y for x, y in pairs) else ((), ())
+        yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
+
+    return links.repartition(max(1, blocks)).mapInArrow(run, "u long, v long")
+
+
 def components(links: DataFrame, rounds: int = 50) -> DataFrame:
     """node, component (the smallest node it hangs together with) for every node of links (u, v).
 
@@ -391,20 +557,9 @@ def _narrow(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= FEW_IDS else df
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id_col, n_shingles, component_id for each row."""
-    spark = docs.sparkSession
-    ship(spark)
-    sets = materialize(shingle_sets(docs, id_col, text_col), "shingle-sets")
-    usable = sets.filter("key is not null and hi is not null")
-    firsts = materialize(usable.groupBy("hi", "lo").agg(F.min("key").alias("first"), F.max("n_shingles").alias("n")), "shingle-firsts")
-    total = firsts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    partitions = max(shuffle_width(spark), -(-int(total * 0.55) // BUCKET_ENTRIES))
-    lists = materialize(shared_lists(signature_buckets(docs, partitions * 8, id_col, text_col), partitions), "shingle-lists")
-    stars = materialize(star_pairs(lists), "shingle-stars")
-
-    wanted = stars.select(F.explode(F.array("a", "b")).alias("lo")).distinct().join(firsts, "lo").select(F.col("first").alias("key"), "hi", "lo")
-    wanted = materialize(wanted, "shingle-wanted")
+def _texts(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """lo, key, body of the sets in pairs: one document each."""
+    wanted = materialize(pairs.select(F.explode(F.array("a", "b")).alias("lo")).distinct().join(firsts, "lo").select(F.col("first").alias("key"), "lo"), "shingle-wanted")
     keys = wanted.select(F.col("key").alias("k")).distinct()
     body = docs.select(F.col(id_col).cast("long").alias("key"), F.col(text_col).cast("binary").alias("body"))
     texts = body.join(_narrow(keys, wanted.count()), F.col("key") == F.col("k"), "left_semi")
@@ -415,14 +570,36 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(marks, pa.int64())], ["key", "body", "lo"])
 
     # A key may stand for several texts where keys repeat; the fingerprint tells which is meant.
-    texts = texts.mapInArrow(stamped, "key long, body binary, lo long").join(wanted.select(F.col("key").alias("k"), F.col("lo").alias("l")), (F.col("key") == F.col("k")) & (F.col("lo") == F.col("l")), "left_semi")
-    texts = materialize(texts.dropDuplicates(["key", "lo"]), "shingle-texts")
-
-    one = materialize(verified(stars.select("a", "b").distinct(), texts), "shingle-verified")
-    failed = stars.join(one.filter("not linked").select("a", "b"), ["a", "b"], "left_semi")
-    more = further_pairs(lists, failed).join(one.select("a", "b"), ["a", "b"], "left_anti")
-    two = materialize(verified(more, texts), "shingle-verified")
-    links = one.union(two).filter("linked").select(F.col("key_a").alias("u"), F.col("key_b").alias("v"))
+    chosen = wanted.select(F.col("key").alias("k"), F.col("lo").alias("l"))
+    marked = texts.mapInArrow(stamped, "key long, body binary, lo long").join(chosen, (F.col("key") == F.col("k")) & (F.col("lo") == F.col("l")), "left_semi")
+    return materialize(marked.dropDuplicates(["key", "lo"]), "shingle-texts")
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """id_col, n_shingles, component_id for each row."""
+    spark = docs.sparkSession
+    ship(spark)
+    found = materialize(shingle_sets(docs, id_col, text_col), "shingle-sets")
+    popular = popular_shingles(found)
+    sets = found.filter("often is null").drop("often", "times")
+    usable = sets.filter("key is not null and hi is not null")
+    firsts = materialize(usable.groupBy("hi", "lo").agg(F.min("key").alias("first"), F.max("n_shingles").alias("n")), "shingle-firsts")
+    total = firsts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    partitions = max(spark.sparkContext.defaultParallelism, -(-int(total * 0.55) // BUCKET_ENTRIES))
+    lists = materialize(shared_lists(signature_buckets(docs, partitions, popular, id_col, text_col), partitions), "shingle-lists")
+    sketches = sets.join(firsts.select(F.col("first").alias("key"), "hi", "lo"), ["key", "hi", "lo"]).select("lo", F.col("n_shingles").alias("n"), "sketch").dropDuplicates(["lo"])
+    members = materialize(list_members(lists).join(sketches, "lo"), "shingle-members")
+    first = materialize(candidates(lists, members, partitions), "shingle-pairs")
+    pairs = materialize(first.filter("a is not null").select("a", "b").distinct(), "shingle-pairs")
+    one = materialize(verified(pairs, _texts(docs, pairs, firsts, id_col, text_col)), "shingle-verified")
+
+    again = first.filter("a is null").select("part", "lens", "sets")
+    ties = components(forest(one.filter("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))))
+    tied = list_members(again).join(sketches, "lo").join(ties, F.col("lo") == F.col("node"), "left").withColumn("tie", F.coalesce("component", "lo"))
+    more = candidates(again, materialize(tied, "shingle-members"), partitions, last=True).select("a", "b").distinct()
+    more = materialize(more.join(one.select("a", "b"), ["a", "b"], "left_anti"), "shingle-pairs")
+    two = materialize(verified(more, _texts(docs, more, firsts, id_col, text_col)), "shingle-verified")
+    links = forest(one.union(two).filter("linked").select(F.col("key_a").alias("u"), F.col("key_b").alias("v")))
 
     # Keys that repeat with different texts tie their sets together.
     same = usable.join(firsts.select("hi", "lo", "first"), ["hi", "lo"]).filter("key <> first").select(F.col("key").alias("u"), F.col("first").alias("v"))
