@@ -52,8 +52,14 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of documents that a Python worker gets at once; texts can be long.
+ARROW_ROWS, ARROW_BYTES = 2000, 8 << 20
+
+
 def ship(spark: SparkSession) -> None:
-    """Lets Python workers import this package when it is not on their path already."""
+    """Lets Python workers import this package when it is not on their path already, and keeps their batches small."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(ARROW_BYTES))
     root = str(ROOT)
     known = [os.path.abspath(p) for p in os.environ.get("PYTHONPATH", "").split(os.pathsep) if p]
     if root in known or os.getcwd() == root or any("site-packages" in p and root.startswith(p) for p in sys.path):

@@ -287,6 +287,14 @@ def signature_buckets(docs: DataFrame, buckets: int, popular: np.ndarray, id_col
 
 def lists_of(sig: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Distinct lists (of at least two sets) of equal signatures: their lengths, and their sets one after another."""
+    order = np.argsort(sig)
+    sorted_ = sig[order]
+    same = sorted_[1:] == sorted_[:-1]
+    order = order[np.concatenate((same, [False])) | np.concatenate(([False], same))]  # the others are alone
+    del sorted_, same
+    if not len(order):
+        return np.zeros(0, np.int64), lo[:0]
+    sig, lo = sig[order], lo[order]
     order = np.lexsort((lo, sig))
     sig, lo = sig[order], lo[order]
     fresh = np.concatenate(([True], (sig[1:] != sig[:-1]) | (lo[1:] != lo[:-1])))
@@ -325,8 +333,8 @@ def shared_lists(packed: DataFrame, partitions: int) -> DataFrame:
                 if bucket != part:
                     yield from lists()
                     part = bucket
-                sigs.append(np.frombuffer(s.as_buffer().to_pybytes(), U))
-                sets.append(np.frombuffer(o.as_buffer().to_pybytes(), np.int64))
+                sigs.append(np.frombuffer(s.as_buffer(), U))
+                sets.append(np.frombuffer(o.as_buffer(), np.int64))
         yield from lists()
 
     return packed.repartition(partitions, "bucket").sortWithinPartitions("bucket").mapInArrow(run, "part long, lens binary, sets binary")

@@ -28,7 +28,7 @@ from .common import ship, table
 
 BUCKET_BITS, FEATURES, FACTORS = 22, 2048, 8
 SAMPLE_ROWS, STEPS, BATCH, RATE, SHRINK, FEWEST = 20_000, 1500, 256, 0.3, 1e-4, 4
-MEMO_ENTRIES = 400_000
+MEMO_ENTRIES = 200_000
 #: Lower-cases ASCII letters; everything else in ASCII separates. Other bytes stay, so accented words stay whole.
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
 
@@ -128,12 +128,16 @@ def score(docs: DataFrame, machine: Machine, id_col: str = "doc_id", text_col: s
     """id_col (and the columns in keep), held_out, score and predicted for each row."""
     ship(docs.sparkSession)
 
+    columns = list(dict.fromkeys([id_col, *(keep or [])]))
+    sent = list(dict.fromkeys([*columns, text_col]))
+    text_at = sent.index(text_col)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo: dict[bytes, int] = {}  # term -> position of its bucket, -1: not chosen
         place = machine.place
         for batch in batches:
             out = []
-            for raw in batch.column(0).to_pylist():
+            for raw in batch.column(text_at).cast(pa.binary()).to_pylist():
                 own = terms(raw or b"")
                 for t in own.difference(memo):
                     memo[t] = place.get(bucket(t), -1)
@@ -142,10 +146,9 @@ def score(docs: DataFrame, machine: Machine, id_col: str = "doc_id", text_col: s
                 out.append(machine.score(sorted(at)))
                 if len(memo) > MEMO_ENTRIES:
                     memo.clear()
-            yield pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array(out, pa.float64())], [*batch.schema.names[1:], "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(columns)], pa.array(out, pa.float64())], [*batch.schema.names[: len(columns)], "score"])
 
-    columns = list(dict.fromkeys([id_col, *(keep or [])]))
-    rows = docs.select(F.col(text_col).cast("binary").alias("__body"), *(F.col(c).alias(f"c{i}") for i, c in enumerate(columns)))
+    rows = docs.select(*(F.col(c).alias(f"c{i}") for i, c in enumerate(sent)))
     schema = ", ".join(f"c{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(columns)) + ", score double"
     out = rows.mapInArrow(run, schema)
     return out.select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(columns)), is_held_out(F.col("c0")).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
