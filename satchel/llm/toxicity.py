@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from .common import ship, table
 
 BUCKET_BITS, FEATURES, FACTORS = 22, 2048, 8
-SAMPLE_ROWS, STEPS, BATCH, RATE, SHRINK, FEWEST = 20_000, 1500, 256, 0.3, 1e-4, 4
+SAMPLE_ROWS, STEPS, BATCH, RATE, SHRINK, FEWEST = 8_000, 1500, 256, 0.3, 1e-4, 4
 MEMO_ENTRIES = 200_000
 #: Lower-cases ASCII letters; everything else in ASCII separates. Other bytes stay, so accented words stay whole.
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -121,7 +121,10 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
     got = rows.select("label_key", "y", "body").mapInArrow(hashed, "k string, y int, at array<int>" if docs.schema[id_col].dataType.simpleString() == "string" else "k bigint, y int, at array<int>").toArrow().sort_by("k")
     lists = [x.values.to_numpy() for x in got["at"]]
-    return fit(got["y"].to_numpy().astype(float), lists)
+    machine = fit(got["y"].to_numpy().astype(float), lists)
+    del got, lists
+    pa.default_memory_pool().release_unused()
+    return machine
 
 
 def score(docs: DataFrame, machine: Machine, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
