@@ -1,12 +1,14 @@
 """Toxicity by a factorization machine over hashed terms.
 
-A text's terms are its runs of letters, lower-cased and hashed into 2^22 buckets; presence counts. From a
-bounded sample of labelled rows the buckets that surely tell the labels apart (chi-square) are chosen, and a
-factorization machine is fitted on them by mini-batches: a linear weight per bucket plus an inner product of
-factors for every pair that a text holds, so a pair can count where neither term does.
+A text's terms are its runs of letters, lower-cased and hashed into 2^22 buckets; presence counts. A
+factorization machine has a linear weight for every bucket of a bounded sample of labelled rows, plus an inner
+product of factors for every pair that a text holds, so a pair can count where neither term does. It is fitted in two
+rounds: the buckets that surely tell the labels apart (chi-square) first, which gives a start; then all buckets from
+there, by sparse updates. The second round takes smaller steps (CAUTION) for buckets without evidence of their own,
+which holds back chance, but leaves none out.
 
-Bounds: SAMPLE_ROWS labelled rows at most (by a hash of the key) and FEATURES buckets; the model has
-FEATURES * (FACTORS + 1) numbers. Labels, language, source and key are never inputs of a score.
+Bounds: SAMPLE_ROWS labelled rows at most (by a hash of the key); the model has FACTORS + 1 numbers for each
+bucket of the sample, of which there are 2^22 at most. Labels, language, source and key are never inputs of a score.
 
 Defined results: null and empty texts have no terms and get the model's base score; a key with several
 labels counts as toxic if any says so; without labels of both kinds every score is the share of toxic
@@ -21,13 +23,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import ship, table
 
-BUCKET_BITS, FEATURES, FACTORS = 22, 2048, 8
+BUCKET_BITS, START_BUCKETS, FACTORS = 22, 2048, 8
 SAMPLE_ROWS, STEPS, BATCH, RATE, SHRINK, FEWEST = 8_000, 1500, 256, 0.3, 1e-4, 4
+CAUTION, SHRINK_USED = 0.2, 1e-5
 MEMO_ENTRIES = 200_000
 #: Lower-cases ASCII letters; everything else in ASCII separates. Other bytes stay, so accented words stay whole.
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -45,11 +49,33 @@ def is_held_out(key: Column) -> Column:
     return F.coalesce(F.crc32(key.cast("string").cast("binary")), F.lit(0)) % 5 == 0
 
 
+class Places:
+    """The position of each bucket of a model."""
+
+    def __init__(self, buckets: np.ndarray):
+        self.buckets = buckets.astype(np.int32)
+
+    def table(self) -> np.ndarray:
+        """By bucket, -1 where the model doesn't have it."""
+        out = np.full(1 << BUCKET_BITS, -1, np.int32)
+        out[self.buckets] = np.arange(len(self.buckets))
+        return out
+
+    def __contains__(self, b: int) -> bool:
+        i = int(np.searchsorted(self.buckets, b))
+        return i < len(self.buckets) and self.buckets[i] == b
+
+    def __getitem__(self, b: int) -> int:
+        if b not in self:
+            raise KeyError(b)
+        return int(np.searchsorted(self.buckets, b))
+
+
 class Machine:
-    """Weights of the chosen buckets; score() takes positions among them."""
+    """buckets: ascending."""
 
     def __init__(self, buckets: np.ndarray, bias: float, weights: np.ndarray, factors: np.ndarray):
-        self.place = {int(b): i for i, b in enumerate(buckets)}
+        self.place = Places(buckets)
         self.bias, self.weights, self.factors = bias, weights, factors
 
     def score(self, at: list[int]) -> float:
@@ -62,28 +88,15 @@ class Machine:
 
 def fit(labels: np.ndarray, lists: list[np.ndarray], seed: int = 7) -> Machine:
     """labels: 0 or 1 for each list of distinct buckets."""
-    n, toxic = len(labels), int(labels.sum())
-    nothing = np.zeros(0, int)
-    if not n or toxic in (0, n):
-        return Machine(nothing, -30.0 if not toxic else 30.0, np.zeros(0), np.zeros((0, FACTORS)))
-    flat, owner = np.concatenate(lists), np.repeat(np.arange(n), [len(x) for x in lists])
-    seen, at = np.unique(flat, return_inverse=True)
-    a = np.bincount(at, labels[owner].astype(float))
-    both = np.bincount(at).astype(float)
-    gain = n / (toxic * (n - toxic)) * (a * (n - toxic) - (both - a) * toxic) ** 2 / np.maximum(both * (n - both), 1.0)
-    gain[both < FEWEST] = 0
-    order = np.argsort(-gain, kind="stable")
-    sure = int((gain >= 2 * math.log(len(seen) / 0.05)).sum())  # about a test at 0.05 over all buckets
-    best = np.sort(order[: min(FEATURES, max(sure, 16))])
-    best = best[gain[best] > 0]
-    rank = np.full(len(seen), -1)
-    rank[best] = np.arange(len(best))
-    keep = rank[at] >= 0
-    columns, rows = rank[at][keep], owner[keep]
-    starts = np.searchsorted(rows, np.arange(n + 1))
+    sizes = np.array([len(x) for x in lists], np.int64)
+    return fit_packed(labels, np.concatenate(lists).astype(np.int32) if len(lists) else np.zeros(0, np.int32), sizes, seed)
+
 
+def start(labels: np.ndarray, columns: np.ndarray, rows: np.ndarray, m: int, seed: int) -> tuple[float, np.ndarray, np.ndarray]:
+    """Bias, weights and factors fitted on m buckets only; columns and rows (ascending): where they occur."""
+    n, toxic = len(labels), labels.sum()
+    starts = np.searchsorted(rows, np.arange(n + 1))
     rng = np.random.default_rng(seed)
-    m = len(best)
     bias, w, v = math.log(toxic / (n - toxic)), np.zeros(m), rng.normal(0, 0.05, (m, FACTORS))
     gb, gw, gv = 1e-2, np.full(m, 1e-2), np.full((m, FACTORS), 1e-2)
     for _ in range(-(-STEPS * BATCH // n)):
@@ -100,7 +113,75 @@ def fit(labels: np.ndarray, lists: list[np.ndarray], seed: int = 7) -> Machine:
             dv = x.T @ (off[:, None] * sums) - v * (x.T @ off)[:, None] + SHRINK * n / BATCH * v
             gb, gw, gv = gb + db**2, gw + dw**2, gv + dv**2
             bias, w, v = bias - RATE * db / math.sqrt(gb), w - RATE * dw / np.sqrt(gw), v - RATE * dv / np.sqrt(gv)
-    return Machine(seen[best], bias, w, v)
+    return bias, w, v
+
+
+def fit_packed(labels: np.ndarray, flat: np.ndarray, sizes: np.ndarray, seed: int = 7) -> Machine:
+    """The same from all lists one after the other and their sizes."""
+    n, toxic = len(labels), int(labels.sum())
+    if not n or toxic in (0, n):
+        return Machine(np.zeros(0, int), -30.0 if not toxic else 30.0, np.zeros(0), np.zeros((0, FACTORS)))
+    held = np.zeros(1 << BUCKET_BITS, bool)
+    held[flat] = True
+    seen = np.flatnonzero(held).astype(np.int32)
+    places = Places(seen).table()
+    starts = np.cumsum(sizes) - sizes
+
+    owner = np.repeat(np.arange(n, dtype=np.int32), sizes)
+    m = len(seen)
+    a, both = np.bincount(places[flat], labels[owner], m), np.bincount(places[flat], minlength=m).astype(float)
+    gain = n / (toxic * (n - toxic)) * (a * (n - toxic) - (both - a) * toxic) ** 2 / np.maximum(both * (n - both), 1.0)
+    sure = 2 * math.log(max(m, 1) / 0.05)  # about a test at 0.05 over all buckets
+    pace = (RATE * (CAUTION + (1 - CAUTION) * np.minimum(1, gain / sure))).astype(np.float32)
+    gain[both < FEWEST] = 0
+    strong = np.sort(np.argsort(-gain, kind="stable")[: min(START_BUCKETS, max(int((gain >= sure).sum()), 16))])
+    strong = strong[gain[strong] > 0]
+    rank = np.full(m, -1, np.int32)
+    rank[strong] = np.arange(len(strong))
+    columns = rank[places[flat]]
+    keep = columns >= 0
+    bias, first_w, first_v = start(labels, columns[keep], owner[keep], len(strong), seed)
+    del owner, columns, keep
+
+    rng = np.random.default_rng(seed)
+    w, v = np.zeros(m, np.float32), rng.normal(0, 0.01, (m, FACTORS)).astype(np.float32)
+    w[strong], v[strong] = first_w, first_v
+    gb, gw, gv = 1e-2, np.full(m, 1e-2, np.float32), np.full((m, FACTORS), 1e-2, np.float32)
+    for _ in range(-(-STEPS * BATCH // n)):
+        order = rng.permutation(n)
+        for k in range(0, n, BATCH):
+            chosen = order[k : k + BATCH]
+            size = sizes[chosen]
+            filled, begins = size > 0, (np.cumsum(size) - size)[size > 0]
+
+            def by_row(x: np.ndarray, filled=filled, begins=begins) -> np.ndarray:
+                out = np.zeros((len(filled), *x.shape[1:]), np.float32)
+                if len(begins):
+                    out[filled] = np.add.reduceat(x, begins)
+                return out
+
+            at = places[flat[np.repeat(starts[chosen] - (np.cumsum(size) - size), size) + np.arange(size.sum())]]
+            own = v[at]
+            sums = by_row(own)
+            z = bias + by_row(w[at]) + 0.5 * ((sums**2).sum(1) - by_row((own**2).sum(1)))
+            off = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - labels[chosen]).astype(np.float32)
+            db = float(off.sum())
+            gb += db**2
+            bias -= RATE * db / math.sqrt(gb)
+            if not len(at):
+                continue
+            by_term = np.argsort(at, kind="stable")
+            at, row = at[by_term], np.repeat(np.arange(len(chosen)), size)[by_term]
+            begins = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
+            used, times = at[begins], np.diff(np.append(begins, len(at))).astype(np.float32)
+            ow, ov = w[used], v[used]
+            slope = np.add.reduceat(off[row], begins)
+            dw = slope + SHRINK_USED * times * ow
+            dv = np.add.reduceat((off[:, None] * sums)[row], begins) + (SHRINK_USED * times - slope)[:, None] * ov
+            gw[used] += dw**2
+            gv[used] += dv**2
+            w[used], v[used] = ow - pace[used] * dw / np.sqrt(gw[used]), ov - pace[used, None] * dv / np.sqrt(gv[used])
+    return Machine(seen, bias, w, v)
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", sample_rows: int = SAMPLE_ROWS) -> Machine:
@@ -120,11 +201,11 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(lists, pa.list_(pa.int32()))], ["k", "y", "at"])
 
     got = rows.select("label_key", "y", "body").mapInArrow(hashed, "k string, y int, at array<int>" if docs.schema[id_col].dataType.simpleString() == "string" else "k bigint, y int, at array<int>").toArrow().sort_by("k")
-    lists = [x.values.to_numpy() for x in got["at"]]
-    machine = fit(got["y"].to_numpy().astype(float), lists)
-    del got, lists
+    known_labels, packed = got["y"].to_numpy().astype(float), got["at"].combine_chunks()
+    flat, sizes = packed.flatten().to_numpy().copy(), pc.list_value_length(packed).to_numpy().astype(np.int64)
+    del got, packed
     pa.default_memory_pool().release_unused()
-    return machine
+    return fit_packed(known_labels, flat, sizes)
 
 
 def score(docs: DataFrame, machine: Machine, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
@@ -136,14 +217,14 @@ def score(docs: DataFrame, machine: Machine, id_col: str = "doc_id", text_col: s
     text_at = sent.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo: dict[bytes, int] = {}  # term -> position of its bucket, -1: not chosen
-        place = machine.place
+        memo: dict[bytes, int] = {}  # term -> position of its bucket, -1: not in the sample
+        place = machine.place.table()
         for batch in batches:
             out = []
             for raw in batch.column(text_at).cast(pa.binary()).to_pylist():
                 own = terms(raw or b"")
                 for t in own.difference(memo):
-                    memo[t] = place.get(bucket(t), -1)
+                    memo[t] = int(place[bucket(t)])
                 at = {memo[t] for t in own}
                 at.discard(-1)
                 out.append(machine.score(sorted(at)))

@@ -137,6 +137,20 @@ def test_toxicity_pairs_and_empties(spark):
     assert {r.predicted for r in toxicity.score(docs, none).collect()} == {0}
 
 
+def test_toxicity_pair_of_neutral_terms():
+    rng = random.Random(3)
+    lists, labels = [], []
+    for i in range(6000):
+        a, b = i % 2, i // 2 % 2  # toxic with exactly one of the two: each term alone says nothing
+        own = [x.encode() for x in rng.sample([f"w{j}" for j in range(200)], 12)] + [b"left"] * a + [b"right"] * b
+        lists.append(np.array(sorted({toxicity.bucket(x) for x in own})))
+        labels.append(float(a != b))
+    m = toxicity.fit(np.array(labels[:4000]), lists[:4000])
+    assert all(int(x) in m.place for own in lists for x in own)
+    right = [(m.score([m.place[int(x)] for x in own]) > 0.5) == (y == 1) for own, y in zip(lists[4000:], labels[4000:], strict=True)]
+    assert sum(right) > 0.8 * len(right)
+
+
 def test_toxicity_held_out(spark, sf):
     big = sf.replace("0.001", "0.01")
     found = registry.queries()["op4_toxicity"](spark, big).join(spark.read.parquet(f"{big}/labels.parquet"), "doc_id").filter("held_out").collect()
