@@ -11,15 +11,15 @@ run out of segments meet in a list of their own.
 
 Steps: (1) sets get a 128-bit fingerprint; equal sets are one from here on. (2) Signatures go, packed, to
 hash buckets; sets that share one form a list. (3) In every list sizes and parity sketches rule out what can't be
-similar; the rest is held against the smallest set (by fingerprint), or else against the nearest few, exactly,
-over whole texts. (4) Then every pair of a list that isn't ruled out and doesn't hang together through links
-found so far is compared, so a pair is skipped only where it can't change a component. (5) Links give components.
+similar. (4) Every other pair of a list is compared exactly, over whole texts; a pair is sent once for each part
+that finds it and compared once. (5) Links give the number of links of each document, equal texts counted through the
+size of their class, and components.
 
 Words are runs between blanks, A-Z lower-cased; texts shorter than a shingle are one shingle. Fingerprints
 of shingles have 64 bits when sets are counted and indexed; pairs are verified on the words themselves.
 
-Defined results: null texts and texts without words have 0 shingles and are their own component; rows with a
-null key are counted, and their component is null; rows with equal keys are joined with whatever any of them
+Defined results: null texts and texts without words have 0 shingles and links and are their own component; rows with a
+null key are counted, and their component and links are null (nor are they links of others); rows with equal keys are joined with whatever any of them
 links to; an empty table gives no rows; other columns are not read.
 """
 
@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 from .common import materialize, ship, table
 
 WORDS, T_NUM, T_DEN = 5, 4, 5
-FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS, FOREST_EDGES, TRIES = 750_000, 3_000_000, 500_000, 500_000, 2
+FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS, FOREST_EDGES, HELD_PAIRS = 750_000, 3_000_000, 500_000, 500_000, 500_000
 MEMO_ENTRIES = 200_000
 #: A shingle is popular if a block of about BLOCK_HASHES holds it in OFTEN sets; the POPULAR most frequent ones count.
 #: This allocates segments and changes cost only.
@@ -404,63 +404,39 @@ class Sketches:
         return (T_DEN * a >= T_NUM * b) & ((T_DEN + T_NUM) * apart <= (T_DEN - T_NUM) * (a + b)), apart
 
 
-def first_pairs(own: np.ndarray, known: Sketches, found: set[tuple[int, int]]) -> np.ndarray:
-    """Adds pairs of a list (ascending) that probably tie together all that belongs together: the first set with all
-    that may be similar to it, each other set with the TRIES of those that seem nearest to it, then the same among
-    the others. Returns the sets that may be similar to any other.
-    """
+def all_pairs(own: np.ndarray, known: Sketches) -> Iterator[tuple[int, int]]:
+    """All pairs of a list (ascending) that may be similar."""
     index = [known.at[x] for x in own.tolist()]
     table, n = known.table(index), known.n[index]
-    rest, paired = np.arange(len(own)), np.zeros(len(own), bool)
-    while len(rest) > 1:
-        head, others = rest[0], rest[1:]
-        may, _ = known.may_link(n, table, head, others)
-        near, rest = others[may], others[~may]
-        if not len(near):
-            continue
-        paired[head] = paired[near] = True
-        found.update((int(own[head]), int(own[j])) for j in near)
-        for j in rest:
-            may, apart = known.may_link(n, table, j, near)
-            paired[j] |= bool(may.any())
-            for k in near[may][np.argsort(apart[may], kind="stable")[:TRIES]]:
-                found.add((int(min(own[j], own[k])), int(max(own[j], own[k]))))
-    return own[paired]
-
-
-def remaining_pairs(own: np.ndarray, known: Sketches, group: np.ndarray) -> Iterator[tuple[int, int]]:
-    """All pairs of a list that may be similar and don't hang together yet. group: of each set of known."""
-    index = [known.at[x] for x in own.tolist()]
-    ties = group[index]
-    names, counts = np.unique(ties, return_counts=True)
-    if len(names) == 1:
-        return
-    table, n = known.table(index), known.n[index]
-    outside = np.flatnonzero(ties != names[np.argmax(counts)])
-    late = np.zeros(len(own), bool)
-    for j in outside:
-        late[j] = True  # pairs of two such sets come up once
-        others = np.flatnonzero((ties != ties[j]) & ~late)
-        may, _ = known.may_link(n, table, j, others)
-        for k in others[may]:
-            yield int(min(own[j], own[k])), int(max(own[j], own[k]))
+    for i in range(len(own) - 1):
+        others = np.arange(i + 1, len(own))
+        may, _ = known.may_link(n, table, i, others)
+        head = int(own[i])
+        for k in own[others[may]].tolist():
+            yield head, k
 
 
-def candidates(lists: DataFrame, members: DataFrame, parts: int, last: bool = False) -> DataFrame:
-    """part, a, b of pairs to compare; in the first round also part, lens, sets of what the last round must look at again.
+def candidates(lists: DataFrame, members: DataFrame, parts: int) -> DataFrame:
+    """a, b of pairs to compare; a pair may come from several parts.
 
-    members: part, lo, n, sketch, and in the last round tie: the group each set is in so far. Ranged by part, so each
-    part's members and then its lists come to one task, one part after the other.
+    members: part, lo, n, sketch. Ranged by part, so each part's members and then its lists come to one task, one part
+    after the other.
     """
-    tie = F.col("tie") if last else F.lit(None).cast("long").alias("tie")
     none = lambda kind, name: F.lit(None).cast(kind).alias(name)
-    one = members.select("part", "lo", "n", "sketch", tie, none("binary", "lens"), none("binary", "sets"))
-    two = lists.select("part", none("long", "lo"), none("long", "n"), none("binary", "sketch"), none("long", "tie"), "lens", "sets")
+    one = members.select("part", "lo", "n", "sketch", none("binary", "lens"), none("binary", "sets"))
+    two = lists.select("part", none("long", "lo"), none("long", "n"), none("binary", "sketch"), "lens", "sets")
     rows = one.unionByName(two).repartitionByRange(parts, "part").sortWithinPartitions("part", F.col("lens").isNotNull())
-    schema = pa.schema([("part", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("lens", pa.binary()), ("sets", pa.binary())])
+
+    def sent(found: set[tuple[int, int]]) -> Iterator[pa.RecordBatch]:
+        pairs = sorted(found)
+        found.clear()
+        for i in range(0, len(pairs), 100_000):
+            a, b = zip(*pairs[i : i + 100_000], strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, known = None, []
+        found: set[tuple[int, int]] = set()
         for batch in batches:
             for r in batch.to_pylist():
                 if r["part"] != part:
@@ -468,25 +444,17 @@ def candidates(lists: DataFrame, members: DataFrame, parts: int, last: bool = Fa
                 if r["lens"] is None:
                     known.append(r)
                     continue
-                sketches, lo = Sketches(known), np.frombuffer(r["sets"], np.int64)
-                group = np.array([x["tie"] for x in known], np.int64) if last else None
-                found, again, at = set(), {}, 0
+                sketches, lo, at = Sketches(known), np.frombuffer(r["sets"], np.int64), 0
                 for k in np.frombuffer(r["lens"], np.int64):
                     own = lo[at : at + k]
                     at += k
-                    if last:
-                        found.update(remaining_pairs(own, sketches, group))
-                    elif len(left := first_pairs(own, sketches, found)) > 2:
-                        again[left.tobytes()] = len(left)
-                pairs = sorted(found)
-                for i in range(0, len(pairs), 100_000):
-                    a, b = zip(*pairs[i : i + 100_000], strict=True)
-                    nothing = pa.nulls(len(a), pa.binary())
-                    yield pa.RecordBatch.from_arrays([pa.array([part] * len(a), pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), nothing, nothing], schema=schema)
-                if again:
-                    yield pa.RecordBatch.from_pylist([{"part": part, "lens": np.array(list(again.values()), np.int64).tobytes(), "sets": b"".join(again)}], schema=schema)
+                    for pair in all_pairs(own, sketches):
+                        found.add(pair)
+                        if len(found) >= HELD_PAIRS:
+                            yield from sent(found)
+        yield from sent(found)
 
-    return rows.mapInArrow(run, "part long, a long, b long, lens binary, sets binary")
+    return rows.mapInArrow(run, "a long, b long")
 
 
 def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
@@ -584,30 +552,24 @@ def _texts(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, id_col: str, te
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id_col, n_shingles, component_id for each row."""
+    """id_col, n_shingles, n_links, component_id for each row. n_links: other rows with a key whose sets are similar, equal ones among them."""
     spark = docs.sparkSession
     ship(spark)
     found = materialize(shingle_sets(docs, id_col, text_col), "shingle-sets")
     popular = popular_shingles(found)
     sets = found.filter("often is null").drop("often", "times")
     usable = sets.filter("key is not null and hi is not null")
-    firsts = materialize(usable.groupBy("hi", "lo").agg(F.min("key").alias("first"), F.max("n_shingles").alias("n")), "shingle-firsts")
+    firsts = materialize(usable.groupBy("hi", "lo").agg(F.min("key").alias("first"), F.max("n_shingles").alias("n"), F.count(F.lit(1)).alias("copies")), "shingle-firsts")
     total = firsts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     partitions = max(spark.sparkContext.defaultParallelism, -(-int(total * 0.55) // BUCKET_ENTRIES))
     lists = materialize(shared_lists(signature_buckets(docs, partitions, popular, id_col, text_col), partitions), "shingle-lists")
     sketches = sets.join(firsts.select(F.col("first").alias("key"), "hi", "lo"), ["key", "hi", "lo"]).select("lo", F.col("n_shingles").alias("n"), "sketch").dropDuplicates(["lo"])
     members = materialize(list_members(lists).join(sketches, "lo"), "shingle-members")
-    first = materialize(candidates(lists, members, partitions), "shingle-pairs")
-    pairs = materialize(first.filter("a is not null").select("a", "b").distinct(), "shingle-pairs")
-    one = materialize(verified(pairs, _texts(docs, pairs, firsts, id_col, text_col)), "shingle-verified")
-
-    again = first.filter("a is null").select("part", "lens", "sets")
-    ties = components(forest(one.filter("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))))
-    tied = list_members(again).join(sketches, "lo").join(ties, F.col("lo") == F.col("node"), "left").withColumn("tie", F.coalesce("component", "lo"))
-    more = candidates(again, materialize(tied, "shingle-members"), partitions, last=True).select("a", "b").distinct()
-    more = materialize(more.join(one.select("a", "b"), ["a", "b"], "left_anti"), "shingle-pairs")
-    two = materialize(verified(more, _texts(docs, more, firsts, id_col, text_col)), "shingle-verified")
-    links = forest(one.union(two).filter("linked").select(F.col("key_a").alias("u"), F.col("key_b").alias("v")))
+    pairs = materialize(candidates(lists, members, partitions).distinct(), "shingle-pairs")
+    linked = materialize(verified(pairs, _texts(docs, pairs, firsts, id_col, text_col)).filter("linked"), "shingle-verified")
+    links = forest(linked.select(F.col("key_a").alias("u"), F.col("key_b").alias("v")))
+    ends = linked.select(F.col("a").alias("lo"), F.col("b").alias("to")).union(linked.select(F.col("b").alias("lo"), F.col("a").alias("to")))
+    others = ends.join(firsts.select(F.col("lo").alias("to"), "copies"), "to").groupBy("lo").agg(F.sum("copies").alias("others"))
 
     # Keys that repeat with different texts tie their sets together.
     same = usable.join(firsts.select("hi", "lo", "first"), ["hi", "lo"]).filter("key <> first").select(F.col("key").alias("u"), F.col("first").alias("v"))
@@ -615,10 +577,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     tied = same.join(repeats, F.col("u") == F.col("k"), "left_semi")
     groups = components(links.union(tied))
 
-    out = sets.join(firsts.select("hi", "lo", "first"), ["hi", "lo"], "left")
+    out = sets.join(firsts.select("hi", "lo", "first", "copies"), ["hi", "lo"], "left").join(others, "lo", "left")
     out = out.withColumn("own", F.least(F.col("key"), F.col("first"))).join(groups, F.col("own") == F.col("node"), "left")
     whole = F.when(F.col("key").isNotNull(), F.coalesce("component", "own", "key"))
-    return out.select(F.col("key").alias(id_col), "n_shingles", whole.alias("component_id"))
+    n_links = F.when(F.col("key").isNotNull(), F.coalesce(F.col("copies") - 1, F.lit(0)) + F.coalesce("others", F.lit(0)))
+    return out.select(F.col("key").alias(id_col), "n_shingles", n_links.alias("n_links"), whole.alias("component_id"))
 
 
 def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -305,6 +305,23 @@ def test_near_duplicates_signatures_never_miss():
                 assert apart <= len(a) + len(b) - 2 * both
 
 
+def test_near_duplicates_counts_every_link(spark):
+    rng = random.Random(5)
+    texts = [None, "", "a b c", "A b c"]
+    for _ in range(4):
+        base = [f"w{rng.randrange(500)}" for _ in range(60)]
+        for _ in range(9):  # many near copies, some equal, not all within reach of each other
+            t = list(base)
+            for _ in range(rng.randrange(3)):
+                t[rng.randrange(len(t))] = f"w{rng.randrange(500)}"
+            texts += [" ".join(t)] * rng.choice([1, 1, 2])
+    sets = [jaccard.shingle_set((t or "").encode()) for t in texts]
+    want = {i: sum(jaccard.similar(a, b) for j, b in enumerate(sets) if j != i) for i, a in enumerate(sets)}
+    docs = documents(spark, texts).select("doc_id", "text").union(spark.createDataFrame([(None, texts[-1])], "doc_id long, text string"))
+    got = {r.doc_id: r.n_links for r in jaccard.near_duplicates(docs).collect()}
+    assert got == want | {None: None}
+
+
 def test_near_duplicates_repeated_keys(spark):
     words = " ".join(f"w{i}" for i in range(40))
     other = " ".join(f"v{i}" for i in range(40))
