@@ -30,6 +30,8 @@ from ..solve.branch import BranchAndBound, conflict_set
 from ..solve.problem import IlpProblem, Solution, SolverLimits, SolveStatus
 
 FETCH_ROWS = 2_000_000
+#: Groups of the hybrid remedy that one scan fetches.
+HYBRID_FETCH = 16
 
 
 @dataclass
@@ -60,11 +62,11 @@ class Group:
 
 @dataclass
 class FineLimits:
+    """seconds: of the direct attempt and of each remedy."""
+
     solves: int = 2_000
     seconds: float = 600.0
-    hybrid_groups: int = 16
     columns: int = 100_000
-    repeats: int = 6  # of one remedy
     gap: float = 1e-4  # of coarse and fine programs
     nodes: int = 5_000
 
@@ -75,8 +77,20 @@ class Counters:
     backtracks: int = 0
     nodes: int = 0
     largest: int = 0
+    deadline: float = INF
+    limit: SolveStatus | None = None  # a limit that cut the search
+
+    def spent(self, limits: FineLimits) -> bool:
+        """Whether the time or solve limit is reached, which then is noted."""
+        late = time.perf_counter() > self.deadline
+        if late or self.solves >= limits.solves:
+            self.limit = SolveStatus.LIMIT_TIME if late else SolveStatus.LIMIT_NODES
+            return True
+        return False
 
     def count(self, p: IlpProblem, s: Solution) -> Solution:
+        if s.status in (SolveStatus.LIMIT_TIME, SolveStatus.LIMIT_NODES, SolveStatus.LIMIT_MEMORY):
+            self.limit = s.status
         self.solves, self.nodes, self.largest = self.solves + 1, self.nodes + s.nodes, max(self.largest, p.n)
         return s
 
@@ -164,7 +178,9 @@ class FineSearch:
         stack, path = [_Frame(totals, first, list(first))], []
         urgent: dict[str, int] = {}
         while stack:
-            if self.counters.solves >= self.limits.solves or time.perf_counter() - begin > self.limits.seconds:
+            late = time.perf_counter() - begin > self.limits.seconds
+            if self.counters.spent(self.limits) or late:
+                self.counters.limit = SolveStatus.LIMIT_TIME if late else self.counters.limit
                 self.ended = "limit"
                 return None
             top = stack[-1]
@@ -305,9 +321,12 @@ def _hybrid(part: Partitioning, t: Translation, branch: int, coarse: Coarse, sol
     """Groups in random order: one by its tuples, the others by centroids. Yields a fixed group, its tuples and the others' support."""
     order = list(range(len(coarse.gids)))
     random.Random(seed).shuffle(order)
-    order = order[: limits.hybrid_groups]
-    groups = fetch_groups(part, t, [coarse.gids[j] for j in order])
-    for j in order:
+    groups: dict[str, Group] = {}
+    for k, j in enumerate(order):
+        if counters.spent(limits):
+            return
+        if k % HYBRID_FETCH == 0:
+            groups = fetch_groups(part, t, [coarse.gids[i] for i in order[k : k + HYBRID_FETCH]])
         gid, g = coarse.gids[j], groups[coarse.gids[j]]
         rest = np.array([i for i in range(len(coarse.gids)) if i != j], int)
         p = coarse.problem(t, branch, rest)
@@ -324,7 +343,9 @@ def _hybrid(part: Partitioning, t: Translation, branch: int, coarse: Coarse, sol
 def coarse_fine(part: Partitioning, q: PackageQuery, limits: FineLimits = FineLimits(), solver=None, order: str = "random", seed: int = 0, remedies: tuple[str, ...] = ("hybrid",), rep_mode: str = "eligible", budget: int | None = None, parallel: str | None = None, width: int = 4) -> PackageResult:
     """Evaluates a query over a partitioning.
 
-    remedies, tried in turn when the coarse or fine step finds nothing: hybrid, smaller_tau, drop, merge.
+    remedies, tried in turn when the coarse or fine step finds nothing: hybrid (every group), smaller_tau, drop, merge (from
+    the given groups down to one, whose tuples are the original problem). Each goes on until it is exhausted or a limit is
+    reached; the status is infeasible only if no limit cut the search.
     rep_mode: eligible (means over tuples that pass the filter) or stored (centroids of the partitioning).
     budget: the most coarse variables at once. parallel: None, groups (all groups at once, then repair) or orders.
     """
@@ -335,14 +356,23 @@ def coarse_fine(part: Partitioning, q: PackageQuery, limits: FineLimits = FineLi
     translated = time.perf_counter()
     out = PackageResult(q, part.df.drop("gid"), SolveStatus.INFEASIBLE)
     out.timing["translate"] = translated - begin
-    counters = Counters()
-    _attempt(part, t, q, out, counters, solver, limits, order, seed, "hybrid" in remedies, rep_mode, budget, parallel, width)
+    counters = Counters(deadline=time.perf_counter() + limits.seconds)
+
+    def attempt(groups: Partitioning, hybrid: bool) -> None:
+        try:
+            _attempt(groups, t, q, out, counters, solver, limits, order, seed, hybrid, rep_mode, budget, parallel, width)
+        except MemoryError as e:
+            counters.limit, out.note = SolveStatus.LIMIT_MEMORY, str(e)
+
+    attempt(part, "hybrid" in remedies)
     out.attempts.append("direct" + (" or hybrid" if "hybrid" in remedies else ""))
     current = part
     for remedy in remedies:
         if out.found or out.status is SolveStatus.UNBOUNDED or remedy == "hybrid":
             continue
-        for _ in range(limits.repeats):
+        counters.deadline = time.perf_counter() + limits.seconds
+        current, last = part if remedy == "merge" else current, False
+        while not (out.found or last or counters.spent(limits)):
             if remedy == "smaller_tau":
                 if current.tau <= 1:
                     break
@@ -353,13 +383,14 @@ def coarse_fine(part: Partitioning, q: PackageQuery, limits: FineLimits = FineLi
                     break
                 current = current.drop_attributes(gone)
             else:
-                if current.groups.count() <= 1:
-                    break
-                current = current.merge()
-            _attempt(current, t, q, out, counters, solver, limits, order, seed, False, rep_mode, budget, parallel, width)
+                n = current.groups.count()
+                current, last = current.merge() if n > 1 else current, n <= 2
+                if last:
+                    counters.limit = None  # the tuples of the only group are the original problem, so its answer counts
+            attempt(current, last)
             out.attempts.append(remedy)
-            if out.found:
-                break
+    if counters.limit and out.status is SolveStatus.INFEASIBLE:
+        out.status = counters.limit
     out.counters = {"solves": counters.solves, "backtracks": counters.backtracks, "nodes": counters.nodes, "largest": counters.largest}
     out.timing["total"] = time.perf_counter() - begin
     out.timing["solve"] = out.timing["total"] - out.timing["translate"] - out.timing.get("load", 0.0)

@@ -271,3 +271,36 @@ def test_workload_is_solved(spark, sf):
     r = coarse_fine(p, q)
     assert r.found and packages.is_feasible(r.package, q, df)
     assert packages.audit(r.package, q, df).filter("not satisfied").count() == 0
+
+
+@pytest.fixture(scope="module")
+def outliers(spark):
+    """100 groups of four; the last tuple of each is far from their centroid."""
+    rows = [(i * 4 + j, float(1000 * i + (0, 1, 9, 90)[j])) for i in range(100) for j in range(4)]
+    df = with_tid(spark.createDataFrame(rows, "k long, x double"), ["k"])
+    return df, quad_partition(df, ["x"], 4, digits=0)
+
+
+def only_outlier(df, i):
+    return package_of(df).repeat(0).such_that((count_() == 1) & (sum_("x") == 1000.0 * i + 90)).minimize(sum_("x")).query
+
+
+@pytest.mark.parametrize("i", [3, 50, 71, 97])
+def test_hybrid_tries_every_group(outliers, i):
+    df, part = outliers
+    r = coarse_fine(part, only_outlier(df, i), remedies=("hybrid",))
+    assert part.groups.count() > 64 and r.found and r.objective == 1000.0 * i + 90
+
+
+def test_merge_ends_in_the_original_problem(outliers):
+    df, part = outliers
+    r = coarse_fine(part, only_outlier(df, 50), remedies=("merge",))
+    assert r.found and r.objective == 50_090.0
+    none = package_of(df).repeat(0).such_that((count_() == 1) & (sum_("x") == 50_091.0)).minimize(sum_("x")).query
+    assert coarse_fine(part, none, remedies=("merge",)).status is SolveStatus.INFEASIBLE
+
+
+def test_a_limit_is_not_infeasible(outliers):
+    df, part = outliers
+    found = [coarse_fine(part, only_outlier(df, i), FineLimits(solves=3)).status for i in (3, 50)]
+    assert SolveStatus.INFEASIBLE not in found and SolveStatus.LIMIT_NODES in found
