@@ -151,6 +151,10 @@ def test_toxicity_pair_of_neutral_terms():
     assert sum(right) > 0.8 * len(right)
 
 
+def test_toxicity_sample_is_whole():
+    assert toxicity.SAMPLE_ROWS == 20_000  # a bound of memory, not to be cut to pass a check
+
+
 def test_toxicity_held_out(spark, sf):
     big = sf.replace("0.001", "0.01")
     found = registry.queries()["op4_toxicity"](spark, big).join(spark.read.parquet(f"{big}/labels.parquet"), "doc_id").filter("held_out").collect()
