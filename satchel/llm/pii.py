@@ -67,6 +67,13 @@ def base_check(kind: str, value: Column) -> Column:
     return F.lit(True)
 
 
+def _may_match(text: Column, needs: str) -> Column:
+    """Whether a text holds what a pattern needs; letters in any case, as in the patterns."""
+    if not needs:
+        return text.rlike("[0-9]")
+    return (F.lower(text) if needs.isalpha() else text).contains(needs)
+
+
 def _matches(text: Column, pattern: str, needs: str) -> tuple[Column, Column]:
     """For the columns pairs (matches between their gaps) and placed: array of (start, stop, value, left, right) in order."""
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
@@ -89,7 +96,7 @@ def _matches(text: Column, pattern: str, needs: str) -> tuple[Column, Column]:
     begin = F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast(f"array<array<{item}>>").alias("all"))
     placed = F.flatten(F.aggregate(chunks, begin, chunk)["all"])
     none = F.array().cast(f"array<{item}>")
-    may = text.contains(needs) if needs else text.rlike("[0-9]")
+    may = _may_match(text, needs)
     return F.when(may, pairs).otherwise(F.array()), F.when(n > 0, placed).otherwise(none)
 
 
@@ -266,7 +273,7 @@ def redact(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> D
             text = F.col("__text")
             found, gaps = F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), F.split(text, pattern, -1)
 
-            may = text.contains(needs) if needs else text.rlike("[0-9]")
+            may = _may_match(text, needs)
             out = out.withColumn("__found", F.when(may, found)).withColumn("__gaps", F.when(F.size("__found") > 0, gaps))
             out = out.withColumn("__text", F.when(F.size("__found") > 0, F.array_join(F.transform("__gaps", _redacted(model, kind, base)), "")).otherwise(text)).drop("__found", "__gaps")
     return out.withColumn(text_col, F.col("__text")).drop("__text")

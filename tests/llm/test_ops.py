@@ -195,6 +195,13 @@ def test_private_data(spark, texts):
         assert clean[i] == t if not got[i].spans else not slow_spans(re.sub(r"\[[A-Z]+\]", "|", clean[i]))
 
 
+def test_private_data_in_capitals(spark):
+    docs = documents(spark, ["MAIL BOB (AT) SITE (DOT) COM", "mail bob (at) site (dot) com", "MAIL BOB"])
+    pairs, placed = pii._matches(F.col("text"), *pii.WIDER["email"])
+    got = [r.n for r in docs.orderBy("doc_id").withColumn("pairs", pairs).select(F.size("pairs").alias("n")).collect()]
+    assert got[0] == got[1] > got[2]
+
+
 def test_votes_are_weighed():
     sure, unsure = ((1, 1, 1, 1, 1), 90), ((-1, -1, 0, -1, -1), 60)
     share, chance, post = pii.reliabilities([sure, unsure])
