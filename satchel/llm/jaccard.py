@@ -510,7 +510,7 @@ def components(links: DataFrame, rounds: int = 50) -> DataFrame:
     """node, component (the smallest node it hangs together with) for every node of links (u, v).
 
     Alternates two steps that keep components and shorten paths: larger neighbours move to a node's smallest
-    neighbour, then all smaller ones do. Ends when nothing changes; each round is a table in the shared folder.
+    neighbour, then all smaller ones do. Ends when nothing changes, or raises after as many rounds; each round is a table in the shared folder.
     """
     edges = materialize(links.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "links")
     for _ in range(rounds):
@@ -521,11 +521,11 @@ def components(links: DataFrame, rounds: int = 50) -> DataFrame:
         small = large.join(small_min, F.col("u") == F.col("x"))
         moved = small.filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(small.select("u", F.col("m").alias("v"))).distinct()
         after = materialize(moved, "links")
-        changed = after.exceptAll(edges).isEmpty() and edges.exceptAll(after).isEmpty()
+        settled = after.exceptAll(edges).isEmpty() and edges.exceptAll(after).isEmpty()
         edges = after
-        if changed:
-            break
-    return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
+        if settled:
+            return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
+    raise RuntimeError(f"components still change after {rounds} rounds")
 
 
 def _narrow(df: DataFrame, rows: int) -> DataFrame:

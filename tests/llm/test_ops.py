@@ -333,6 +333,13 @@ def test_near_duplicates_counts_every_link(spark):
     assert got == want | {None: None}
 
 
+def test_components_that_still_change_raise(spark):
+    path = spark.createDataFrame([(i, i + 1) for i in range(30)], "u long, v long")
+    assert {r.component for r in jaccard.components(path).collect()} == {0}
+    with pytest.raises(RuntimeError):
+        jaccard.components(path, rounds=1)
+
+
 def test_near_duplicates_repeated_keys(spark):
     words = " ".join(f"w{i}" for i in range(40))
     other = " ".join(f"v{i}" for i in range(40))
