@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ship, table
+from .common import lean, ship, table
 from .wordbpe import vocabulary_path, word_vocabulary
 
 MEMO_ENTRIES = 300_000
@@ -132,7 +132,7 @@ def encode_decode(docs: DataFrame, path: str | None = None, id_col: str = "doc_i
 
     kind = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("key"), F.col(text_col).alias("body"))
-    return rows.mapInArrow(run, f"key {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string").withColumnRenamed("key", id_col)
+    return rows.mapInArrow(lean(run), f"key {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string").withColumnRenamed("key", id_col)
 
 
 def token_ids(docs: DataFrame, path: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -146,7 +146,7 @@ def token_ids(docs: DataFrame, path: str | None = None, id_col: str = "doc_id",
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([c.encode(t or "") for t in batch.column(1).to_pylist()], pa.list_(pa.int32()))], ["key", "ids"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("key"), F.col(text_col).alias("body")).mapInArrow(run, f"key {kind}, ids array<int>").withColumnRenamed("key", id_col)
+    return docs.select(F.col(id_col).alias("key"), F.col(text_col).alias("body")).mapInArrow(lean(run), f"key {kind}, ids array<int>").withColumnRenamed("key", id_col)
 
 
 def op5_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,12 +3,17 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import os
+import re
 import sys
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 from pathlib import Path
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 ROOT = Path(__file__).resolve().parents[2]
@@ -18,9 +23,11 @@ _made: list[tuple[SparkSession, str]] = []
 
 
 def scratch_dir(spark: SparkSession, name: str) -> str:
-    """A fresh folder in spark.checkpoint.dir; a temporary one only where that is unset (tests)."""
+    """A fresh folder in spark.checkpoint.dir; a temporary one only where that is unset and the master is local."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = Path(tempfile.gettempdir(), "satchel-scratch").as_uri()
     path = f"{base.rstrip('/')}/satchel/{name}-{uuid.uuid4().hex}"
     _made.append((spark, path))
@@ -75,6 +82,26 @@ def ship(spark: SparkSession) -> None:
         spark.sparkContext._satchel_shipped = (root,)
 
 
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """For mapInArrow: when a task ends, its worker gives the memory back that it no longer uses, as workers live on."""
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        give_back()
+
+    return wrapped
+
+
+def give_back() -> None:
+    """Free memory goes from this process to the system."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        return
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

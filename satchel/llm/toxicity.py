@@ -8,7 +8,7 @@ there, by sparse updates. The second round takes smaller steps (CAUTION) for buc
 which holds back chance, but leaves none out.
 
 Bounds: SAMPLE_ROWS labelled rows at most (by a hash of the key); the model has FACTORS + 1 numbers for each
-bucket of the sample, of which there are 2^22 at most. Labels, language, source and key are never inputs of a score.
+bucket of the sample, of which there are 2^22 at most. One task holds the sample and fits; the driver gets the model only. Labels, language, source and key are never inputs of a score.
 
 Defined results: null and empty texts have no terms and get the model's base score; a key with several
 labels counts as toxic if any says so; without labels of both kinds every score is the share of toxic
@@ -27,7 +27,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ship, table
+from .common import lean, ship, table
 
 BUCKET_BITS, START_BUCKETS, FACTORS = 22, 2048, 8
 SAMPLE_ROWS, STEPS, BATCH, RATE, SHRINK, FEWEST = 20_000, 1500, 256, 0.3, 1e-4, 4
@@ -78,6 +78,15 @@ class Machine:
         self.place = Places(buckets)
         self.bias, self.weights, self.factors = bias, weights, factors
 
+    def arrays(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        return self.place.buckets, self.weights.astype(np.float32), self.factors.astype(np.float32)
+
+    @classmethod
+    def of(cls, row) -> Machine:
+        """From the row that a fitting task returns."""
+        buckets, weights, factors = (np.frombuffer(row[c], kind) for c, kind in (("buckets", np.int32), ("weights", np.float32), ("factors", np.float32)))
+        return cls(buckets, row["bias"], weights, factors.reshape(-1, FACTORS))
+
     def score(self, at: list[int]) -> float:
         z = self.bias
         if at:
@@ -200,12 +209,20 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
             lists = [sorted({bucket(t) for t in terms(b or b"")}) for b in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(lists, pa.list_(pa.int32()))], ["k", "y", "at"])
 
-    got = rows.select("label_key", "y", "body").mapInArrow(hashed, "k string, y int, at array<int>" if docs.schema[id_col].dataType.simpleString() == "string" else "k bigint, y int, at array<int>").toArrow().sort_by("k")
-    known_labels, packed = got["y"].to_numpy().astype(float), got["at"].combine_chunks()
-    flat, sizes = packed.flatten().to_numpy().copy(), pc.list_value_length(packed).to_numpy().astype(np.int64)
-    del got, packed
-    pa.default_memory_pool().release_unused()
-    return fit_packed(known_labels, flat, sizes)
+    def fitted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        y, flat, sizes = [], [np.zeros(0, np.int32)], []
+        for batch in batches:
+            y += batch.column(1).to_pylist()
+            flat.append(batch.column(2).flatten().to_numpy())
+            sizes += pc.list_value_length(batch.column(2)).to_pylist()
+        m = fit_packed(np.array(y, float), np.concatenate(flat).astype(np.int32), np.array(sizes, np.int64))
+        yield pa.RecordBatch.from_arrays([pa.array([float(m.bias)]), *(pa.array([x.tobytes()], pa.binary()) for x in m.arrays())], ["bias", "buckets", "weights", "factors"])
+
+    kind = docs.schema[id_col].dataType.simpleString()
+    sample = rows.select("label_key", "y", "body").mapInArrow(lean(hashed), f"k {kind}, y int, at array<int>")
+    # The sample is bounded, so one task can hold it; in the key's order, so that the model doesn't depend on the partitions.
+    found = sample.repartition(1).sortWithinPartitions("k", "y", "at").mapInArrow(lean(fitted), "bias double, buckets binary, weights binary, factors binary").collect()
+    return Machine.of(found[0]) if found else fit_packed(np.zeros(0), np.zeros(0, np.int32), np.zeros(0, np.int64))
 
 
 def score(docs: DataFrame, machine: Machine, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
@@ -234,7 +251,7 @@ def score(docs: DataFrame, machine: Machine, id_col: str = "doc_id", text_col: s
 
     rows = docs.select(*(F.col(c).alias(f"c{i}") for i, c in enumerate(sent)))
     schema = ", ".join(f"c{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(columns)) + ", score double"
-    out = rows.mapInArrow(run, schema)
+    out = rows.mapInArrow(lean(run), schema)
     return out.select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(columns)), is_held_out(F.col("c0")).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
