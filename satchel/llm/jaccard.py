@@ -11,9 +11,11 @@ run out of segments meet in a list of their own.
 
 Steps: (1) sets get a 128-bit fingerprint; equal sets are one from here on. (2) Signatures go, packed, to
 hash buckets; sets that share one form a list. (3) In every list sizes and parity sketches rule out what can't be
-similar. (4) Every other pair of a list is compared exactly, over whole texts; a pair is sent once for each part
-that finds it and compared once. (5) Links give the number of links of each document, equal texts counted through the
-size of their class, and components.
+similar; the rest is held against the smallest set (by fingerprint), or else against the nearest few, exactly,
+over whole texts. (4) Then every pair of a list that isn't ruled out and doesn't hang together through links
+found so far is compared, so a pair is skipped only where it can't change a component. (5) Links give components.
+(6) Links exist only inside a component, so there every pair of neighbouring size is compared, block by block inside
+tasks, and each document's links are counted, equal texts through the size of their class. Pairs are never sent.
 
 Words are runs between blanks, A-Z lower-cased; texts shorter than a shingle are one shingle. Fingerprints
 of shingles have 64 bits when sets are counted and indexed; pairs are verified on the words themselves.
@@ -36,10 +38,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, ship, table
+from .common import lean, materialize, ship, shuffle_width, table
 
 WORDS, T_NUM, T_DEN = 5, 4, 5
-FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS, FOREST_EDGES, HELD_PAIRS = 750_000, 3_000_000, 500_000, 500_000, 500_000
+FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS, FOREST_EDGES, TRIES = 750_000, 1_500_000, 500_000, 500_000, 2
+#: Of a block of sets that are compared with each other; a pair of blocks is one task's work at a time.
+BLOCK_TOKENS, BLOCK_SETS = 65_536, 256
 MEMO_ENTRIES = 200_000
 #: A shingle is popular if a block of about BLOCK_HASHES holds it in OFTEN sets; the POPULAR most frequent ones count.
 #: This allocates segments and changes cost only.
@@ -229,7 +233,7 @@ def shingle_sets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         yield counted(block)
 
     rows = docs.select(F.col(id_col).cast("long").alias("key"), F.col(text_col).cast("binary").alias("body"))
-    return rows.mapInArrow(run, "key long, n_shingles long, hi long, lo long, sketch binary, often array<bigint>, times array<bigint>")
+    return rows.mapInArrow(lean(run), "key long, n_shingles long, hi long, lo long, sketch binary, often array<bigint>, times array<bigint>")
 
 
 def popular_shingles(sets: DataFrame) -> np.ndarray:
@@ -282,7 +286,7 @@ def signature_buckets(docs: DataFrame, buckets: int, popular: np.ndarray, id_col
         yield from flush()
 
     rows = docs.filter(F.col(id_col).isNotNull()).select(F.col(text_col).cast("binary").alias("body"))
-    return rows.mapInArrow(run, "bucket long, sigs binary, sets binary")
+    return rows.mapInArrow(lean(run), "bucket long, sigs binary, sets binary")
 
 
 def lists_of(sig: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -337,7 +341,7 @@ def shared_lists(packed: DataFrame, partitions: int) -> DataFrame:
                 sets.append(np.frombuffer(o.as_buffer(), np.int64))
         yield from lists()
 
-    return packed.repartition(partitions, "bucket").sortWithinPartitions("bucket").mapInArrow(run, "part long, lens binary, sets binary")
+    return packed.repartition(partitions, "bucket").sortWithinPartitions("bucket").mapInArrow(lean(run), "part long, lens binary, sets binary")
 
 
 def packed_lists(part: int, lengths: np.ndarray, lo: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -373,7 +377,7 @@ def list_members(lists: DataFrame) -> DataFrame:
                 lo = np.unique(np.frombuffer(sets, np.int64))
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(lo), part)), pa.array(lo)], ["part", "lo"])
 
-    return lists.select("part", "sets").mapInArrow(run, "part long, lo long")
+    return lists.select("part", "sets").mapInArrow(lean(run), "part long, lo long")
 
 
 class Sketches:
@@ -404,39 +408,63 @@ class Sketches:
         return (T_DEN * a >= T_NUM * b) & ((T_DEN + T_NUM) * apart <= (T_DEN - T_NUM) * (a + b)), apart
 
 
-def all_pairs(own: np.ndarray, known: Sketches) -> Iterator[tuple[int, int]]:
-    """All pairs of a list (ascending) that may be similar."""
+def first_pairs(own: np.ndarray, known: Sketches, found: set[tuple[int, int]]) -> np.ndarray:
+    """Adds pairs of a list (ascending) that probably tie together all that belongs together: the first set with all
+    that may be similar to it, each other set with the TRIES of those that seem nearest to it, then the same among
+    the others. Returns the sets that may be similar to any other.
+    """
     index = [known.at[x] for x in own.tolist()]
     table, n = known.table(index), known.n[index]
-    for i in range(len(own) - 1):
-        others = np.arange(i + 1, len(own))
-        may, _ = known.may_link(n, table, i, others)
-        head = int(own[i])
-        for k in own[others[may]].tolist():
-            yield head, k
+    rest, paired = np.arange(len(own)), np.zeros(len(own), bool)
+    while len(rest) > 1:
+        head, others = rest[0], rest[1:]
+        may, _ = known.may_link(n, table, head, others)
+        near, rest = others[may], others[~may]
+        if not len(near):
+            continue
+        paired[head] = paired[near] = True
+        found.update((int(own[head]), int(own[j])) for j in near)
+        for j in rest:
+            may, apart = known.may_link(n, table, j, near)
+            paired[j] |= bool(may.any())
+            for k in near[may][np.argsort(apart[may], kind="stable")[:TRIES]]:
+                found.add((int(min(own[j], own[k])), int(max(own[j], own[k]))))
+    return own[paired]
+
+
+def remaining_pairs(own: np.ndarray, known: Sketches, group: np.ndarray) -> Iterator[tuple[int, int]]:
+    """All pairs of a list that may be similar and don't hang together yet. group: of each set of known."""
+    index = [known.at[x] for x in own.tolist()]
+    ties = group[index]
+    names, counts = np.unique(ties, return_counts=True)
+    if len(names) == 1:
+        return
+    table, n = known.table(index), known.n[index]
+    outside = np.flatnonzero(ties != names[np.argmax(counts)])
+    late = np.zeros(len(own), bool)
+    for j in outside:
+        late[j] = True  # pairs of two such sets come up once
+        others = np.flatnonzero((ties != ties[j]) & ~late)
+        may, _ = known.may_link(n, table, j, others)
+        for k in others[may]:
+            yield int(min(own[j], own[k])), int(max(own[j], own[k]))
 
 
-def candidates(lists: DataFrame, members: DataFrame, parts: int) -> DataFrame:
-    """a, b of pairs to compare; a pair may come from several parts.
+def candidates(lists: DataFrame, members: DataFrame, parts: int, last: bool = False) -> DataFrame:
+    """part, a, b of pairs to compare; in the first round also part, lens, sets of what the last round must look at again.
 
-    members: part, lo, n, sketch. Ranged by part, so each part's members and then its lists come to one task, one part
-    after the other.
+    members: part, lo, n, sketch, and in the last round tie: the group each set is in so far. Ranged by part, so each
+    part's members and then its lists come to one task, one part after the other.
     """
+    tie = F.col("tie") if last else F.lit(None).cast("long").alias("tie")
     none = lambda kind, name: F.lit(None).cast(kind).alias(name)
-    one = members.select("part", "lo", "n", "sketch", none("binary", "lens"), none("binary", "sets"))
-    two = lists.select("part", none("long", "lo"), none("long", "n"), none("binary", "sketch"), "lens", "sets")
+    one = members.select("part", "lo", "n", "sketch", tie, none("binary", "lens"), none("binary", "sets"))
+    two = lists.select("part", none("long", "lo"), none("long", "n"), none("binary", "sketch"), none("long", "tie"), "lens", "sets")
     rows = one.unionByName(two).repartitionByRange(parts, "part").sortWithinPartitions("part", F.col("lens").isNotNull())
-
-    def sent(found: set[tuple[int, int]]) -> Iterator[pa.RecordBatch]:
-        pairs = sorted(found)
-        found.clear()
-        for i in range(0, len(pairs), 100_000):
-            a, b = zip(*pairs[i : i + 100_000], strict=True)
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+    schema = pa.schema([("part", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("lens", pa.binary()), ("sets", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, known = None, []
-        found: set[tuple[int, int]] = set()
         for batch in batches:
             for r in batch.to_pylist():
                 if r["part"] != part:
@@ -444,17 +472,25 @@ def candidates(lists: DataFrame, members: DataFrame, parts: int) -> DataFrame:
                 if r["lens"] is None:
                     known.append(r)
                     continue
-                sketches, lo, at = Sketches(known), np.frombuffer(r["sets"], np.int64), 0
+                sketches, lo = Sketches(known), np.frombuffer(r["sets"], np.int64)
+                group = np.array([x["tie"] for x in known], np.int64) if last else None
+                found, again, at = set(), {}, 0
                 for k in np.frombuffer(r["lens"], np.int64):
                     own = lo[at : at + k]
                     at += k
-                    for pair in all_pairs(own, sketches):
-                        found.add(pair)
-                        if len(found) >= HELD_PAIRS:
-                            yield from sent(found)
-        yield from sent(found)
+                    if last:
+                        found.update(remaining_pairs(own, sketches, group))
+                    elif len(left := first_pairs(own, sketches, found)) > 2:
+                        again[left.tobytes()] = len(left)
+                pairs = sorted(found)
+                for i in range(0, len(pairs), 100_000):
+                    a, b = zip(*pairs[i : i + 100_000], strict=True)
+                    nothing = pa.nulls(len(a), pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array([part] * len(a), pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), nothing, nothing], schema=schema)
+                if again:
+                    yield pa.RecordBatch.from_pylist([{"part": part, "lens": np.array(list(again.values()), np.int64).tobytes(), "sets": b"".join(again)}], schema=schema)
 
-    return rows.mapInArrow(run, "a long, b long")
+    return rows.mapInArrow(lean(run), "part long, a long, b long, lens binary, sets binary")
 
 
 def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
@@ -480,7 +516,7 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
             linked = [similar(known(i, x), known(j, y)) for i, j, x, y in zip(key_a, key_b, body_a, body_b, strict=True)]
             yield pa.RecordBatch.from_arrays([*batch.columns[:4], pa.array(linked, pa.bool_())], ["a", "b", "key_a", "key_b", "linked"])
 
-    return joined.mapInArrow(run, "a long, b long, key_a long, key_b long, linked boolean")
+    return joined.mapInArrow(lean(run), "a long, b long, key_a long, key_b long, linked boolean")
 
 
 def forest(links: DataFrame) -> DataFrame:
@@ -503,11 +539,11 @@ def forest(links: DataFrame) -> DataFrame:
         u, v = zip(*[p for p in pairs if p[0] != p[1]], strict=True) if any(x != y for x, y in pairs) else ((), ())
         yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
 
-    return links.repartition(max(1, blocks)).mapInArrow(run, "u long, v long")
+    return links.repartition(max(1, blocks)).mapInArrow(lean(run), "u long, v long")
 
 
 def components(links: DataFrame, rounds: int = 50) -> DataFrame:
-    """node, component (the smallest node it hangs together with) for every node of links (u, v).
+    """node, component (the smallest node it hangs together with) for every node of links (u, v) but the smallest ones themselves.
 
     Alternates two steps that keep components and shorten paths: larger neighbours move to a node's smallest
     neighbour, then all smaller ones do. Ends when nothing changes, or raises after as many rounds; each round is a table in the shared folder.
@@ -528,6 +564,85 @@ def components(links: DataFrame, rounds: int = 50) -> DataFrame:
     raise RuntimeError(f"components still change after {rounds} rounds")
 
 
+def with_blocks(members: DataFrame) -> DataFrame:
+    """members (lo, n, copies, component) once for each pair of blocks it is in: component, band, x, over, y and side.
+
+    A component's sets are dealt by size band and hash into blocks of about BLOCK_TOKENS tokens and BLOCK_SETS sets. Similar
+    sets lie in the same or neighbouring bands, so block x of a band meets every block y of it from x on, and every block y
+    of the band above (over). side: 0 for a member of block x, 1 for one of block y.
+    """
+    edges = ", ".join(f"{e}L" for e in band_edges())
+    placed = members.withColumn("band", F.expr(f"size(filter(array({edges}), e -> e < n))"))
+    size = F.greatest(F.ceil(F.sum("n") / BLOCK_TOKENS), F.ceil(F.count(F.lit(1)) / BLOCK_SETS)).cast("int")
+    blocks = placed.groupBy("component", "band").agg(size.alias("own"))
+    at = lambda name, step: blocks.select("component", (F.col("band") + step).alias("band"), F.col("own").alias(name))
+    blocks = blocks.join(at("below", 1), ["component", "band"], "left").join(at("above", -1), ["component", "band"], "left")
+    rows = placed.join(blocks, ["component", "band"]).withColumn("at", F.pmod(F.xxhash64("lo"), F.col("own")).cast("int"))
+    meet = lambda upto, body: f"IF({upto} > 0, transform(sequence(0, {upto} - 1), i -> {body}), array())"
+    place = lambda band, x, over, y, side: f"named_struct('band', {band}, 'x', {x}, 'over', {over}, 'y', {y}, 'side', {side})"
+    own = meet("own", f"IF(i >= at, {place('band', 'at', 'band', 'i', 0)}, {place('band', 'i', 'band', 'at', 1)})")
+    up = meet("coalesce(above, 0)", place("band", "at", "band + 1", "i", 0))
+    down = meet("coalesce(below, 0)", place("band - 1", "i", "band", "at", 1))
+    return rows.withColumn("place", F.explode(F.expr(f"concat({own}, {up}, {down})"))).select("component", "place.*", "lo", "copies")
+
+
+def linked_counts(own: list[set], copies: list[int], sides: list[int] | None) -> np.ndarray:
+    """For each set, the copies of those similar to it. sides: only pairs of different sides count; None: all pairs.
+
+    Exact: shingles are numbered, those of one set only left out, and intersections counted on bit rows.
+    """
+    number: dict[tuple, int] = {}
+    columns = [np.fromiter((number.setdefault(t, len(number)) for t in x), np.int64, len(x)) for x in own]
+    flat = np.concatenate(columns)
+    often = np.bincount(flat, minlength=len(number)) > 1
+    place = np.cumsum(often) - 1
+    bits = np.zeros((len(own), -(-int(often.sum()) // 64) * 64), bool)
+    for i, c in enumerate(columns):
+        bits[i, place[c[often[c]]]] = True
+    rows = np.packbits(bits, axis=1).view(np.uint64)
+    del bits
+    n, many, out = np.array([len(x) for x in own]), np.array(copies, np.int64), np.zeros(len(own), np.int64)
+    side = np.array(sides if sides is not None else [0] * len(own))
+    for i in range(len(own) - 1):
+        others = np.arange(i + 1, len(own))
+        if sides is not None:
+            others = others[side[others] != side[i]]
+        others = others[(T_DEN * np.minimum(n[others], n[i]) >= T_NUM * np.maximum(n[others], n[i]))]
+        both = np.bitwise_count(rows[others] & rows[i]).sum(1, dtype=np.int64)
+        hit = others[T_DEN * both >= T_NUM * (n[others] + n[i] - both)]
+        out[i] += many[hit].sum()
+        out[hit] += many[i]
+    return out
+
+
+def counted_links(placed: DataFrame, texts: DataFrame, parts: int) -> DataFrame:
+    """lo and others (copies of the similar sets), a row for each pair of blocks that a set is in; pairs themselves are never sent."""
+    key = ["component", "band", "x", "over", "y"]
+    rows = placed.join(texts.select("lo", "body"), "lo").select(*key, "side", "lo", "copies", "body")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+
+        def counted() -> Iterator[pa.RecordBatch]:
+            if len(held) > 1:
+                same = now[1:3] == now[3:5]
+                out = linked_counts([shingle_set(r[3]) for r in held], [r[2] for r in held], None if same else [r[0] for r in held])
+                found = np.flatnonzero(out)
+                yield pa.RecordBatch.from_arrays([pa.array([held[i][1] for i in found], pa.int64()), pa.array(out[found], pa.int64())], ["lo", "others"])
+            held.clear()
+
+        for batch in batches:
+            columns = [c.to_pylist() for c in batch.columns]
+            for k, r in zip(zip(*columns[:5], strict=True), zip(*columns[5:], strict=True), strict=True):
+                if k != now:
+                    yield from counted()
+                    now = k
+                held.append(r)
+        yield from counted()
+
+    return rows.repartition(parts, *key).sortWithinPartitions(*key, "side", "lo").mapInArrow(lean(run), "lo long, others long")
+
+
 def _narrow(df: DataFrame, rows: int) -> DataFrame:
     """df broadcast if it has few enough rows of fixed width, else as it is."""
     return F.broadcast(df) if rows <= FEW_IDS else df
@@ -547,7 +662,7 @@ def _texts(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, id_col: str, te
 
     # A key may stand for several texts where keys repeat; the fingerprint tells which is meant.
     chosen = wanted.select(F.col("key").alias("k"), F.col("lo").alias("l"))
-    marked = texts.mapInArrow(stamped, "key long, body binary, lo long").join(chosen, (F.col("key") == F.col("k")) & (F.col("lo") == F.col("l")), "left_semi")
+    marked = texts.mapInArrow(lean(stamped), "key long, body binary, lo long").join(chosen, (F.col("key") == F.col("k")) & (F.col("lo") == F.col("l")), "left_semi")
     return materialize(marked.dropDuplicates(["key", "lo"]), "shingle-texts")
 
 
@@ -565,11 +680,34 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     lists = materialize(shared_lists(signature_buckets(docs, partitions, popular, id_col, text_col), partitions), "shingle-lists")
     sketches = sets.join(firsts.select(F.col("first").alias("key"), "hi", "lo"), ["key", "hi", "lo"]).select("lo", F.col("n_shingles").alias("n"), "sketch").dropDuplicates(["lo"])
     members = materialize(list_members(lists).join(sketches, "lo"), "shingle-members")
-    pairs = materialize(candidates(lists, members, partitions).distinct(), "shingle-pairs")
-    linked = materialize(verified(pairs, _texts(docs, pairs, firsts, id_col, text_col)).filter("linked"), "shingle-verified")
+    first = materialize(candidates(lists, members, partitions), "shingle-pairs")
+    pairs = materialize(first.filter("a is not null").select("a", "b").distinct(), "shingle-pairs")
+    texts = _texts(docs, pairs, firsts, id_col, text_col)
+    one = materialize(verified(pairs, texts), "shingle-verified")
+
+    again = first.filter("a is null").select("part", "lens", "sets")
+    ties = components(forest(one.filter("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))))
+    tied = list_members(again).join(sketches, "lo").join(ties, F.col("lo") == F.col("node"), "left").withColumn("tie", F.coalesce("component", "lo"))
+    more = candidates(again, materialize(tied, "shingle-members"), partitions, last=True).select("a", "b").distinct()
+    more = materialize(more.join(one.select("a", "b"), ["a", "b"], "left_anti"), "shingle-pairs")
+    late = _texts(docs, more, firsts, id_col, text_col)
+    two = materialize(verified(more, late), "shingle-verified")
+    linked = one.union(two).filter("linked")
+
+    # What hangs together is known; now every pair inside a group is compared, to count its links. Two sets alone are done.
+    tree = forest(linked.select(F.col("a").alias("u"), F.col("b").alias("v")))
+    stars = components(tree)  # has no row for the smallest of a group
+    heads = stars.select(F.col("component").alias("node"), "component").distinct()
+    hung = stars.unionByName(heads).join(firsts.select("lo", "n", "copies").dropDuplicates(["lo"]), F.col("node") == F.col("lo")).select("lo", "n", "copies", "component")
+    sized = materialize(hung.join(hung.groupBy("component").agg(F.count(F.lit(1)).alias("sets"), F.sum("copies").alias("all")), "component"), "shingle-groups")
+    total = sized.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    width = max(shuffle_width(spark), -(-int(total) // (4 * BLOCK_TOKENS)))
+    bodies = texts.unionByName(late).dropDuplicates(["lo"])
+    counted = counted_links(with_blocks(sized.filter("sets > 2")), bodies, width)
+    alone = sized.filter("sets = 2").select("lo", (F.col("all") - F.col("copies")).alias("others"))
+    others = counted.unionByName(alone).groupBy("lo").agg(F.sum("others").alias("others"))
+
     links = forest(linked.select(F.col("key_a").alias("u"), F.col("key_b").alias("v")))
-    ends = linked.select(F.col("a").alias("lo"), F.col("b").alias("to")).union(linked.select(F.col("b").alias("lo"), F.col("a").alias("to")))
-    others = ends.join(firsts.select(F.col("lo").alias("to"), "copies"), "to").groupBy("lo").agg(F.sum("copies").alias("others"))
 
     # Keys that repeat with different texts tie their sets together.
     same = usable.join(firsts.select("hi", "lo", "first"), ["hi", "lo"]).filter("key <> first").select(F.col("key").alias("u"), F.col("first").alias("v"))

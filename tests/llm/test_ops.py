@@ -381,6 +381,21 @@ def test_near_duplicates_counts_every_link(spark):
     assert got == want | {None: None}
 
 
+def test_links_are_counted_in_blocks(spark, monkeypatch):
+    """A component of several blocks and bands."""
+    monkeypatch.setattr(jaccard, "BLOCK_SETS", 4)
+    monkeypatch.setattr(jaccard, "BLOCK_TOKENS", 300)
+    rng = random.Random(9)
+    base, texts = [f"w{rng.randrange(900)}" for _ in range(70)], []
+    for i in range(40):  # a chain: the text grows, so its ends aren't similar
+        base += [f"x{i}a", f"x{i}b"]
+        texts.append(" ".join(base))
+    sets = [jaccard.shingle_set(t.encode()) for t in texts]
+    want = {i: sum(jaccard.similar(a, b) for j, b in enumerate(sets) if j != i) for i, a in enumerate(sets)}
+    got = {r.doc_id: (r.n_links, r.component_id) for r in jaccard.near_duplicates(documents(spark, texts)).collect()}
+    assert got == {i: (n, 0) for i, n in want.items()} and len(set(want.values())) > 3
+
+
 def test_components_that_still_change_raise(spark):
     path = spark.createDataFrame([(i, i + 1) for i in range(30)], "u long, v long")
     assert {r.component for r in jaccard.components(path).collect()} == {0}
