@@ -1,12 +1,13 @@
 """Quality rules whose cutoffs keep the share of falsely rejected documents under a stated risk.
 
-Each rule scores a document (higher is worse) and has a fixed grid of cutoffs from loose to tight.
-Labelled documents of good quality form the holdout of their stratum (the language). Going from loose
-to tight, a cutoff is accepted while the exact binomial test rejects "more than its share of the risk
-is falsely rejected"; the first failure ends that rule's sequence (a fixed sequence needs no correction
-inside). The error level is divided by the number of rules times strata (Bonferroni), and the risk by
-the number of rules, so with probability 1 - error all strata keep their false rejections under risk.
-A stratum without enough labels to accept any cutoff rejects nothing beyond the base rules.
+Each rule scores a document (higher is worse). A fixed path of LEVELS steps tightens the cutoffs of all rules together,
+from ones that hardly any text exceeds. Labelled documents of good quality form the holdout of their stratum (the
+language). Step by step, the exact binomial test must reject "all rules together falsely reject more than the risk"; the
+first failure ends the stratum's path, so the tests inside a stratum need no correction (fixed sequence) and the whole
+risk is spent on what the rules reject together, not divided among them. The error level is divided by the number of
+strata (Bonferroni), so with probability 1 - error all strata keep their false rejections under the risk. Strata with
+too few labels for a test are pooled into one, whose cutoffs hold for all of them together; where even that has too few,
+nothing is rejected beyond the base rules. Which strata are pooled follows from the numbers of labels alone.
 
 Defined results: null and empty texts have no words and fail the base rule; a null language is a
 stratum of its own; several labels of a document count once, as good only if all are; an empty
@@ -27,13 +28,14 @@ from .common import materialize, ship, table
 
 SYMBOLS = "#*$%&|<>"
 FIELDS = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words")
-#: Rule: score and cutoffs from loose to tight; a document fails if its score is above the accepted cutoff.
+#: Per rule the cutoffs on the path, from loose to tight; a document fails if its score is above the accepted one.
+LEVELS = 36
 GRIDS = {
-    "symbols": [2 * 0.85**i for i in range(36)],
-    "dup_lines": [0.98 - 0.03 * i for i in range(32)],
-    "repeats": [0.2 - 0.006 * i for i in range(33)],
-    "long_words": [40 * 0.94**i for i in range(32)],
-    "short_words": [1 - 0.04 * i for i in range(24)],
+    "symbols": [2 * 0.86**i for i in range(LEVELS)],
+    "dup_lines": [1 - 0.026 * (i + 1) for i in range(LEVELS)],
+    "repeats": [0.2 - 0.005 * i for i in range(LEVELS)],
+    "long_words": [40 * 0.95**i for i in range(LEVELS)],
+    "short_words": [1 - 0.0215 * i for i in range(LEVELS)],
 }
 RISK, ERROR = 0.02, 0.05
 
@@ -111,36 +113,56 @@ def fewest_labels(risk: float, level: float) -> int:
     return math.ceil(math.log(level) / math.log1p(-risk))
 
 
+def strata_apart(sizes: list[int], risk: float, error: float) -> int:
+    """How many of the strata (good labels each, most first) have enough for tests of their own beside one pooled stratum."""
+    own = 0
+    while own < len(sizes) and sizes[own] >= fewest_labels(risk, error / (own + 2)):
+        own += 1
+    return own
+
+
+def accepted_level(rejected: list[int], n: int, risk: float, level: float) -> int | None:
+    """The last step of the path before the first whose number of false rejections doesn't prove the risk is kept."""
+    last = None
+    for i, k in enumerate(rejected):
+        if n == 0 or binomial_at_most(k, n, risk, level) > level:
+            break
+        last = i
+    return last
+
+
 def accepted_cutoffs(features: DataFrame, labels: DataFrame, risk: float = RISK, error: float = ERROR, id_col: str = "doc_id") -> DataFrame:
-    """stratum and one cutoff per rule (null: the rule rejects nothing there).
+    """cut_stratum, pooled and one cutoff per rule: a row for each stratum with tests of its own, and one (pooled) for all others.
 
-    Only strata with enough good labels reach the driver, so their number is at most the labels divided by that.
+    Strata without a row reject nothing. Only strata with enough good labels reach the driver, so their number is at most
+    the labels divided by that.
     """
     spark = features.sparkSession
-    share = risk / len(GRIDS)
     good = labels.groupBy(F.col(id_col).alias("label_key")).agg(F.min("quality").alias("good")).filter("good = 1")
     held = features.filter(~base_failed()).join(good, F.col(id_col) == F.col("label_key"), "left_semi")
-    counts = [F.sum((rule_score(r) > c).cast("long")).alias(f"{r}_{i}") for r, grid in GRIDS.items() for i, c in enumerate(grid)]
-    few = fewest_labels(share, error / len(GRIDS))
-    by_stratum = held.groupBy("stratum").agg(F.count(F.lit(1)).alias("n"), *counts).filter(F.col("n") >= few).collect()
-    level = error / (len(GRIDS) * max(1, len(by_stratum)))
+    fails = [reduce(Column.__or__, (rule_score(r) > grid[i] for r, grid in GRIDS.items())) for i in range(LEVELS)]
+    steps = [F.sum(f.cast("long")).alias(f"k{i}") for i, f in enumerate(fails)]
+    by_stratum = materialize(held.groupBy("stratum").agg(F.count(F.lit(1)).alias("n"), *steps), "quality-strata")
+    few = fewest_labels(risk, error / 2)
+    large = sorted(by_stratum.filter(F.col("n") >= few).collect(), key=lambda r: (-r["n"], r["stratum"] is not None, r["stratum"] or ""))
+    own = large[: strata_apart([r["n"] for r in large], risk, error)]
+    names = [r["stratum"] for r in own]
+    apart = reduce(Column.__or__, (F.col("stratum").eqNullSafe(F.lit(x)) for x in names), F.lit(False))
+    rest = by_stratum.filter(~apart).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), *(F.coalesce(F.sum(f"k{i}"), F.lit(0)).alias(f"k{i}") for i in range(LEVELS))).first()
     out = []
-    for row in by_stratum:
-        chosen = {}
-        for r, grid in GRIDS.items():
-            chosen[r] = None
-            for i, c in enumerate(grid):
-                if binomial_at_most(row[f"{r}_{i}"], row["n"], share, level) > level:
-                    break
-                chosen[r] = c
-        out.append((row["stratum"], *(chosen[r] for r in GRIDS)))
-    return spark.createDataFrame(out, "cut_stratum string, " + ", ".join(f"cut_{r} double" for r in GRIDS))
+    for row, pooled in [*((r, False) for r in own), (rest, True)]:
+        last = accepted_level([row[f"k{i}"] for i in range(LEVELS)], row["n"], risk, error / (len(own) + 1))
+        if last is not None or not pooled:
+            out.append((None if pooled else row["stratum"], pooled, *(None if last is None else GRIDS[r][last] for r in GRIDS)))
+    return spark.createDataFrame(out, "cut_stratum string, pooled boolean, " + ", ".join(f"cut_{r} double" for r in GRIDS))
 
 
 def judged(features: DataFrame, cutoffs: DataFrame) -> DataFrame:
     """features with base_failed and kept. cutoffs is bounded by the strata that have enough labels."""
-    joined = features.join(F.broadcast(cutoffs), F.col("stratum").eqNullSafe(F.col("cut_stratum")), "left")
-    fails = reduce(Column.__or__, (F.coalesce(rule_score(r) > F.col(f"cut_{r}"), F.lit(False)) for r in GRIDS))
+    rest = cutoffs.filter("pooled").first()
+    joined = features.join(F.broadcast(cutoffs.filter("not pooled")), F.col("stratum").eqNullSafe(F.col("cut_stratum")), "left")
+    cut = lambda r: F.when(F.col("pooled").isNull(), F.lit(rest[f"cut_{r}"] if rest else None).cast("double")).otherwise(F.col(f"cut_{r}"))
+    fails = reduce(Column.__or__, (F.coalesce(rule_score(r) > cut(r), F.lit(False)) for r in GRIDS))
     return joined.withColumns({"base_failed": base_failed(), "kept": ~base_failed() & ~fails})
 
 

@@ -115,6 +115,37 @@ def test_quality_bounds(spark):
     assert few.count() == 0 and quality_rules.judged(features.limit(50), few).filter("kept").count() == 50
 
 
+def test_quality_strata_and_path(spark):
+    assert quality_rules.fewest_labels(0.02, 0.0125) == 217
+    assert quality_rules.strata_apart([1000, 300, 200, 100], 0.02, 0.05) == 2 and quality_rules.strata_apart([180], 0.02, 0.05) == 0
+    assert quality_rules.accepted_level([0, 0, 30, 0], 300, 0.02, 0.0125) == 1 and quality_rules.accepted_level([0], 0, 0.02, 0.05) is None
+    schema = "doc_id long, stratum string, n_words long, word_chars long, n_symbols long, n_lines long, n_dup_lines long, n_repeat_words long"
+    rng = random.Random(8)
+    rows = [(i, ("en", "de", None, "fr")[i % 4] if i < 1600 else "xx", 100, 500, rng.randrange(12) if i % 5 else 90, 10, 0, 0) for i in range(1700)]
+    features = spark.createDataFrame(rows, schema)
+    labels = spark.createDataFrame([(i, int(i % 5 > 0)) for i in range(1700)], "doc_id long, quality int")
+    cuts = quality_rules.accepted_cutoffs(features, labels)
+    assert {r.cut_stratum for r in cuts.collect() if not r.pooled} == {"en", "de", None, "fr"}
+    found = quality_rules.judged(features, cuts).collect()
+    assert not any(r.kept for r in found if r.doc_id % 5 == 0 and r.stratum != "xx")
+    assert sum(not r.kept for r in found if r.doc_id % 5) <= quality_rules.RISK * len(found)
+    pooled = quality_rules.accepted_cutoffs(features.withColumn("stratum", F.col("doc_id").cast("string")), labels)
+    assert [r.pooled for r in pooled.collect()] == [True]
+    assert quality_rules.judged(features.limit(0), quality_rules.accepted_cutoffs(features.limit(0), labels)).count() == 0
+
+
+def test_quality_false_rejections_on_unseen_labels(spark, sf):
+    """Cutoffs from one half of the labels keep the risk on the other, and some are found at this size."""
+    big = sf.replace("0.001", "0.1")
+    features = quality_rules.quality_features(spark.read.parquet(f"{big}/documents.parquet")).cache()
+    labels = spark.read.parquet(f"{big}/labels.parquet")
+    half = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 2 == 0
+    cuts = quality_rules.accepted_cutoffs(features, labels.filter(half))
+    found = quality_rules.judged(features, cuts).filter("not base_failed").join(labels.filter(~half & (F.col("quality") == 1)), "doc_id").collect()
+    assert cuts.count() and sum(not r.kept for r in found) <= 0.03 * len(found)
+    features.unpersist()
+
+
 def test_toxicity_pairs_and_empties(spark):
     rng = random.Random(1)
     fill = [f"w{i}" for i in range(200)]
