@@ -58,6 +58,7 @@ class Group:
     C: np.ndarray
     obj: np.ndarray
     upper: np.ndarray
+    ids: np.ndarray | None = None  # what the solver knows the columns by, where it isn't tids
 
 
 @dataclass
@@ -109,10 +110,10 @@ def stored_frame(part: Partitioning, t: Translation) -> DataFrame:
 
 def load_coarse(frame: DataFrame, t: Translation, most: int) -> Coarse | None:
     """None where more groups than fit on the driver have eligible tuples."""
-    if frame.count() > most:
-        return None
-    got = frame.orderBy("gid").toArrow()
+    got = frame.limit(most + 1).toArrow().sort_by("gid")  # one more than fits tells that it doesn't, without a scan to count
     n = len(got)
+    if n > most:
+        return None
     sizes = got["n"].to_numpy().astype(float)
     upper = sizes * t.query.upper if t.query.upper < INF else np.full(n, INF)
     return Coarse(got["gid"].to_pylist(), np.array([got[c].to_numpy() for c in t.names]).reshape(len(t.rows), n), got["obj"].to_numpy(), sizes, upper)
@@ -123,10 +124,9 @@ def fetch_groups(part: Partitioning, t: Translation, gids: list[str], most: int
     if not gids:
         return {}
     frame = coefficient_frame(part.df.filter(F.col("gid").isin(gids)), t, ("gid", "tid"))
-    n = frame.count()
-    if n > most:
-        raise MemoryError(f"{n} tuples in {len(gids)} groups; {most} fit on the driver")
-    got = frame.toArrow().sort_by([("gid", "ascending"), ("tid", "ascending")])
+    got = frame.limit(most + 1).toArrow().sort_by([("gid", "ascending"), ("tid", "ascending")])
+    if len(got) > most:
+        raise MemoryError(f"more than {most} tuples in {len(gids)} groups, which is what fits on the driver")
     names = np.array(got["gid"].to_pylist(), dtype=object)
     columns = [got[c].to_numpy() for c in t.names]
     tids, obj = got["tid"].to_numpy(), got["obj"].to_numpy()
@@ -145,13 +145,19 @@ class _Frame:
     queue: list[str]
     failed: set[str] = field(default_factory=set)
 
+    def blame(self, failed: set[str]) -> None:
+        """Groups that failed further down are tried first from here on."""
+        self.failed |= failed
+        self.queue.sort(key=lambda g: g not in failed)
+
 
 class FineSearch:
     """Replaces the groups of a coarse answer one by one."""
 
     def __init__(self, t: Translation, branch: int, groups: dict[str, Group], centres: dict[str, np.ndarray], solver, limits: FineLimits, counters: Counters, rank: Callable[[list[str]], list[str]]):
         self.t, self.branch, self.groups, self.centres = t, branch, groups, centres
-        self.solver, self.limits, self.counters, self.rank = solver, limits, counters, rank
+        self.solver = solver if isinstance(solver, Bounded) else Bounded(solver, limits.columns, counters, limits)
+        self.limits, self.counters, self.rank = limits, counters, rank
         self.own = t.branches[branch]
         self.lo, self.hi = t.lo(branch), t.hi(branch)
         self.ended = ""
@@ -160,8 +166,8 @@ class FineSearch:
         """Tuples of one group that take the place of its centroid, given what the others use."""
         g = self.groups[gid]
         kept = totals - times * self.centres[gid][self.own]
-        p = IlpProblem(g.C[self.own], self.lo - kept, self.hi - kept, g.obj, g.upper, self.t.query.sense, g.tids)
-        return self.counters.count(p, self.solver.solve(p))
+        p = IlpProblem(g.C[self.own], self.lo - kept, self.hi - kept, g.obj, g.upper, self.t.query.sense, g.tids if g.ids is None else g.ids)
+        return self.solver.solve(p)
 
     def run(self, support: dict[str, int], fixed: dict[str, tuple[dict[int, int], np.ndarray]] | None = None) -> dict[int, int] | None:
         """tid -> multiplicity, or None. fixed: groups that are tuples already, with their aggregates."""
@@ -188,6 +194,8 @@ class FineSearch:
                 stack.pop()
                 if path:
                     picks.pop(path.pop(), None)
+                if stack:  # all that failed below comes first above
+                    stack[-1].blame(top.failed)
                 continue
             gid = top.queue.pop(0)
             found = self.step(gid, top.totals, support[gid])
@@ -207,11 +215,7 @@ class FineSearch:
                 urgent[gid] = urgent.get(gid, 0) + 1
                 stack.pop()
                 picks.pop(path.pop(), None)
-                parent = stack[-1]
-                parent.failed.add(gid)
-                if gid in parent.queue:
-                    parent.queue.remove(gid)
-                    parent.queue.insert(0, gid)
+                stack[-1].blame(top.failed)
         return None
 
     def _gathered(self, picks: dict[str, dict[int, int]]) -> dict[int, int]:
@@ -238,83 +242,53 @@ def group_rank(order: str, coarse: Coarse, support: dict[str, int], seed: int) -
     return rank
 
 
-def hierarchy_coarse(coarse: Coarse, t: Translation, branch: int, budget: int, solver, counters: Counters) -> Solution:
-    """Coarse answers for more groups than the budget: groups with a common path prefix are solved as one, then taken apart again.
+class Bounded:
+    """Solves programs of any size by programs of at most budget columns each, by the coarse and fine steps themselves.
 
-    The longest prefixes with at most budget distinct values are used; where one holds more than budget groups, this repeats inside it.
+    Too many columns are dealt into budget runs of like ones; the means of the runs make a program, whose used runs are then
+    replaced one by one, with backtracking, by programs over their own columns, which are dealt again where they are too many.
+    An answer is feasible but need not be optimal; none found is no proof that there is none. Counts every program.
     """
-    m = len(coarse.gids)
-    if m <= budget:
-        p = coarse.problem(t, branch)
-        return counters.count(p, solver.solve(p))
-    depth = 1
-    parts = [g.split("/") for g in coarse.gids]
-    longest = max(map(len, parts))
-    names = ["/".join(p[:depth]) for p in parts]
-    while depth < longest and len(set(after := ["/".join(p[: depth + 1]) for p in parts])) <= budget:
-        depth, names = depth + 1, after
-    if len(set(names)) == 1:  # one step fans out over the budget: cut into runs of the path order
-        run = -(-m // budget)
-        names = [f"x{i // run:09d}" for i in range(m)]
-    tops = sorted(set(names))
-    at = {x: [] for x in tops}
-    for i, x in enumerate(names):
-        at[x].append(i)
-    weight = np.zeros((m, len(tops)))
-    for j, x in enumerate(tops):
-        weight[at[x], j] = coarse.sizes[at[x]] / coarse.sizes[at[x]].sum()
-    upper = np.array([coarse.upper[at[x]].sum() for x in tops])
-    above = Coarse(tops, coarse.C @ weight, coarse.obj @ weight, np.array([coarse.sizes[at[x]].sum() for x in tops]), upper)
-    p = above.problem(t, branch)
-    s = counters.count(p, solver.solve(p))
-    if not s.found:
-        return s
-    own, x, used = t.branches[branch], np.zeros(m), {tops[j]: int(round(k)) for j, k in enumerate(s.x) if k > 0.5}
-    groups = {n: Group(np.array(at[n]), coarse.C[:, at[n]], coarse.obj[at[n]], coarse.upper[at[n]]) for n in used}
-    centres = {n: above.C[:, tops.index(n)] for n in used}
 
-    class Inner:
-        """Programs over more than budget groups go one level down again."""
+    def __init__(self, solver, budget: int, counters: Counters, limits: FineLimits, order: Callable[[IlpProblem], np.ndarray] | None = None, weight: Callable[[IlpProblem], np.ndarray] | None = None):
+        self.solver, self.budget, self.counters, self.limits = solver, max(2, budget), counters, limits
+        self.order, self.weight = order or _by_value, weight or (lambda p: np.ones(p.n))
 
-        def solve(self, q: IlpProblem) -> Solution:
-            return solver.solve(q)
+    def solve(self, p: IlpProblem) -> Solution:
+        if p.n <= self.budget:
+            return self.counters.count(p, self.solver.solve(p))
+        runs = np.array_split(self.order(p), self.budget)
+        w = self.weight(p)
+        mean = np.stack([np.append(p.A[:, r] @ w[r], p.cost[r] @ w[r]) / w[r].sum() for r in runs], 1)
+        top = IlpProblem(mean[:-1], p.lo, p.hi, mean[-1], np.array([p.upper[r].sum() for r in runs]), p.sense, np.arange(len(runs)))
+        s = self.counters.count(top, self.solver.solve(top))
+        if not s.found:
+            return s
+        support = {f"{j:09d}": int(round(k)) for j, k in enumerate(s.x) if k > 0.5}
+        groups = {g: Group(runs[int(g)], p.A[:, runs[int(g)]], p.cost[runs[int(g)]], p.upper[runs[int(g)]], p.ids[runs[int(g)]]) for g in support}
+        shape = _Shape(p.sense, list(range(len(p.lo))), p.lo, p.hi)
+        search = FineSearch(shape, 0, groups, {g: mean[:-1, int(g)] for g in support}, self, self.limits, self.counters, sorted)
+        picked = search.run(support)
+        if picked is None:
+            return Solution(self.counters.limit or SolveStatus.INFEASIBLE)
+        x = np.zeros(p.n)
+        x[list(picked)] = list(picked.values())
+        return Solution(SolveStatus.FEASIBLE, x, float(p.cost @ x))
 
-    search = FineSearch(t, branch, groups, centres, Inner(), FineLimits(), counters, lambda g: sorted(g))
-    picked = search.run(used)
-    if picked is None:
-        return Solution(SolveStatus.INFEASIBLE)
-    for i, k in picked.items():
-        x[i] = k
-    del own
-    return Solution(SolveStatus.FEASIBLE, x, float(coarse.obj @ x))
-
-
-def fine_recursive(solver, budget: int):
-    """A solver that takes programs of more than budget tuples apart: sorted by objective and rows, runs of tuples become groups."""
-
-    class Recursive:
-        def solve(self, p: IlpProblem) -> Solution:
-            if p.n <= budget:
-                return solver.solve(p)
-            order = np.lexsort((*p.A, p.cost)) if len(p.A) else np.argsort(p.cost)
-            runs = np.array_split(order, min(budget, -(-p.n // max(1, budget // 4))))
-            means = np.stack([p.A[:, r].mean(1) for r in runs], 1)
-            top = IlpProblem(means, p.lo, p.hi, np.array([p.cost[r].mean() for r in runs]), np.array([p.upper[r].sum() for r in runs]), p.sense, np.arange(len(runs)))
-            s = self.solve(top) if top.n > budget else solver.solve(top)
-            if not s.found:
-                return s
-            x, totals = np.zeros(p.n), means @ s.x
-            for j in np.flatnonzero(s.x > 0.5):
-                kept = totals - means[:, j] * s.x[j]
-                r = runs[j]
-                inner = self.solve(IlpProblem(p.A[:, r], p.lo - kept, p.hi - kept, p.cost[r], p.upper[r], p.sense, r))
-                if not inner.found:
-                    return Solution(SolveStatus.INFEASIBLE)
-                x[r] = inner.x
-                totals = kept + p.A[:, r] @ inner.x
-            return Solution(SolveStatus.FEASIBLE, x, float(p.cost @ x))
-
-    return Recursive()
+
+def _by_value(p: IlpProblem) -> np.ndarray:
+    return np.lexsort((*p.A, p.cost)) if len(p.A) else np.argsort(p.cost, kind="stable")
+
+
+def hierarchy_coarse(coarse: Coarse, t: Translation, branch: int, budget: int, solver, counters: Counters, limits: FineLimits = FineLimits()) -> Solution:
+    """The coarse answer, also for more groups than the budget: neighbours by path are solved as one, then taken apart again."""
+    p = coarse.problem(t, branch)  # in the order of gids, so of paths
+    return Bounded(solver, budget, counters, limits, lambda q: np.argsort(q.ids, kind="stable"), lambda q: coarse.sizes[q.ids]).solve(p)
+
+
+def fine_recursive(solver, budget: int, counters: Counters | None = None, limits: FineLimits = FineLimits()) -> Bounded:
+    """A solver for groups of more tuples than the budget: runs of like tuples become groups."""
+    return Bounded(solver, budget, counters or Counters(), limits)
 
 
 def _hybrid(part: Partitioning, t: Translation, branch: int, coarse: Coarse, solver, limits: FineLimits, counters: Counters, seed: int):
@@ -332,7 +306,7 @@ def _hybrid(part: Partitioning, t: Translation, branch: int, coarse: Coarse, sol
         p = coarse.problem(t, branch, rest)
         own = t.branches[branch]
         both = IlpProblem(np.hstack((g.C[own], p.A)), p.lo, p.hi, np.concatenate((g.obj, p.cost)), np.concatenate((g.upper, p.upper)), p.sense, np.arange(len(g.tids) + len(rest)))
-        s = counters.count(both, solver.solve(both))
+        s = Bounded(solver, limits.columns, counters, limits).solve(both)
         if s.found:
             x = s.x[: len(g.tids)]
             chosen = {int(i): int(round(k)) for i, k in zip(g.tids, x, strict=True) if k > 0.5}
@@ -417,7 +391,7 @@ def _attempt(part, t, q, out: PackageResult, counters, solver, limits, order, se
         return
     answers = []
     for b in range(len(t.branches)):
-        s = hierarchy_coarse(coarse, t, b, budget or most, solver, counters)
+        s = hierarchy_coarse(coarse, t, b, budget or most, solver, counters, limits)
         if s.status is SolveStatus.UNBOUNDED:
             out.status = s.status
             return
@@ -426,28 +400,33 @@ def _attempt(part, t, q, out: PackageResult, counters, solver, limits, order, se
     found.sort(key=lambda x: x[1].objective if q.sense == "min" else -x[1].objective)
     for b, s in found:
         support = {coarse.gids[i]: int(round(k)) for i, k in enumerate(s.x) if k > 0.5}
-        if _fine(part, t, b, coarse, support, None, out, counters, solver, limits, order, seed, parallel, width):
+        if _fine(part, t, b, coarse, support, None, out, counters, solver, limits, order, seed, parallel, width, budget):
             out.bound = s.objective
             return
     if hybrid:
         for b in range(len(t.branches)):
             for gid, chosen, total, support in _hybrid(part, t, b, coarse, solver, limits, counters, seed):
-                if _fine(part, t, b, coarse, support, {gid: (chosen, total)}, out, counters, solver, limits, order, seed, None, width):
+                if _fine(part, t, b, coarse, support, {gid: (chosen, total)}, out, counters, solver, limits, order, seed, None, width, budget):
                     out.attempts.append("hybrid")
                     return
 
 
-def _fine(part, t, b, coarse, support, fixed, out: PackageResult, counters, solver, limits, order, seed, parallel, width) -> bool:
+def _fine(part, t, b, coarse, support, fixed, out: PackageResult, counters, solver, limits, order, seed, parallel, width, budget=None) -> bool:
     start = time.perf_counter()
-    groups = fetch_groups(part, t, sorted(support))
-    out.timing["load"] = out.timing.get("load", 0.0) + time.perf_counter() - start
     at = {g: i for i, g in enumerate(coarse.gids)}
     centres = {g: coarse.C[:, at[g]] for g in support}
-    search = FineSearch(t, b, groups, centres, solver, limits, counters, group_rank(order, coarse, support, seed))
+    if parallel == "groups" and not fixed:  # the groups stay where they are; only what is chosen comes to the driver
+        if (done := _parallel_groups(part, t, b, support, centres, solver)) is not None:
+            out.status, out.chosen, out.branch, out.objective = SolveStatus.FEASIBLE, done[0], b, done[1]
+            counters.solves += len(support)
+            return True
+        start = time.perf_counter()
+    groups = fetch_groups(part, t, sorted(support))
+    out.timing["load"] = out.timing.get("load", 0.0) + time.perf_counter() - start
+    inner = Bounded(solver, budget or limits.columns, counters, limits)
+    search = FineSearch(t, b, groups, centres, inner, limits, counters, group_rank(order, coarse, support, seed))
     picked = None
-    if parallel == "groups" and not fixed:
-        picked = _parallel_groups(part, t, b, support, centres, solver)
-    elif parallel == "orders" and not fixed:
+    if parallel == "orders" and not fixed:
         picked = _parallel_orders(part.df.sparkSession, t, b, groups, centres, support, solver, limits, seed, width)
     if picked is None:
         picked = search.run(support, fixed)
@@ -461,6 +440,13 @@ def _fine(part, t, b, coarse, support, fixed, out: PackageResult, counters, solv
     return True
 
 
+def _holding(total: np.ndarray, t: Translation, b: int) -> bool:
+    """Whether the rows of an alternative hold for these aggregates."""
+    own = t.branches[b]
+    room = 1e-6 * np.maximum(1.0, np.abs(total[own]))
+    return bool(np.all(total[own] >= t.lo(b) - room) and np.all(total[own] <= t.hi(b) + room))
+
+
 def _checked(picked: dict[int, int], groups: dict[str, Group], fixed, part: Partitioning, t: Translation, b: int) -> float | None:
     """The objective if all rows hold over the chosen tuples, else None."""
     known = dict(groups)
@@ -470,16 +456,18 @@ def _checked(picked: dict[int, int], groups: dict[str, Group], fixed, part: Part
     for g in known.values():
         x = np.array([picked.get(int(i), 0) for i in g.tids], float)
         total, value = total + g.C @ x, value + float(g.obj @ x)
-    own = t.branches[b]
-    room = 1e-6 * np.maximum(1.0, np.abs(total[own]))
-    return value if np.all(total[own] >= t.lo(b) - room) and np.all(total[own] <= t.hi(b) + room) else None
+    return value if _holding(total, t, b) else None
 
 
-def _parallel_groups(part: Partitioning, t: Translation, b: int, support, centres, solver) -> dict[int, int] | None:
-    """Every used group is solved at the same time against the coarse rest; None if the parts don't fit together."""
+def _parallel_groups(part: Partitioning, t: Translation, b: int, support, centres, solver) -> tuple[dict[int, int], float] | None:
+    """Every used group is solved at the same time against the coarse rest: tuples and objective, or None if the parts don't fit together.
+
+    Only chosen tuples come back, with their coefficients, so the check needs no further scan.
+    """
     own = t.branches[b]
     totals = sum((k * centres[g][own] for g, k in support.items()), np.zeros(len(own)))
     lo, hi, sense, names = t.lo(b), t.hi(b), t.query.sense, [f"c_{i}" for i in own]
+    columns = ["tid", *t.names, "obj"]
 
     def solve(pdf: pd.DataFrame) -> pd.DataFrame:
         gid = pdf["gid"].iloc[0]
@@ -487,16 +475,16 @@ def _parallel_groups(part: Partitioning, t: Translation, b: int, support, centre
         kept = totals - support[gid] * centres[gid][own]
         upper = pdf["ub"].astype(float).fillna(INF).to_numpy()
         s = solver.solve(IlpProblem(pdf[names].to_numpy().T, lo - kept, hi - kept, pdf["obj"].to_numpy(), upper, sense, pdf["tid"].to_numpy()))
-        x = s.x if s.found else np.full(len(pdf), -1.0)
-        return pd.DataFrame({"tid": pdf["tid"], "x": np.round(x).astype("int64")})[lambda d: d["x"] != 0]
+        if not s.found:
+            return pdf.head(1)[columns].assign(x=-1)
+        return pdf[columns].assign(x=np.round(s.x).astype("int64"))[lambda d: d["x"] != 0]
 
     frame = coefficient_frame(part.df.filter(F.col("gid").isin(sorted(support))), t, ("gid", "tid"))
-    rows = frame.groupBy("gid").applyInPandas(solve, "tid long, x long").collect()
-    if any(r.x < 0 for r in rows):
+    rows = frame.groupBy("gid").applyInPandas(solve, "tid long, " + ", ".join(f"{c} double" for c in t.names) + ", obj double, x long").collect()
+    if any(r["x"] < 0 for r in rows):
         return None
-    picked = {r.tid: r.x for r in rows}
-    groups = fetch_groups(part, t, sorted(support))
-    return picked if _checked(picked, groups, None, part, t, b) is not None else None
+    total = sum((r["x"] * np.array([r[c] for c in t.names], float) for r in rows), np.zeros(len(t.rows)))
+    return ({r["tid"]: r["x"] for r in rows}, float(sum(r["x"] * r["obj"] for r in rows))) if _holding(total, t, b) else None
 
 
 def _parallel_orders(spark, t: Translation, b: int, groups, centres, support, solver, limits: FineLimits, seed: int, width: int) -> dict[int, int] | None:

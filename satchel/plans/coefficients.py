@@ -82,11 +82,11 @@ class TooManyColumns(Exception):
 
 
 def collect_columns(frame: DataFrame, t: Translation, most: int):
-    """tids, coefficients (rows x n), objective and bounds; checks the count before anything is collected."""
-    n = frame.count()
+    """tids, coefficients (rows x n), objective and bounds, by one scan that stops at one column more than fits."""
+    got = frame.limit(most + 1).toArrow()
+    n = len(got)
     if n > most:
-        raise TooManyColumns(f"{n} columns, {most} fit")
-    got = frame.toArrow()
+        raise TooManyColumns(f"more than {most} columns, which is what fits")
     order = np.argsort(got["tid"].to_numpy(), kind="stable")
     C = np.array([got[c].to_numpy()[order] for c in t.names]).reshape(len(t.rows), n)
     upper = np.nan_to_num(got["ub"].to_numpy(zero_copy_only=False).astype(float)[order], nan=INF)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 from pathlib import Path
@@ -13,7 +14,12 @@ _made: list[tuple[SparkSession, str]] = []
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or Path(tempfile.gettempdir(), "satchel-scratch").as_uri()
+    """A fresh folder in spark.checkpoint.dir; a temporary one only where that is unset and the master is local."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        base = Path(tempfile.gettempdir(), "satchel-scratch").as_uri()
     path = f"{base.rstrip('/')}/satchel/{name}-{uuid.uuid4().hex}"
     _made.append((spark, path))
     return path

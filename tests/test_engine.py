@@ -184,10 +184,31 @@ def test_recursion_matches_rows():
 
     c = Counters()
     s = hierarchy_coarse(coarse, T(), 0, 20, BranchAndBound(), c)
-    assert s.found and abs(s.x.sum() - 10) < 1e-9 and coarse.C[1] @ s.x <= 6 + 1e-6 and c.largest <= 60
+    assert s.found and abs(s.x.sum() - 10) < 1e-9 and coarse.C[1] @ s.x <= 6 + 1e-6 and c.largest <= 20
     p = IlpProblem(coarse.C, [10, 0], [10, 6], coarse.obj, np.ones(m), "max", np.arange(m))
-    r = fine_recursive(BranchAndBound(), 40).solve(p)
-    assert not r.found or p.feasible(r.x)
+    for budget in (40, 7):  # with 7, runs are dealt again
+        d = Counters()
+        r = fine_recursive(BranchAndBound(), budget, d).solve(p)
+        assert r.found and p.feasible(r.x) and d.largest <= budget
+
+
+def test_no_program_exceeds_the_budget(numbers, part):
+    q = query(numbers)
+    r = coarse_fine(part, q, FineLimits(seconds=60), budget=25)
+    assert r.found and packages.is_feasible(r.package, q, numbers) and r.counters["largest"] <= 25
+    few = coarse_fine(part, q, FineLimits(seconds=60, columns=3), remedies=())
+    assert few.counters["largest"] <= 3
+
+
+def test_limits_are_statuses(numbers, part, monkeypatch):
+    q = query(numbers)
+    assert coarse_fine(part, q, FineLimits(seconds=0)).status is SolveStatus.LIMIT_TIME
+    assert coarse_fine(part, q, FineLimits(solves=1)).status is SolveStatus.LIMIT_NODES
+    from satchel.operators import coarse_fine as module
+
+    whole = module.fetch_groups
+    monkeypatch.setattr(module, "fetch_groups", lambda p, t, gids, most=10: whole(p, t, gids, most))
+    assert coarse_fine(part, q, FineLimits(seconds=60)).status is SolveStatus.LIMIT_MEMORY
 
 
 def test_rank():
