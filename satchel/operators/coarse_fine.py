@@ -68,8 +68,9 @@ class FineLimits:
     solves: int = 2_000
     seconds: float = 600.0
     columns: int = 100_000
-    gap: float = 1e-4  # of coarse and fine programs
-    nodes: int = 5_000
+    gap: float = 1e-3  # of coarse and fine programs
+    nodes: int = 5_000  # while a program has no solution
+    patience: int = 100  # nodes without a better solution that end a program which has one
 
 
 @dataclass
@@ -326,7 +327,7 @@ def coarse_fine(part: Partitioning, q: PackageQuery, limits: FineLimits = FineLi
     begin = time.perf_counter()
     analyze(part.df.drop("gid"), q)
     t = translate(part.df, q)
-    solver = solver or BranchAndBound(SolverLimits(seconds=limits.seconds, gap=limits.gap, nodes=limits.nodes))
+    solver = solver or BranchAndBound(SolverLimits(seconds=limits.seconds, gap=limits.gap, nodes=limits.nodes, patience=limits.patience))
     translated = time.perf_counter()
     out = PackageResult(q, part.df.drop("gid"), SolveStatus.INFEASIBLE)
     out.timing["translate"] = translated - begin

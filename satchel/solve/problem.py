@@ -24,12 +24,17 @@ class SolveStatus(str, Enum):
 
 @dataclass(frozen=True)
 class SolverLimits:
-    """Defaults of the reference's setup: an hour and 512 MB of working memory."""
+    """Defaults of the reference's setup: an hour and 512 MB of working memory.
+
+    patience: once a solution is known, so many nodes without a better one end the search; the solution is feasible, not
+    proven optimal.
+    """
 
     seconds: float = 3600.0
     bytes: int = 512 << 20
     nodes: int = 200_000
     gap: float = 0.0
+    patience: int | None = None
 
     def columns(self, rows: int) -> int:
         """Columns of an ILP whose matrix, bounds and work arrays fit in bytes."""
