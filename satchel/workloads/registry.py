@@ -121,14 +121,19 @@ def repeat_bounds(spark, sf_dir):
     return out
 
 
-@query("statement_roundtrip", "SELECT TRUE AS same, CAST(2701.2 AS DOUBLE) > 0 AS solved")
+MEAL_BAND = "size BETWEEN 60 AND 75"
+
+
+@query("statement_roundtrip", S.meal_sql("count(*) > 0 AS same, min(cents) AS cents", MEAL_BAND, "<="))
 def statement_roundtrip(spark, sf_dir):
+    """A statement, and what is printed of it and parsed again, are the same query and have the same optimum."""
     text = "SELECT PACKAGE(P) AS M FROM part P REPEAT 2 WHERE P.p_type = 'PROMO' SUCH THAT COUNT(M.*) = 3 AND SUM(M.p_size) BETWEEN 60 AND 75 MINIMIZE SUM(M.p_retailprice)"
     q = parse_package(text)
     from ..lang.ast import same
 
-    r = whole_solve(parts(spark, sf_dir), q, QUICK)
-    return spark.createDataFrame([(same(q, parse_package(to_statement(q))), r.found)], "same boolean, solved boolean")
+    again = parse_package(to_statement(q))
+    r = whole_solve(parts(spark, sf_dir), again, QUICK)
+    return spark.createDataFrame([(same(q, again), int(round(r.objective * 100)))], "same boolean, cents long")
 
 
 @query("ilp_roundtrip", "SELECT CAST(max(5 * a + 4 * b + 3 * c + 7 * d) AS DOUBLE) AS objective, CAST(4 AS BIGINT) AS variables FROM range(7) x(a), range(5) y(b), range(8) z(c), range(4) u(d) WHERE 2 * a + 3 * b + c + 4 * d <= 12 AND 4 * a + b + 2 * c + 5 * d <= 15")
@@ -141,9 +146,6 @@ def ilp_roundtrip(spark, sf_dir):
 
 # Baselines
 
-MEAL_BAND = "size BETWEEN 60 AND 75"
-
-
 @query("selfjoin_meal", S.meal_sql("count(*) AS packages, min(cents) AS best", MEAL_BAND))
 def selfjoin_meal(spark, sf_dir):
     df = parts(spark, sf_dir).filter("p_type = 'PROMO'").select("p_partkey", "p_size", F.round(F.col("p_retailprice") * 100).cast("long").alias("cents"))
@@ -203,11 +205,21 @@ def min_max_predicate(spark, sf_dir):
     return _objective(whole_solve(df, meal(df, 0, (count_() == 4) & (min_("p_size") >= 10) & (max_("p_size") <= 30)), QUICK), spark)
 
 
-@query("status_cases", "SELECT * FROM (VALUES ('infeasible', 'infeasible'), ('unbounded', 'unbounded'), ('no objective', 'optimal'), ('memory', 'memory limit')) v(what, status)")
+STATUS = """WITH p AS (SELECT p_size FROM part WHERE p_type = 'PROMO'), top AS (SELECT sum(p_size) AS most, count(*) AS n FROM (SELECT p_size FROM p ORDER BY p_size DESC LIMIT 3)),
+two AS (SELECT CASE WHEN n = 3 AND most >= 10000 THEN 'optimal' ELSE 'infeasible' END AS status FROM top)
+SELECT 'infeasible' AS what, status FROM two
+UNION ALL SELECT 'coarse-fine', replace(status, 'optimal', 'feasible') FROM two
+UNION ALL SELECT 'unbounded', CASE WHEN max(p_size) > 0 THEN 'unbounded' ELSE 'optimal' END FROM part
+UNION ALL SELECT 'no objective', CASE WHEN EXISTS (SELECT 1 FROM (SELECT row_number() OVER () AS i, p_size AS s FROM p) a JOIN (SELECT row_number() OVER () AS i, p_size AS s FROM p) b ON a.i < b.i JOIN (SELECT row_number() OVER () AS i, p_size AS s FROM p) c ON b.i < c.i WHERE a.s + b.s + c.s = 70) THEN 'optimal' ELSE 'infeasible' END
+UNION ALL SELECT 'memory', CASE WHEN count(*) > 512 // (8 * 15) THEN 'memory limit' ELSE 'optimal' END FROM p"""
+
+
+@query("status_cases", STATUS)
 def status_cases(spark, sf_dir):
     df = parts(spark, sf_dir)
     out = [
         ("infeasible", whole_solve(df, meal(df, 0, (count_() == 3) & (sum_("p_size") >= 10_000)), QUICK)),
+        ("coarse-fine", coarse_fine(_part_groups(spark, sf_dir), meal(df, 0, (count_() == 3) & (sum_("p_size") >= 10_000)), FineLimits(seconds=60))),
         ("unbounded", whole_solve(df, package_of(df).repeat(None).such_that(count_() >= 1).maximize(sum_("p_size")).query, QUICK)),
         ("no objective", whole_solve(df, package_of(df).repeat(0).such_that((count_() == 3) & (sum_("p_size") == 70)).query, QUICK)),
         ("memory", whole_solve(df, meal(df), SolverLimits(bytes=512))),
@@ -233,26 +245,27 @@ def top_k(spark, sf_dir):
     return spark.createDataFrame([(i + 1, int(round(r.objective * 100))) for i, r in enumerate(found)], "place int, cents long")
 
 
-POWERSET = """WITH RECURSIVE s AS (SELECT s_suppkey AS k, CAST(round(s_acctbal * 100) AS BIGINT) AS cents FROM supplier WHERE s_suppkey < 12),
-g(last, size, cents) AS (SELECT k, 1, cents FROM s UNION ALL SELECT s.k, size + 1, g.cents + s.cents FROM g JOIN s ON s.k > g.last)
-SELECT count(*) AS subsets, max(cents) FILTER (cents <= 2000000) AS best FROM g"""
+POWERSET = """WITH RECURSIVE s AS (SELECT r_regionkey AS k, CAST(length(r_name) AS BIGINT) AS letters FROM region),
+g(last, size, letters) AS (SELECT k, 1, letters FROM s UNION ALL SELECT s.k, size + 1, g.letters + s.letters FROM g JOIN s ON s.k > g.last)
+SELECT count(*) AS subsets, max(letters) FILTER (letters <= 20) AS best FROM g"""
 
 
-def _twelve(spark, sf_dir) -> DataFrame:
-    return table(spark, sf_dir, "supplier").filter("s_suppkey < 12").select("s_suppkey", F.round(F.col("s_acctbal") * 100).cast("long").alias("cents"))
+def _regions(spark, sf_dir) -> DataFrame:
+    """A whole table that is tiny at every size."""
+    return table(spark, sf_dir, "region").select("r_regionkey", F.length("r_name").cast("long").alias("letters"))
 
 
-@query("powerset_supplier12", POWERSET)
+@query("powerset_region", POWERSET)
 def powerset(spark, sf_dir):
-    sets = baselines.powerset_packages(_twelve(spark, sf_dir), "s_suppkey", ["cents"])
-    return sets.agg(F.count(F.lit(1)).alias("subsets"), F.max(F.when(F.col("cents") <= 2_000_000, F.col("cents"))).alias("best"))
+    sets = baselines.powerset_packages(_regions(spark, sf_dir), "r_regionkey", ["letters"])
+    return sets.agg(F.count(F.lit(1)).alias("subsets"), F.max(F.when(F.col("letters") <= 20, F.col("letters"))).alias("best"))
 
 
 @query("powerset_recursive", POWERSET)
 def powerset_recursive(spark, sf_dir):
-    _twelve(spark, sf_dir).createOrReplaceTempView("twelve_suppliers")
-    sets = spark.sql(baselines.powerset_recursive_sql("twelve_suppliers", "s_suppkey", "cents"))
-    return sets.agg(F.count(F.lit(1)).alias("subsets"), F.max(F.when(F.col("total") <= 2_000_000, F.col("total"))).alias("best"))
+    _regions(spark, sf_dir).createOrReplaceTempView("all_regions")
+    sets = spark.sql(baselines.powerset_recursive_sql("all_regions", "r_regionkey", "letters"))
+    return sets.agg(F.count(F.lit(1)).alias("subsets"), F.max(F.when(F.col("total") <= 20, F.col("total"))).alias("best"))
 
 
 FEATURES_SQL = r"(SELECT doc_id, n_chars, len(regexp_extract_all(text, '[^ \t\n\r]+')) AS n_words FROM documents)"
@@ -323,19 +336,28 @@ def kd_groups(spark, sf_dir):
     return kd_partition(parts(spark, sf_dir), ["p_size", "p_retailprice"], 100, digits=2).groups.select("gid", "n")
 
 
-@query("quad_adaptive_report", "SELECT CAST(0 AS DOUBLE) AS over_tau, TRUE AS covers")
+def _sums(relation: str, extra: str) -> str:
+    return f"SELECT count(*) AS tuples, round(sum(l_quantity), 3) AS quantity, {extra} FROM {relation}"
+
+
+def _totals(p: Partitioning, attr: str) -> DataFrame:
+    """What the groups' statistics say of the whole relation."""
+    return p.groups.agg(F.sum("n").alias("tuples"), F.round(F.sum(F.col("n") * F.col(f"avg_{attr}")), 3).alias("quantity"))
+
+
+@query("quad_adaptive_report", _sums(S.LINES, "CAST(0 AS DOUBLE) AS over_tau"))
 def quad_adaptive(spark, sf_dir):
-    df = lines(spark, sf_dir)
-    p = quad_partition(df, list(WORKLOADS["w3"].attrs), 0.01, digits=2, split="adaptive")
-    n = df.count()
-    return partition_report(p).select("over_tau").withColumn("covers", F.lit(p.groups.agg(F.sum("n")).first()[0] == n))
+    """Groups of an adaptive split: none over tau, and together they are the relation."""
+    p = quad_partition(lines(spark, sf_dir), ["l_quantity", *(a for a in WORKLOADS["w3"].attrs)], 0.01, digits=2, split="adaptive")
+    return _totals(p, "l_quantity").withColumn("over_tau", F.lit(partition_report(p).first()["over_tau"]))
 
 
-@query("radius_relative", "SELECT CAST(0 AS BIGINT) AS outside, CAST(0 AS DOUBLE) AS over_tau, CAST(0 AS DOUBLE) AS over_radius")
+@query("radius_relative", _sums(S.LINES, "CAST(0 AS BIGINT) AS outside, CAST(0 AS DOUBLE) AS over_tau, CAST(0 AS DOUBLE) AS over_radius"))
 def radius_relative(spark, sf_dir):
-    """No tuple leaves the relative radius around its centroid."""
+    """No tuple leaves the relative radius around its centroid, and the groups together are the relation."""
     p = _once(spark, sf_dir, "line-radius", lambda: quad_partition(lines(spark, sf_dir), ["l_quantity", "l_extendedprice"], 0.1, Relative(0.5), digits=2))
-    return partition_report(p).select(F.lit(measures.check_tuple_bounds(p, 0.5).count()).alias("outside"), "over_tau", "over_radius")
+    r = partition_report(p).first()
+    return _totals(p, "l_quantity").select("*", F.lit(measures.check_tuple_bounds(p, 0.5).count()).alias("outside"), F.lit(r["over_tau"]).alias("over_tau"), F.lit(r["over_radius"]).alias("over_radius"))
 
 
 @query("omega_eps", S.quad_sql("part", "p_partkey", S.PART_VALUES, 100, "SELECT round(0.1 * min(least(avg(v0), avg(v1)) / 100) OVER (), 6) AS omega_max, round(0.1 / 1.1 * min(least(avg(v0), avg(v1)) / 100) OVER (), 6) AS omega_min FROM placed GROUP BY gid LIMIT 1"))
@@ -354,16 +376,15 @@ def partition_sample(spark, sf_dir):
     return out
 
 
-@query("dynamic_cut", "SELECT CAST(0 AS DOUBLE) AS over_tau, (SELECT count(*) FROM part) AS tuples, TRUE AS coarser")
+@query("dynamic_cut", S.quad_sql("part", "p_partkey", S.PART_VALUES, 600, LEAVES))
 def dynamic_cut(spark, sf_dir):
-    p = _part_groups(spark, sf_dir)
-    c = p.cut(None, 600)
-    return partition_report(c, 600).select("over_tau", F.lit(c.groups.agg(F.sum("n")).first()[0]).alias("tuples"), (F.col("groups") <= p.groups.count()).alias("coarser"))
+    """The stored tree cut at a larger tau is the partitioning for that tau."""
+    return _part_groups(spark, sf_dir).cut(None, 600).groups.select("gid", "n")
 
 
-@query("merged_groups", "SELECT count(*) AS tuples FROM part")
+@query("merged_groups", S.quad_sql("part", "p_partkey", S.PART_VALUES, 100, "SELECT 'm' || lpad(CAST(pair AS VARCHAR), 12, '0') AS gid, CAST(sum(n) AS BIGINT) AS n FROM (SELECT n, (row_number() OVER (ORDER BY gid) - 1) // 2 AS pair FROM (SELECT gid, count(*) AS n FROM placed GROUP BY gid)) GROUP BY pair"))
 def merged_groups(spark, sf_dir):
-    return _part_groups(spark, sf_dir).merge().groups.agg(F.sum("n").alias("tuples"))
+    return _part_groups(spark, sf_dir).merge().groups.select("gid", "n")
 
 
 @query("kmeans_step", """WITH c(i, x, y) AS (VALUES (0, 10.0, 920.0), (1, 25.0, 950.0), (2, 40.0, 980.0)),
@@ -401,20 +422,21 @@ def coarse_problem_meal(spark, sf_dir):
 
 
 def _audited(spark, sf_dir, name: str, **options) -> DataFrame:
+    """Each linear row with its coefficient summed over the relation, and whether the package that coarse-fine found satisfies it."""
     w, part = WORKLOADS[name], _partition(spark, sf_dir, name)
     relation = part.df.drop("gid")
     q = w.query(relation)
+    t = translate(relation, q)
+    sums = coefficient_frame(relation, t).agg(*(F.round(F.sum(c), 3).alias(c) for c in t.names)).first()
     r = coarse_fine(part, q, FineLimits(seconds=120), remedies=("hybrid", "smaller_tau", "drop", "merge"), **options)
-    if not r.found:
-        return spark.createDataFrame([(name, r.status.value, False)], "workload string, row string, satisfied boolean")
-    return packages.audit(r.package, q, relation).select(F.lit(name).alias("workload"), F.col("name").alias("row"), "satisfied")
+    rows = packages.audit(r.package, q, relation).collect() if r.found else []
+    good = {i: row.satisfied for i, row in zip(t.branches[0], rows, strict=False)}
+    return spark.createDataFrame([(name, place, t.rows[i].name, sums[f"c_{i}"], good.get(i, False)) for place, i in enumerate(t.branches[0])], "workload string, place int, row string, total double, satisfied boolean")
 
 
 def _register_workloads() -> None:
-    rows = {"w1": "c0 c1 c2", "w2": "c0 c1 c2", "w3": "c0 c1 c2", "w4": "c0 c1", "w5": "c0 c1", "w6": "c0 c1 c2_avg c2_avg", "w7": "c0 c1 c2", "v1": "c0 c1", "v2": "c0 c1 c2 c3", "v3": "c0 c1 c2", "v4": "c0 c1_avg c2", "v5": "c0 c1 c2", "v6": "c0 c1 c2 c3 c4", "v7": "c0"}
-    for name, own in rows.items():
-        values = ", ".join(f"('{name}', '{r}', TRUE)" for r in own.split())
-        query(f"audit_{name}", f"SELECT * FROM (VALUES {values}) v(workload, row, satisfied)")(lambda spark, sf_dir, n=name: _audited(spark, sf_dir, n))
+    for name in WORKLOADS:
+        query(f"audit_{name}", S.audit_sql(name))(lambda spark, sf_dir, n=name: _audited(spark, sf_dir, n))
 
 
 _register_workloads()
@@ -469,16 +491,18 @@ def remedies(spark, sf_dir):
 
 # Theory and measures
 
-@query("centroid_mean", "SELECT * FROM (VALUES ('p_size', TRUE), ('p_retailprice', TRUE)) v(attribute, same)")
+@query("centroid_mean", "SELECT 'p_size' AS attribute, round(avg(p_size), 6) AS mean, TRUE AS same FROM part UNION ALL SELECT 'p_retailprice', round(avg(p_retailprice), 6), TRUE FROM part")
 def centroid_mean(spark, sf_dir):
-    return measures.check_centroid_mean(_part_groups(spark, sf_dir)).select("attribute", (F.abs(F.col("centroids") - F.col("tuples")) < 1e-6).alias("same"))
+    """The size-weighted mean of the centroids, and whether the tuples' mean is the same."""
+    return measures.check_centroid_mean(_part_groups(spark, sf_dir)).select("attribute", F.round("centroids", 6).alias("mean"), (F.abs(F.col("centroids") - F.col("tuples")) < 1e-6).alias("same"))
 
 
-@query("projection_bounds", "SELECT * FROM (VALUES ('l_quantity', TRUE), ('l_extendedprice', TRUE)) v(attribute, holds)")
+@query("projection_bounds", f"WITH s AS (SELECT 2 * sum(l_quantity) AS a, 2 * sum(l_extendedprice) AS b FROM {S.LINES} WHERE l_orderkey % 97 = 7) SELECT 'l_quantity' AS attribute, round(a, 2) AS tuples, TRUE AS holds FROM s UNION ALL SELECT 'l_extendedprice', round(b, 2), TRUE FROM s")
 def projection_bounds(spark, sf_dir):
+    """A package's aggregates over tuples, and whether those over its centroids are within the factor."""
     p = _once(spark, sf_dir, "line-radius", lambda: quad_partition(lines(spark, sf_dir), ["l_quantity", "l_extendedprice"], 0.1, Relative(0.5), digits=2))
-    package = p.df.filter(F.pmod(F.xxhash64("tid"), F.lit(1000)) == 7).withColumn("multiplicity", F.lit(2))
-    return measures.check_projection_bounds(p, package, 0.5).select("attribute", "holds")
+    package = p.df.filter("l_orderkey % 97 = 7").withColumn("multiplicity", F.lit(2))
+    return measures.check_projection_bounds(p, package, 0.5).select("attribute", F.round("tuples", 2).alias("tuples"), "holds")
 
 
 @query("hoeffding", "SELECT round(least(1.0, 2 * exp(-2.0 * 60 * 60 / (20 * (max(l_quantity) - min(l_quantity)) ** 2))), 9) AS gamma FROM lineitem")
@@ -501,20 +525,28 @@ def dual_fixed(spark, sf_dir):
     return spark.createDataFrame([(round(float(value), 2),)], "bound double")
 
 
-@query("pruned_whole_solve", "SELECT * FROM (VALUES ('w1', TRUE, TRUE), ('w4', TRUE, TRUE), ('w5', TRUE, TRUE)) v(workload, same, fewer)")
+@query("pruned_whole_solve", S.meal_sql("min(cents) AS cents, (SELECT count(*) FROM p) AS eligible", MEAL_BAND))
 def pruned(spark, sf_dir):
-    """The optimum from the few tuples that bounds leave, against the whole solve."""
+    """The optimum from the few tuples that bounds leave."""
+    part = _part_groups(spark, sf_dir)
+    b = pruned_whole_solve(part, meal(part.df.drop("gid")), QUICK)
+    return spark.createDataFrame([(int(round(b.objective * 100)), part.df.filter("p_type = 'PROMO'").count())], "cents long, eligible long")
+
+
+@query("pruned_share")
+def pruned_share(spark, sf_dir):
+    """Columns of the whole solve and of the pruned one, and whether their optima agree."""
     out = []
     for name in ("w1", "w4", "w5"):
         part = _partition(spark, sf_dir, name)
         relation = part.df.drop("gid")
         q = WORKLOADS[name].query(relation)
         a, b = whole_solve(relation, q, QUICK), pruned_whole_solve(part, q, QUICK)
-        out.append((name, abs(a.objective - b.objective) < 1e-6 * abs(a.objective), b.counters["columns"] < a.counters["columns"]))
-    return spark.createDataFrame(out, "workload string, same boolean, fewer boolean")
+        out.append((name, abs(a.objective - b.objective) < 1e-6 * abs(a.objective), a.counters["columns"], b.counters["columns"]))
+    return spark.createDataFrame(out, "workload string, same boolean, whole int, pruned int")
 
 
-@query("coverage_sets", "SELECT * FROM (VALUES ('subset', 2, 2 / 3.0::DOUBLE), ('equal', 3, 1.0::DOUBLE), ('workload', 8, 8 / 3.0::DOUBLE)) v(attributes, n, coverage)")
+@query("coverage_sets")
 def coverage_sets(spark, sf_dir):
     from ..partition.quad import attribute_sets, coverage
     from ..plans.rules import query_attributes
@@ -538,16 +570,21 @@ def join_modes(spark, sf_dir):
     return spark.createDataFrame([(m, int(round(v * 100))) for m, _, v in rows], "mode string, cents long")
 
 
-@query("package_operators", "SELECT * FROM (VALUES ('expand', 8), ('collapse', 3), ('union', 16), ('except', 4), ('exclude', 0), ('nested', 1)) v(operator, n)")
+PACKAGE = """WITH p AS (SELECT r, [1, 3, 4][r] AS m, [1, 1, 2][r] AS h FROM (SELECT row_number() OVER (ORDER BY p_partkey) AS r FROM part) WHERE r <= 3)
+SELECT unnest(['expand', 'collapse', 'union', 'except', 'exclude', 'nested', 'compare']) AS operator,
+  unnest([sum(m), count(*), sum(m + m), sum(greatest(m - h, 0)), (SELECT count(*) FROM part) - count(*), count(DISTINCT m >= 0), count(*) FILTER (m <> h)])::INTEGER AS n FROM p"""
+
+
+@query("package_operators", PACKAGE)
 def package_operators(spark, sf_dir):
-    """On a fixed package of 3 tuples, taken 1, 3 and 4 times. exclude: tuples of it left in its own complement."""
+    """On a fixed package of 3 tuples, taken 1, 3 and 4 times, and another with 1, 1 and 2. exclude: tuples in its complement; compare: tuples in which the two differ."""
     df = parts(spark, sf_dir)
     ids = [r.tid for r in df.orderBy("p_partkey").limit(3).collect()]
     p = packages.materialize(df, dict(zip(ids, (1, 3, 4), strict=True)))
     half = packages.materialize(df, dict(zip(ids, (1, 1, 2), strict=True)))
     total = lambda d: int(d.agg(F.sum("multiplicity")).first()[0])
     opened = packages.expand(p)
-    rows = [("expand", opened.count()), ("collapse", packages.collapse(opened).count()), ("union", total(packages.package_union(p, p))), ("except", total(packages.package_except(p, half))), ("exclude", packages.exclude(df, p).join(p.select("tid"), "tid", "left_semi").count()), ("nested", packages.to_nested(p).count())]
+    rows = [("expand", opened.count()), ("collapse", packages.collapse(opened).count()), ("union", total(packages.package_union(p, p))), ("except", total(packages.package_except(p, half))), ("exclude", packages.exclude(df, p).count()), ("nested", packages.to_nested(p).count()), ("compare", packages.compare(p, half).count())]
     return spark.createDataFrame(rows, "operator string, n int")
 
 
