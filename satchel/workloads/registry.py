@@ -620,12 +620,22 @@ def selfjoin_growth(spark, sf_dir):
 
 # Experiments; seconds differ from run to run, so they have no SQL.
 
-query("ex0_self_join")(lambda spark, sf_dir: experiments.ex0_self_join(spark, sf_dir, 3))
-query("ex1_scaling")(lambda spark, sf_dir: experiments.ex1_scaling(spark, sf_dir, ("w1", "v1"), (0.1, 0.5, 1.0)))
+query("ex0_self_join")(experiments.ex0_self_join)
+query("ex1_scaling")(lambda spark, sf_dir: _scaling(spark, sf_dir))
+query("ex1_failures")(lambda spark, sf_dir: experiments.ex1_failures(_scaling(spark, sf_dir)))
 query("ex1b_radius")(experiments.ex1b_radius)
-query("ex2_tau")(lambda spark, sf_dir: experiments.ex2_tau(spark, sf_dir, taus=(0.5, 0.1, 0.01)))
+query("ex2_tau")(experiments.ex2_tau)
+query("ex2_tau_part")(lambda spark, sf_dir: experiments.ex2_tau(spark, sf_dir, fraction=0.3))
+query("ex2_tau_documents")(lambda spark, sf_dir: experiments.ex2_tau(spark, sf_dir, "v1"))
 query("ex3_coverage")(experiments.ex3_coverage)
+query("ex3_coverage_vectors")(experiments.ex3_coverage_vectors)
 query("ex4_partitioning")(experiments.ex4_partitioning)
 query("ex5_remedies")(experiments.ex5_remedies)
-query("ex6_methods")(lambda spark, sf_dir: experiments.ex6_methods(spark, sf_dir, "v1"))
-query("ex7_dynamic")(lambda spark, sf_dir: experiments.ex7_dynamic(spark, sf_dir, epsilons=(0.1, 0.6)))
+query("ex6_methods")(experiments.ex6_methods)
+query("ex6_methods_lines")(lambda spark, sf_dir: experiments.ex6_methods(spark, sf_dir, "w4"))
+query("ex7_dynamic")(experiments.ex7_dynamic)
+query("ex7_dynamic_lines")(lambda spark, sf_dir: experiments.ex7_dynamic(spark, sf_dir, "w4"))
+
+
+def _scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _once(spark, sf_dir, "scaling", lambda: experiments.ex1_scaling(spark, sf_dir))
