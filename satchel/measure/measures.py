@@ -97,6 +97,20 @@ def project_package(package: DataFrame, part: Partitioning) -> DataFrame:
     return part.df.select("tid", "gid").join(F.broadcast(package.select("tid", "multiplicity")), "tid").groupBy("gid").agg(F.sum("multiplicity").alias("multiplicity"))
 
 
+def draw_package(groups: DataFrame, part: Partitioning, seed: int = 42) -> DataFrame:
+    """Centroids to tuples: each of a group's multiplicity uses becomes a tuple of the group, drawn by a hash (tid, multiplicity).
+
+    Only the groups in use are numbered, each by itself.
+    """
+    from pyspark.sql import Window
+
+    used = groups.join(part.groups.select("gid", "n"), "gid").select("gid", "n", F.explode(F.sequence(F.lit(1), F.col("multiplicity").cast("int"))).alias("i"))
+    draws = used.withColumn("nth", F.pmod(F.xxhash64("gid", "i", F.lit(seed)), F.col("n")) + 1).groupBy("gid", "nth").agg(F.count(F.lit(1)).alias("multiplicity"))
+    members = part.df.select("tid", "gid").join(groups.select("gid").distinct(), "gid", "left_semi")
+    numbered = members.withColumn("nth", F.row_number().over(Window.partitionBy("gid").orderBy("tid")).cast("long"))
+    return numbered.join(draws, ["gid", "nth"]).select("tid", "multiplicity")
+
+
 def check_tuple_bounds(part: Partitioning, eps: float) -> DataFrame:
     """Tuples that leave [(1 - eps), (1 + eps)] times their centroid in some attribute: none within the relative radius."""
     centres = part.groups.select("gid", *(f"avg_{a}" for a in part.attrs))

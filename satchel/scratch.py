@@ -41,3 +41,11 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     path = scratch_path(spark, name)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes of the files behind a table that stored() returned."""
+    spark = df.sparkSession
+    conf, paths = spark.sparkContext._jsc.hadoopConfiguration(), spark.sparkContext._jvm.org.apache.hadoop.fs
+    folders = {f.rsplit("/", 1)[0] for f in df.inputFiles()}
+    return sum(paths.Path(f).getFileSystem(conf).getContentSummary(paths.Path(f)).getLength() for f in folders)

@@ -11,7 +11,7 @@ from ..lang.ast import PackageQuery
 from ..operators.whole import whole_solve
 from ..package.result import PackageResult
 from ..plans.coefficients import coefficient_frame, translate
-from ..scratch import stored
+from ..scratch import stored, stored_bytes
 from ..solve.problem import SolverLimits
 
 LINE_KEY = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"]
@@ -47,10 +47,15 @@ def package_over_join(left: DataFrame, right: DataFrame, on, key: list[str], q:
     ids: keep only keys and coefficients, and look the chosen rows up by key."""
     joined = left.join(right, on)
     if mode == "materialized":
-        return whole_solve(stored(_with_key(joined, key), "join"), q, limits)
+        kept = stored(_with_key(joined, key), "join")
+        out = whole_solve(kept, q, limits)
+        out.counters["bytes"] = stored_bytes(kept)
+        return out
     rows = _with_key(joined, key)
     if mode == "pipelined":
-        return whole_solve(rows, q, limits)
+        out = whole_solve(rows, q, limits)
+        out.counters["bytes"] = 0
+        return out
     t = translate(rows, q)
     narrow = stored(coefficient_frame(rows, t), "join-ids")
     n = narrow.count()
@@ -61,7 +66,7 @@ def package_over_join(left: DataFrame, right: DataFrame, on, key: list[str], q:
     data = collect_columns(narrow, t, limits_columns(limits, t))
     s, branch, _ = solve_branches(t, data, BranchAndBound(limits))
     chosen = {int(i): int(round(k)) for i, k in zip(data[0], s.x, strict=True) if k > 0.5} if s.found else {}
-    return PackageResult(q, rows, s.status, chosen, s.objective, s.bound, branch, counters={"columns": n})
+    return PackageResult(q, rows, s.status, chosen, s.objective, s.bound, branch, counters={"columns": n, "bytes": stored_bytes(narrow)})
 
 
 def _with_key(joined: DataFrame, key: list[str]) -> DataFrame:
@@ -69,13 +74,13 @@ def _with_key(joined: DataFrame, key: list[str]) -> DataFrame:
     return joined.withColumn("tid", F.xxhash64(*key))
 
 
-def join_tradeoff(left: DataFrame, right: DataFrame, on, key: list[str], q: PackageQuery) -> list[tuple[str, float, float | None]]:
-    """mode, seconds and objective of each."""
+def join_tradeoff(left: DataFrame, right: DataFrame, on, key: list[str], q: PackageQuery) -> list[tuple[str, float, int, float | None]]:
+    """mode, seconds, bytes written and objective of each."""
     out = []
     for mode in ("materialized", "pipelined", "ids"):
         begin = time.perf_counter()
         r = package_over_join(left, right, on, key, q, mode)
-        out.append((mode, time.perf_counter() - begin, r.objective))
+        out.append((mode, time.perf_counter() - begin, r.counters["bytes"], r.objective))
     return out
 
 

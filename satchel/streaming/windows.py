@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.listener import StreamingQueryListener
 
 from ..lang.ast import INF, PackageQuery
 from ..partition.quad import Partitioning, scaled
@@ -18,8 +19,11 @@ from ..solve.problem import SolverLimits
 RESULT = "window_start timestamp, status string, objective double, size long, columns long"
 
 
-def windowed_packages(events: DataFrame, q: PackageQuery, time_col: str, key: str, window: str = "1 day", watermark: str = "1 hour", limits: SolverLimits = SolverLimits(seconds=30)) -> DataFrame:
-    """One package per tumbling window of a batch or stream. On a stream, append mode answers a window once the watermark passes it.
+def windowed_packages(events: DataFrame, q: PackageQuery, time_col: str, key: str, window: str = "1 day", watermark: str = "1 hour", limits: SolverLimits = SolverLimits(seconds=30), slide: str | None = None, gap: str | None = None, by: str | None = None) -> DataFrame:
+    """One package per window of a batch or stream. On a stream, append mode answers a window once the watermark passes it.
+
+    Windows tumble, or start every slide where that is given; with gap, a window is a session that ends when nothing came
+    for so long (window is not used then). by: a column whose values have windows of their own; sessions of a stream need one.
 
     A window's eligible tuples are gathered as coefficients only; a window must fit the memory limit.
     """
@@ -27,8 +31,10 @@ def windowed_packages(events: DataFrame, q: PackageQuery, time_col: str, key: st
     rows = rows.withWatermark(time_col, watermark) if events.isStreaming else rows
     keyed = rows.withColumn("tid", F.col(key).cast("long"))
     t = translate(keyed, q)
-    frame = coefficient_frame(keyed, t, ("tid", time_col))
-    grouped = frame.groupBy(F.window(time_col, window)).agg(F.sort_array(F.collect_list(F.struct("tid", *t.names, "obj", "ub"))).alias("rows"))
+    own = [by] if by else []
+    frame = coefficient_frame(keyed, t, ("tid", time_col, *own))
+    span = F.session_window(time_col, gap) if gap else F.window(time_col, window, slide)
+    grouped = frame.groupBy(span.alias("window"), *own).agg(F.sort_array(F.collect_list(F.struct("tid", *t.names, "obj", "ub"))).alias("rows"))
     shape = (t.names, [list(b) for b in t.branches], [(t.lo(b), t.hi(b)) for b in range(len(t.branches))], q.sense)
 
     def solve(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -42,14 +48,39 @@ def windowed_packages(events: DataFrame, q: PackageQuery, time_col: str, key: st
                 obj = np.array([float(r["obj"]) for r in items])
                 upper = np.array([INF if r["ub"] is None else float(r["ub"]) for r in items])
                 best = None
-                for own, (lo, hi) in zip(branches, bounds, strict=True):
-                    s = BranchAndBound(limits).solve(IlpProblem(C[own], lo, hi, obj, upper, sense, np.arange(len(obj))))
+                for branch, (lo, hi) in zip(branches, bounds, strict=True):
+                    s = BranchAndBound(limits).solve(IlpProblem(C[branch], lo, hi, obj, upper, sense, np.arange(len(obj))))
                     if best is None or (s.found and (not best.found or (s.objective < best.objective) == (sense == "min"))):
                         best = s
                 out.append((start, best.status.value, best.objective, int(best.x.sum()) if best.found else 0, len(obj)))
-            yield pd.DataFrame(out, columns=["window_start", "status", "objective", "size", "columns"])
+            found = pd.DataFrame(out, columns=["window_start", "status", "objective", "size", "columns"])
+            yield found.assign(**{by: pdf[by].to_numpy()}) if by else found
+
+    schema = RESULT + (f", `{by}` {keyed.schema[by].dataType.simpleString()}" if by else "")
+    return grouped.select(F.col("window.start").alias("window_start"), "rows", *own).mapInPandas(solve, schema)
+
+
+class LateRows(StreamingQueryListener):
+    """Counts, per query id, what stateful operators drop as later than the watermark: spark.streams.addListener(LateRows()).
+
+    Rows of one window that a task combines before they reach the operator count once.
+    """
+
+    def __init__(self):
+        self.dropped: dict[str, int] = {}
+
+    def onQueryStarted(self, event) -> None:
+        self.dropped.setdefault(str(event.id), 0)
+
+    def onQueryProgress(self, event) -> None:
+        key = str(event.progress.id)
+        self.dropped[key] = self.dropped.get(key, 0) + sum(s.numRowsDroppedByWatermark for s in event.progress.stateOperators)
+
+    def onQueryIdle(self, event) -> None:
+        pass
 
-    return grouped.select(F.col("window.start").alias("window_start"), "rows").mapInPandas(solve, RESULT)
+    def onQueryTerminated(self, event) -> None:
+        pass
 
 
 def route(rows: DataFrame, part: Partitioning) -> DataFrame:

@@ -567,7 +567,7 @@ def join_modes(spark, sf_dir):
     on = orders.o_custkey == customer.c_custkey
     q = package_of(orders.join(customer, on)).repeat(0).such_that(count_() == 5).maximize(sum_("o_totalprice")).query
     rows = join_tradeoff(orders, customer, on, ["o_orderkey", "c_custkey"], q)
-    return spark.createDataFrame([(m, int(round(v * 100))) for m, _, v in rows], "mode string, cents long")
+    return spark.createDataFrame([(m, int(round(v * 100))) for m, _, _, v in rows], "mode string, cents long")
 
 
 PACKAGE = """WITH p AS (SELECT r, [1, 3, 4][r] AS m, [1, 1, 2][r] AS h FROM (SELECT row_number() OVER (ORDER BY p_partkey) AS r FROM part) WHERE r <= 3)
@@ -597,6 +597,28 @@ def windowed(spark, sf_dir):
     return out.filter("status = 'optimal'").select("window_start", "status", F.round("objective", 6).alias("objective"))
 
 
+@query("windowed_packages_sliding", """SELECT start AS window_start, round(sum(value), 6) AS objective FROM (
+  SELECT start, value, row_number() OVER (PARTITION BY start ORDER BY value DESC) AS r, count(*) OVER (PARTITION BY start) AS n FROM (
+    SELECT time_bucket(INTERVAL '12 hours', ts, TIMESTAMP '1970-01-01') - k * INTERVAL '12 hours' AS start, value FROM events, (VALUES (0), (1)) v(k)))
+  WHERE r <= 3 AND n >= 3 GROUP BY start""")
+def windowed_sliding(spark, sf_dir):
+    df = table(spark, sf_dir, "events")
+    q = package_of(df).repeat(0).such_that(count_() == 3).maximize(sum_("value")).query
+    out = windowed_packages(df, q, "ts", "event_id", slide="12 hours")
+    return out.filter("status = 'optimal'").select("window_start", F.round("objective", 6).alias("objective"))
+
+
+@query("windowed_packages_sessions", """WITH e AS (SELECT *, lag(ts) OVER w AS before FROM events WINDOW w AS (PARTITION BY event_type ORDER BY ts, event_id)),
+  s AS (SELECT *, sum(CASE WHEN before IS NULL OR ts > before + INTERVAL '1 hour' THEN 1 ELSE 0 END) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS k FROM e),
+  r AS (SELECT event_type, k, value, min(ts) OVER (PARTITION BY event_type, k) AS start, row_number() OVER (PARTITION BY event_type, k ORDER BY value DESC) AS r, count(*) OVER (PARTITION BY event_type, k) AS n FROM s)
+SELECT event_type, start AS window_start, round(sum(value), 6) AS objective FROM r WHERE r <= 2 AND n >= 2 GROUP BY event_type, k, start""")
+def windowed_sessions(spark, sf_dir):
+    df = table(spark, sf_dir, "events")
+    q = package_of(df).repeat(0).such_that(count_() == 2).maximize(sum_("value")).query
+    out = windowed_packages(df, q, "ts", "event_id", gap="1 hour", by="event_type")
+    return out.filter("status = 'optimal'").select("event_type", "window_start", F.round("objective", 6).alias("objective"))
+
+
 @query("as_of_events", """SELECT e.event_id, e.user_id, max_by(p.event_id, (p.ts, p.event_id)) AS r_event_id FROM (SELECT * FROM events WHERE event_type = 'purchase') e
 LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'click' GROUP BY ALL) p ON p.user_id = e.user_id AND p.ts <= e.ts GROUP BY ALL""")
 def as_of_events(spark, sf_dir):

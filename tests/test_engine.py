@@ -274,6 +274,10 @@ def test_projection_and_relaxation(numbers):
     assert measures.check_projection_bounds(p, whole.package, 0.3).filter("not holds").count() == 0
     assert measures.project_package(whole.package, p).agg(F.sum("multiplicity")).first()[0] == 8
     assert measures.is_relaxation(whole.package, translate(numbers, q), 0.1, 1)
+    groups = measures.project_package(whole.package, p)
+    drawn = measures.draw_package(groups, p)
+    assert drawn.agg(F.sum("multiplicity")).first()[0] == 8
+    assert sorted(measures.project_package(drawn, p).collect()) == sorted(groups.collect())
 
 
 def test_statements_on_views(spark, sf):

@@ -37,6 +37,7 @@ def test_qualifiers_only_outside_text():
 
 @pytest.mark.parametrize("text", [
     "SELECT PACKAGE(r) AS p FROM t r REPEAT -1",
+    "SELECT PACKAGE(r, s) AS p FROM t r REPEAT 0, u s REPEAT 2",
     "SELECT PACKAGE(r) AS p FROM t r SUCH THAT SUM(p.a) * SUM(p.b) <= 1",
     "SELECT PACKAGE(r) AS p FROM t r SUCH THAT SUM(p.a)",
     "SELECT PACKAGE(x) AS p FROM t r",

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 import pytest
 from conftest import agrees
 from pyspark.sql import functions as F
@@ -9,8 +11,8 @@ from pyspark.sql import functions as F
 from satchel.functions.build import count_, package_of, sum_
 from satchel.partition.quad import quad_partition
 from satchel.plans.coefficients import with_tid
-from satchel.sources.joins import table
-from satchel.streaming.windows import maintained_statistics, overfull, windowed_packages
+from satchel.sources.joins import join_tradeoff, table
+from satchel.streaming.windows import LateRows, maintained_statistics, overfull, windowed_packages
 from satchel.workloads import registry
 
 
@@ -42,6 +44,36 @@ def test_stream_is_batch(spark, sf, tmp_path):
     assert len(got) >= len([k for k in batch if k < last]) - 3
 
 
+def test_late_rows_are_counted(spark, tmp_path):
+    path = tmp_path / "late"
+    rows = lambda *hours: spark.createDataFrame([(i, h, 1.0) for i, h in enumerate(hours)], "event_id long, h int, value double").selectExpr("event_id", "timestamp'2024-01-01 00:00:00' + make_interval(0, 0, 0, 0, h) AS ts", "value").coalesce(1)
+    rows(1, 2, 200).write.parquet(str(path))
+    stream = spark.readStream.schema("event_id long, ts timestamp, value double").parquet(str(path))
+    out = windowed_packages(stream, package_of(stream).repeat(0).such_that(count_() == 1).maximize(sum_("value")).query, "ts", "event_id")
+    listener = LateRows()
+    spark.streams.addListener(listener)
+    try:
+        for more in (None, (3, 201), (4, 30, 202)):
+            if more:
+                rows(*more).write.mode("append").parquet(str(path))
+            job = out.writeStream.format("noop").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+            job.awaitTermination()
+        end = time.monotonic() + 30
+        while listener.dropped.get(str(job.id), 0) < 3 and time.monotonic() < end:
+            time.sleep(0.2)
+        assert listener.dropped[str(job.id)] == 3
+    finally:
+        spark.streams.removeListener(listener)
+
+
+def test_join_modes_report_bytes(spark, sf):
+    orders, customer = table(spark, sf, "orders"), table(spark, sf, "customer")
+    on = orders.o_custkey == customer.c_custkey
+    q = package_of(orders.join(customer, on)).repeat(0).such_that(count_() == 5).maximize(sum_("o_totalprice")).query
+    size = {mode: n for mode, _, n, _ in join_tradeoff(orders, customer, on, ["o_orderkey", "c_custkey"], q)}
+    assert size["materialized"] > size["ids"] > size["pipelined"] == 0
+
+
 def test_maintained_groups(spark, sf):
     events = with_tid(table(spark, sf, "events").select("event_id", "user_id", "value"), ["event_id"])
     p = quad_partition(events, ["value"], 300)
