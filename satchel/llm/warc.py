@@ -137,56 +137,67 @@ class _Source:
             yield from self._streamed(head[:2] == b"\x1f\x8b")
 
     def _indexed(self):
+        """Members with a length field; from the first one without on, the file is streamed."""
         at = 0
         while at < self.size:
             self.file.seek(at)
             head = self.file.read(4096)
             n = _member_length(head)
-            if n > len(head):
-                head += self.file.read(n - len(head))
+            if n is not None:
+                if n > len(head):
+                    head += self.file.read(n - len(head))
+                self.file.seek(at + n)
+                size = _member_length(self.file.read(24))
+            if n is None or size is None:
+                yield from self._streamed(head[:2] == b"\x1f\x8b", at)
+                return
             headers = parse_headers(zlib.decompress(head[24:n], -15))
-            at += n
-            self.file.seek(at)
-            n = _member_length(self.file.read(24))
-            yield headers, lambda at=at, n=n: self._content(at, n)
-            at += n
+            yield headers, lambda at=at + n, n=size: self._content(at, n)
+            at += n + size
 
     def _content(self, at: int, n: int) -> bytes:
         self.file.seek(at)
         raw = self.file.read(n)
         return zlib.decompress(raw, 31)[:-4]
 
-    def _streamed(self, packed: bool):
-        self.file.seek(0)
-        buffer, inflate, ended = b"", zlib.decompressobj(31) if packed else None, False
+    def _streamed(self, packed: bool, begin: int = 0):
+        self.file.seek(begin)
+        buffer, at, inflate = bytearray(), 0, zlib.decompressobj(31) if packed else None
 
         def more() -> bool:
-            nonlocal buffer, inflate, ended
+            nonlocal at, inflate
             chunk = self.file.read(1 << 20)
             if not chunk:
-                ended = True
                 return False
+            del buffer[:at]
+            at = 0
             while chunk:
                 if inflate is None:
-                    buffer, chunk = buffer + chunk, b""
-                else:
-                    buffer += inflate.decompress(chunk)
-                    chunk = inflate.unused_data
-                    if inflate.eof:
-                        inflate = zlib.decompressobj(31)
+                    buffer.extend(chunk)
+                    return True
+                buffer.extend(inflate.decompress(chunk))
+                chunk = inflate.unused_data
+                if inflate.eof:
+                    inflate = zlib.decompressobj(31)
             return True
 
         while True:
-            while b"\r\n\r\n" not in buffer and more():
+            while (end := buffer.find(b"\r\n\r\n", at)) < 0 and more():
                 pass
-            if not buffer.strip():
-                return
-            raw, _, buffer = buffer.partition(b"\r\n\r\n")
-            headers = parse_headers(raw.lstrip())
+            if end < 0:
+                end = len(buffer)
+            if not buffer[at:end].strip():
+                if end == len(buffer):
+                    return
+                at = end + 4
+                continue
+            headers = parse_headers(bytes(buffer[at:end]).lstrip())
+            at = end + 4
             n = int(headers.get("content-length", 0))
-            while len(buffer) < n + 4 and more():
+            while len(buffer) - at < n + 4 and more():
                 pass
-            content, buffer = buffer[:n], buffer[n + 4 :]
+            content = bytes(buffer[at : at + n])
+            at = min(at + n + 4, len(buffer))
             yield headers, lambda content=content: content
 
 
