@@ -118,33 +118,21 @@ def certified_ratio(objective: float, bound: float, sense: str) -> float | None:
 
 
 def pruned_whole_solve(part, q, limits=None):
-    """The exact optimum of a large relation: coarse-fine gives a package, column generation a bound, and only tuples that
+    """The exact optimum of a large relation: coarse-fine gives a package, the relaxation a bound, and only tuples that
     the two don't rule out are collected and solved. Needs REPEAT and one alternative; part is a Partitioning."""
     from ..package.result import PackageResult
-    from ..plans.coefficients import branch_problem, coefficient_frame, collect_columns, limits_columns, translate
+    from ..plans.coefficients import coefficient_frame, limits_columns, translate
     from ..scratch import stored
-    from ..solve.branch import BranchAndBound
-    from ..solve.problem import SolverLimits, SolveStatus
-    from .coarse_fine import coarse_fine, coarse_frame, load_coarse
+    from ..solve.problem import SolverLimits
+    from .coarse_fine import coarse_fine
+    from .reduced import reduced_solve
 
     limits = limits or SolverLimits()
     t = translate(part.df, q)
     if q.repeat is None or len(t.branches) != 1:
         raise ValueError("needs a REPEAT bound and a condition without alternatives")
     known = coarse_fine(part, q)
-    if not known.found:
-        return known
     frame = stored(coefficient_frame(part.df, t), "coefficients")
-    centres = load_coarse(coarse_frame(part, t), t, 1 << 20)
-    dual = column_generation(frame, t, multipliers_of(centres.problem(t, 0)))
-    left = prune_columns(frame, t, dual, known.objective)
-    data = collect_columns(left, t, limits_columns(limits, t))
-    s = BranchAndBound(limits).solve(branch_problem(t, 0, *data))
-    out = PackageResult(q, part.df.drop("gid"), s.status, bound=s.bound, counters={"columns": len(data[0]), "nodes": s.nodes})
-    if not s.found:  # nothing better than what is known
-        return known
-    out.objective = s.objective
-    out.chosen = {int(i): int(round(k)) for i, k in zip(data[0], s.x, strict=True) if k > 0.5}
-    if (known.objective < s.objective) == (q.sense == "min") and known.objective != s.objective:
-        out.chosen, out.objective, out.status = known.chosen, known.objective, SolveStatus.FEASIBLE
-    return out
+    r = reduced_solve(frame, t, 0, limits, limits_columns(limits, t), (known.objective, known.chosen) if known.found else None)
+    s = r.solution
+    return PackageResult(q, part.df.drop("gid"), s.status, r.chosen, s.objective, s.bound, counters={"columns": r.kept, "nodes": s.nodes})
