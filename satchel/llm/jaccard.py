@@ -10,7 +10,7 @@ ones are there for the pigeonhole to hold, so popular segments serve only sets t
 run out of segments meet in a list of their own.
 
 Steps: (1) sets get a 128-bit fingerprint; equal sets are one from here on. (2) Signatures go, packed, to
-hash buckets; sets that share one form a list. (3) In every list sizes and parity sketches rule out what can't be
+hash buckets; sets that share one form a list, and equal lists of all buckets come to one place. (3) In every list sizes and parity sketches rule out what can't be
 similar; the rest is held against the smallest set (by fingerprint), or else against the nearest few, exactly,
 over whole texts. (4) Then every pair of a list that isn't ruled out and doesn't hang together through links
 found so far is compared, so a pair is skipped only where it can't change a component. (5) Links give components.
@@ -45,6 +45,8 @@ FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS, FOREST_EDGES, TRIES = 750_000, 1_500_000
 #: Of a block of sets that are compared with each other; a pair of blocks is one task's work at a time.
 BLOCK_TOKENS, BLOCK_SETS = 65_536, 256
 MEMO_ENTRIES = 200_000
+#: Places where lists are looked at (the same number up to 2,000 buckets), and how many of them lists with the same smallest set are dealt to.
+HOMES, SPREAD = 256, 8
 #: A shingle is popular if a block of about BLOCK_HASHES holds it in OFTEN sets; the POPULAR most frequent ones count.
 #: This allocates segments and changes cost only.
 BLOCK_HASHES, OFTEN, POPULAR = 2_000_000, 5, 100_000
@@ -311,42 +313,90 @@ def lists_of(sig: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         return lengths, lo[:0]
     keep = np.repeat(starts - np.concatenate(([0], np.cumsum(lengths)[:-1])), lengths) + np.arange(lengths.sum())
     lo = lo[keep]
-    offsets = np.concatenate(([0], np.cumsum(lengths)[:-1]))
-    content = np.add.reduceat(mix(lo.astype(U)), offsets) * C1 + lengths.astype(U)
-    _, first = np.unique(content, return_index=True)  # many segments give the same list
-    chosen = np.zeros(len(lengths), bool)
-    chosen[first] = True
-    return lengths[chosen], lo[np.repeat(chosen, lengths)]
+    return distinct_lists(lengths, lo)
 
 
-def shared_lists(packed: DataFrame, partitions: int) -> DataFrame:
-    """part, lens, sets: the lists of each bucket, packed. A task works through its buckets one by one."""
+def contents(lengths: np.ndarray, lo: np.ndarray) -> np.ndarray:
+    """A hash of each list's sets."""
+    return np.add.reduceat(mix(lo.astype(U)), np.cumsum(lengths) - lengths) * C1 + lengths.astype(U)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, sigs, sets = None, [], []
+
+def gathered(lengths: np.ndarray, lo: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Some of the lists, in the order asked for."""
+    starts, some = (np.cumsum(lengths) - lengths)[which], lengths[which]
+    return some, lo[np.repeat(starts - (np.cumsum(some) - some), some) + np.arange(some.sum())]
+
+
+def distinct_lists(lengths: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each list once: many segments give the same."""
+    return gathered(lengths, lo, np.sort(np.unique(contents(lengths, lo), return_index=True)[1]))
+
+
+def home_of(lengths: np.ndarray, lo: np.ndarray, homes: int) -> np.ndarray:
+    """Where a list is looked at: equal lists at one place, those with the same smallest set at SPREAD places."""
+    head = mix(lo[np.cumsum(lengths) - lengths].astype(U) + C2)
+    return ((head >> U(32)) + (mix(contents(lengths, lo)) >> U(32)) % U(SPREAD)) % U(homes)
+
+
+def shared_lists(packed: DataFrame, partitions: int, homes: int) -> DataFrame:
+    """part, lens, sets: the distinct lists of all buckets, packed by their home. A task works through its buckets, and then its homes, one by one.
+
+    Sets that are alike share most of their segments, so each bucket has their list. It is kept once, so how many places a set
+    comes to depends on what it is like, not on the number of buckets.
+    """
+
+    def bucketed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, sigs, sets = None, [], []
 
         def lists() -> Iterator[pa.RecordBatch]:
-            if sigs:
-                sig, own = np.concatenate(sigs), np.concatenate(sets)
-                sigs.clear()
-                sets.clear()
-                yield from packed_lists(part, *lists_of(sig, own))
+            if not sigs:
+                return
+            lengths, lo = lists_of(np.concatenate(sigs), np.concatenate(sets))
+            sigs.clear()
+            sets.clear()
+            if len(lengths):
+                home = home_of(lengths, lo, homes)
+                order = np.argsort(home, kind="stable")
+                home, (lengths, lo) = home[order], gathered(lengths, lo, order)
+                cuts = np.flatnonzero(np.concatenate(([True], home[1:] != home[:-1])))
+                ends, upto = np.append(cuts[1:], len(home)), np.concatenate(([0], np.cumsum(lengths)))
+                yield packed_lists([(int(home[a]), lengths[a:b], lo[upto[a] : upto[b]]) for a, b in zip(cuts, ends, strict=True)])
 
         for batch in batches:
             for bucket, s, o in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
-                if bucket != part:
+                if bucket != now:
                     yield from lists()
-                    part = bucket
+                    now = bucket
                 sigs.append(np.frombuffer(s.as_buffer(), U))
                 sets.append(np.frombuffer(o.as_buffer(), np.int64))
         yield from lists()
 
-    return packed.repartition(partitions, "bucket").sortWithinPartitions("bucket").mapInArrow(lean(run), "part long, lens binary, sets binary")
+    def merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part, lens, sets = None, [], []
+
+        def lists() -> Iterator[pa.RecordBatch]:
+            if lens:
+                out = distinct_lists(np.concatenate(lens), np.concatenate(sets))
+                lens.clear()
+                sets.clear()
+                yield packed_lists([(part, *out)])
+
+        for batch in batches:
+            for home, n, o in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
+                if home != part:
+                    yield from lists()
+                    part = home
+                lens.append(np.frombuffer(n.as_buffer(), np.int64))
+                sets.append(np.frombuffer(o.as_buffer(), np.int64))
+        yield from lists()
+
+    found = packed.repartition(partitions, "bucket").sortWithinPartitions("bucket").mapInArrow(lean(bucketed), "part long, lens binary, sets binary")
+    return found.repartition(partitions, "part").sortWithinPartitions("part").mapInArrow(lean(merged), "part long, lens binary, sets binary")
 
 
-def packed_lists(part: int, lengths: np.ndarray, lo: np.ndarray) -> Iterator[pa.RecordBatch]:
-    if len(lengths):
-        yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([lengths.astype(np.int64).tobytes()], pa.binary()), pa.array([lo.astype(np.int64).tobytes()], pa.binary())], ["part", "lens", "sets"])
+def packed_lists(rows: list[tuple[int, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+    columns = list(zip(*((part, lengths.astype(np.int64).tobytes(), lo.astype(np.int64).tobytes()) for part, lengths, lo in rows), strict=True))
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.binary(), pa.binary()), strict=True)], ["part", "lens", "sets"])
 
 
 def parity_sketch(h: np.ndarray) -> np.ndarray:
@@ -677,7 +727,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     firsts = materialize(usable.groupBy("hi", "lo").agg(F.min("key").alias("first"), F.max("n_shingles").alias("n"), F.count(F.lit(1)).alias("copies")), "shingle-firsts")
     total = firsts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     partitions = max(spark.sparkContext.defaultParallelism, -(-int(total * 0.55) // BUCKET_ENTRIES))
-    lists = materialize(shared_lists(signature_buckets(docs, partitions, popular, id_col, text_col), partitions), "shingle-lists")
+    homes = max(HOMES, partitions // 8)
+    lists = materialize(shared_lists(signature_buckets(docs, partitions, popular, id_col, text_col), partitions, homes), "shingle-lists")
     sketches = sets.join(firsts.select(F.col("first").alias("key"), "hi", "lo"), ["key", "hi", "lo"]).select("lo", F.col("n_shingles").alias("n"), "sketch").dropDuplicates(["lo"])
     members = materialize(list_members(lists).join(sketches, "lo"), "shingle-members")
     first = materialize(candidates(lists, members, partitions), "shingle-pairs")
