@@ -46,7 +46,7 @@ FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS, FOREST_EDGES, TRIES = 750_000, 1_500_000
 BLOCK_TOKENS, BLOCK_SETS = 65_536, 256
 MEMO_ENTRIES = 200_000
 #: Places where lists are looked at (the same number up to 2,000 buckets), and how many of them lists with the same smallest set are dealt to.
-HOMES, SPREAD = 256, 8
+HOMES, SPREAD = 256, 2
 #: A shingle is popular if a block of about BLOCK_HASHES holds it in OFTEN sets; the POPULAR most frequent ones count.
 #: This allocates segments and changes cost only.
 BLOCK_HASHES, OFTEN, POPULAR = 2_000_000, 5, 100_000
