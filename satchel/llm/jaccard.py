@@ -17,7 +17,7 @@ found so far is compared, so a pair is skipped only where it can't change a comp
 (6) Links exist only inside a component, so there every pair of neighbouring size is compared, block by block inside
 tasks, and each document's links are counted, equal texts through the size of their class. Pairs are never sent.
 
-Words are runs between blanks, A-Z lower-cased; texts shorter than a shingle are one shingle. Fingerprints
+Words are runs between blanks, A-Z lower-cased, and hashed eight bytes at a time, all words of a text at once; texts shorter than a shingle are one shingle. Fingerprints
 of shingles have 64 bits when sets are counted and indexed; pairs are verified on the words themselves.
 
 Defined results: null texts and texts without words have 0 shingles and links and are their own component; rows with a
@@ -44,7 +44,10 @@ WORDS, T_NUM, T_DEN = 5, 4, 5
 FLUSH_ENTRIES, BUCKET_ENTRIES, FEW_IDS, FOREST_EDGES, TRIES = 750_000, 1_500_000, 500_000, 500_000, 2
 #: Of a block of sets that are compared with each other; a pair of blocks is one task's work at a time.
 BLOCK_TOKENS, BLOCK_SETS = 65_536, 256
-MEMO_ENTRIES = 200_000
+#: Bytes of a word that are hashed 8 at a time; blanks and lower case for that, and masks of the first 0 to 8 bytes.
+LONG_WORD = 64
+FOLD = bytes(32 if b == 32 or 9 <= b <= 13 else b + 32 if 65 <= b <= 90 else b for b in range(256))
+HEADS = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
 #: Places where lists are looked at (the same number up to 2,000 buckets), and how many of them lists with the same smallest set are dealt to.
 HOMES, SPREAD = 256, 2
 #: A shingle is popular if a block of about BLOCK_HASHES holds it in OFTEN sets; the POPULAR most frequent ones count.
@@ -56,35 +59,50 @@ C1, C2, C3 = U(0x9E3779B97F4A7C15), U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB)
 
 def mix(x: np.ndarray) -> np.ndarray:
     """A 64-bit finaliser (splitmix)."""
-    x = (x ^ (x >> U(30))) * C2
-    x = (x ^ (x >> U(27))) * C3
-    return x ^ (x >> U(31))
+    y = x >> U(30)
+    y ^= x
+    y *= C2
+    y ^= y >> U(27)
+    y *= C3
+    y ^= y >> U(31)
+    return y
 
 
-class WordHashes(dict):
-    def __missing__(self, word: bytes) -> int:
-        value = int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little")
-        if len(self) < MEMO_ENTRIES:
-            self[word] = value
-        return value
-
-
-_hashes = WordHashes()
+def distinct(x: np.ndarray) -> np.ndarray:
+    """Sorted distinct values."""
+    x = np.sort(x)
+    return x[np.concatenate(([True], x[1:] != x[:-1]))] if len(x) else x
 
 
 def words_of(raw: bytes) -> list[bytes]:
     return raw.lower().split()
 
 
+def word_hashes(raw: bytes) -> np.ndarray:
+    """A 64-bit hash of each word, for all words at once: 8 bytes by 8 bytes, words of more than LONG_WORD by blake2b."""
+    text = np.frombuffer(b" " + raw.translate(FOLD) + b" " * 8, np.uint8)
+    filled = text != 32
+    edges = np.flatnonzero(filled[1:] != filled[:-1]) + 1
+    starts, ends = edges[::2], edges[1::2]
+    lengths = ends - starts
+    eights = np.ndarray((len(text) - 7,), "<u8", text, strides=(1,))  # the 8 bytes from each place
+    out = mix((eights[starts] & HEADS[np.minimum(lengths, 8)]) + lengths.astype(U) * C1)
+    which, at = np.flatnonzero(lengths > 8), 8
+    while len(which) and at < LONG_WORD:
+        out[which] = mix(out[which] * C1 + (eights[starts[which] + at] & HEADS[np.minimum(lengths[which] - at, 8)]))
+        at += 8
+        which = which[lengths[which] > at]
+    for i in which:
+        out[i] = int.from_bytes(hashlib.blake2b(text[starts[i] : ends[i]], digest_size=8).digest(), "little")
+    return out
+
+
 def shingle_hashes(raw: bytes) -> np.ndarray:
     """Sorted distinct 64-bit hashes of a text's shingles."""
-    words = words_of(raw)
-    n = len(words)
+    h = word_hashes(raw)
+    n = len(h)
     if not n:
-        return np.zeros(0, U)
-    if len(_hashes) >= MEMO_ENTRIES:
-        _hashes.clear()
-    h = np.fromiter(map(_hashes.__getitem__, words), U, n)
+        return h
     if n < WORDS:
         out = np.array([n], U)
         for i in range(n):
@@ -93,7 +111,7 @@ def shingle_hashes(raw: bytes) -> np.ndarray:
     out = h[: n - WORDS + 1].copy()
     for i in range(1, WORDS):
         out = mix(out * C1 + h[i : n - WORDS + 1 + i])
-    return np.unique(out)
+    return distinct(out)
 
 
 def shingle_set(raw: bytes) -> set:
@@ -171,7 +189,7 @@ def signatures(h: np.ndarray, popular: np.ndarray | None = None) -> np.ndarray:
         segment = ((token >> U(32)) * U(m)) >> U(32)
         if late is not None:
             segment = segment + late.astype(U) * U(m)
-        order = np.argsort(segment, kind="stable")
+        order = np.argsort(segment.astype(np.uint16) if 2 * m < 1 << 16 else segment, kind="stable")  # 16 bits are sorted by digits
         segment, token = segment[order], mix(token[order] + C3)
         starts = np.flatnonzero(np.concatenate(([True], segment[1:] != segment[:-1])))
         sums, names = np.add.reduceat(token, starts), segment[starts]
@@ -193,7 +211,7 @@ def signatures(h: np.ndarray, popular: np.ndarray | None = None) -> np.ndarray:
         out.append(found)
         if not enough:
             out.append(mix(np.array([salt ^ C3], U)))
-    return np.unique(np.concatenate(out)) if out else np.zeros(0, U)
+    return distinct(np.concatenate(out)) if out else np.zeros(0, U)
 
 
 def fingerprint(h: np.ndarray) -> tuple[int, int]:
