@@ -9,11 +9,13 @@ import os
 import re
 import sys
 import tempfile
+import time
 import uuid
 from collections.abc import Callable, Iterator
 from pathlib import Path
 
 import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import DataFrame, SparkSession
 
 ROOT = Path(__file__).resolve().parents[2]
@@ -56,6 +58,7 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch_dir(spark, name)
     df.write.parquet(path)
+    relieve_driver(spark, RELIEF_SECONDS)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -96,12 +99,48 @@ def give_back() -> None:
     """Free memory goes from this process to the system."""
     gc.collect()
     pa.default_memory_pool().release_unused()
+    _trim()
+
+
+def _trim() -> None:
     try:
         ctypes.CDLL(None).malloc_trim(0)
     except (AttributeError, OSError):  # another C library
         return
 
 
+#: Between two reliefs of the driver while tables are written one after the other.
+RELIEF_SECONDS = 2.0
+_relieved = float("-inf")
+
+
+def relieve_driver(spark: SparkSession, at_least: float = 0.0) -> str:
+    """Free memory of the driver goes to the system, unless that was done within at_least seconds. Returns what the JVM says.
+
+    The JVM has hundreds of threads after a few dozen joins, broadcasts and shuffles. Each allocates natively from an arena
+    that keeps what is freed, and a full heap isn't shrunk before a collection; both add up over a session of many jobs.
+    """
+    global _relieved
+    if time.monotonic() - _relieved < at_least:
+        return ""
+    pa.default_memory_pool().release_unused()
+    _trim()
+    jvm, new = spark.sparkContext._jvm, spark.sparkContext._gateway.new_array
+    jvm.System.gc()
+    try:
+        # The server's class is not public, so its method is found by the interface.
+        lang, kinds, args = jvm.java.lang, new(jvm.java.lang.Class, 4), new(jvm.java.lang.Object, 4)
+        for i, name in enumerate(("javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")):
+            kinds[i] = lang.Class.forName(name)
+        args[0], args[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+        invoke = lang.Class.forName("javax.management.MBeanServer").getMethod("invoke", kinds)
+        said = str(invoke.invoke(lang.management.ManagementFactory.getPlatformMBeanServer(), args)).strip()
+    except Py4JError:  # a JVM without this command
+        said = ""
+    _relieved = time.monotonic()
+    return said
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
