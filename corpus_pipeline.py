@@ -13,19 +13,20 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from satchel.llm import bpe_codec, jaccard, mixing, pii, toxicity
-from satchel.llm.common import materialize, relieve_driver, table
+from satchel.llm.common import materialize, relieve_driver, relieving_executors, table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
 
 def relieved(stage: Stage) -> Stage:
-    """The driver gives back what the stages before left free, and then what planning and fitting this one did."""
+    """Executors and the driver give back what the stages before left free, and then what planning and fitting this one did."""
 
     @wraps(stage)
     def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
         relieve_driver(spark)
-        out = stage(spark, docs, sf_dir)
+        with relieving_executors(spark):
+            out = stage(spark, docs, sf_dir)
         relieve_driver(spark)
         return out
 

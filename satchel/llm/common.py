@@ -12,11 +12,13 @@ import tempfile
 import time
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 import pyarrow as pa
 from py4j.protocol import Py4JError
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 ROOT = Path(__file__).resolve().parents[2]
 #: White space that separates words, as a Java and Python character class body.
@@ -59,6 +61,8 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     path = scratch_dir(spark, name)
     df.write.parquet(path)
     relieve_driver(spark, RELIEF_SECONDS)
+    if _relieving:
+        relieve_executors(spark, EXECUTOR_RELIEF_SECONDS)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -141,6 +145,41 @@ def relieve_driver(spark: SparkSession, at_least: float = 0.0) -> str:
     return said
 
 
+#: The same for executors, while a pipeline relieves them.
+EXECUTOR_RELIEF_SECONDS = 10.0
+_executors_relieved = float("-inf")
+_relieving = 0
+
+
+def relieve_executors(spark: SparkSession, at_least: float = 0.0) -> int:
+    """Each executor's JVM collects its heap and gives what is free to the system, unless that was done within at_least seconds. Returns in how many tasks.
+
+    A heap stays as large as the widest job of the session made it, while workers beside it keep their vocabularies and
+    memos; only a full collection shrinks it. A task for each core reaches every executor that is idle. With a local
+    master there is only the driver's JVM.
+    """
+    global _executors_relieved
+    if time.monotonic() - _executors_relieved < at_least or re.match(r"local(\[|$)", spark.sparkContext.master):
+        return 0
+    n = spark.sparkContext.defaultParallelism
+    done = len(spark.range(0, n, 1, n).select(F.expr("reflect('java.lang.System', 'gc')")).collect())
+    _executors_relieved = time.monotonic()
+    return done
+
+
+@contextmanager
+def relieving_executors(spark: SparkSession) -> Iterator[None]:
+    """Executors give free memory back at the beginning, after tables that are written inside, and at the end."""
+    global _relieving
+    relieve_executors(spark)
+    _relieving += 1
+    try:
+        yield
+    finally:
+        _relieving -= 1
+    relieve_executors(spark)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
