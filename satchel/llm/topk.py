@@ -3,7 +3,8 @@
 Components become integers floor(256 x). Candidates are ranged by length into bands and packed into blocks of
 BLOCK_ROWS; no block is larger, whatever many vectors are equal. The block of the longest vectors is scored
 with all queries first and gives each a score that its answers reach. A query then needs only bands whose
-longest vector could still reach that score; query blocks are sent to those bands alone. In a block, sums
+longest vector could still reach that score; query blocks are sent to those bands alone, by a shuffle that
+neither side crosses the driver in: there are no more bands than keep what is sent near the size of the vectors. In a block, sums
 over the first HEAD_DIMS rotated components plus the product of the residual lengths bound each score;
 candidates that no query of the block can use are left out, the others are scored exactly. Rotation is by the right singular
 vectors of at most SAMPLE_ROWS vectors; it changes speed only, never results.
@@ -26,6 +27,8 @@ from pyspark.sql import functions as F
 from .common import materialize, ship, table
 
 BLOCK_ROWS, QUERY_ROWS, BAND_ROWS, SAMPLE_ROWS, HEAD_DIMS = 4096, 512, 16_384, 20_000, 16
+#: Bands that there may always be; more only while queries sent to all of them are at most twice the vectors.
+BANDS = 64
 LEAST = -(1 << 63)
 BLOCK = "band int, longest double, dims int, ids binary, ints binary"
 QUERIES = "block long, ratio double, dims int, ids binary, ints binary, reach binary"
@@ -68,12 +71,23 @@ def _padded(rows: np.ndarray, dims: int) -> np.ndarray:
     return rows if rows.shape[1] == dims else np.pad(rows, ((0, 0), (0, dims - rows.shape[1])))
 
 
-def _matrix(raw: bytes, dims: int) -> np.ndarray:
-    return np.frombuffer(raw, "<i8").reshape(-1, dims) if dims else np.zeros((0, 0), np.int64)
+def _packed(rows: np.ndarray) -> bytes:
+    """The rows in the fewest bytes a component that hold them all."""
+    low, high = int(rows.min(initial=0)), int(rows.max(initial=0))
+    width = next(w for w in (1, 2, 4, 8) if -(1 << 8 * w - 1) <= low and high < 1 << 8 * w - 1)
+    return rows.astype(f"<i{width}").tobytes()
+
+
+def _matrix(raw: bytes, ids: bytes, dims: int) -> np.ndarray:
+    n = len(ids) // 8
+    return np.frombuffer(raw, f"<i{len(raw) // (n * dims)}").reshape(n, dims).astype(np.int64)
 
 
 def _rows(lists: pa.Array, dims: int) -> np.ndarray:
-    return np.array([x + [0] * (dims - len(x)) for x in lists.to_pylist()], np.int64).reshape(-1, dims)
+    sizes = lists.value_lengths().to_numpy()
+    out = np.zeros((len(lists), dims), np.int64)
+    out[np.arange(dims)[None, :] < sizes[:, None]] = lists.flatten().to_numpy()
+    return out
 
 
 def rotation(sample: np.ndarray) -> np.ndarray:
@@ -91,7 +105,7 @@ def pack(vectors: DataFrame, dims: int, bands: int) -> DataFrame:
         for batch in batches:
             for at in range(0, batch.num_rows, BLOCK_ROWS):
                 some = batch.slice(at, BLOCK_ROWS)
-                yield pa.RecordBatch.from_pydict({"band": pa.array([some.column(3)[0].as_py()], pa.int32()), "longest": [some.column(2)[0].as_py()], "dims": pa.array([dims], pa.int32()), "ids": [some.column(0).to_numpy().astype("<i8").tobytes()], "ints": [_rows(some.column(1), dims).tobytes()]})
+                yield pa.RecordBatch.from_pydict({"band": pa.array([some.column(3)[0].as_py()], pa.int32()), "longest": [some.column(2)[0].as_py()], "dims": pa.array([dims], pa.int32()), "ids": [some.column(0).to_numpy().astype("<i8").tobytes()], "ints": [_packed(_rows(some.column(1), dims))]})
 
     return ranged.select("vec_id", "v", "norm", "band").mapInArrow(run, BLOCK)
 
@@ -103,7 +117,7 @@ def top_inner_products(vectors: DataFrame, is_query: Column, k: int = 5, id_col:
     clean = vectors.filter(F.col(id_col).isNotNull() & usable(F.col(vector_col)))
     length = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x))
     clean = clean.select(F.col(id_col).cast("long").alias("vec_id"), integers(F.col(vector_col)).alias("v"), is_query.alias("asked")).withColumn("norm", length)
-    n, dims = clean.agg(F.count(F.lit(1)), F.coalesce(F.max(F.size("v")), F.lit(0))).first()
+    n, dims, askers = clean.agg(F.count(F.lit(1)), F.coalesce(F.max(F.size("v")), F.lit(0)), F.count_if("asked")).first()
     schema = "query_id long, rank int, vec_id long, score long"
     if not n:
         return spark.createDataFrame([], schema)
@@ -112,10 +126,12 @@ def top_inner_products(vectors: DataFrame, is_query: Column, k: int = 5, id_col:
     sampled = clean.filter(F.pmod(F.xxhash64("vec_id"), F.lit(slots)) < max(1, int(slots * min(1.0, SAMPLE_ROWS / n)))).select("v").limit(SAMPLE_ROWS).toArrow()
     turn = rotation(_rows(sampled["v"].combine_chunks(), dims)) if len(sampled) else np.eye(dims)
 
-    blocks = materialize(pack(clean.select("vec_id", "v", "norm"), dims, -(-n // BAND_ROWS)), "topk-blocks")
-    reach_of = {r.band: r.longest for r in blocks.groupBy("band").agg(F.max("longest").alias("longest")).collect()}  # one row per BAND_ROWS vectors
-    head = blocks.orderBy(F.col("longest").desc(), "band").limit(1).first()
-    head_ids, head_rows = np.frombuffer(head.ids, "<i8"), _matrix(head.ints, head.dims)
+    bands = min(-(-n // BAND_ROWS), max(BANDS, 2 * n // max(1, askers)))
+    blocks = materialize(pack(clean.select("vec_id", "v", "norm"), dims, bands), "topk-blocks")
+    reach_of = {r.band: r.longest for r in blocks.groupBy("band").agg(F.max("longest").alias("longest")).collect()}
+    first = min(reach_of, key=lambda b: (-reach_of[b], b))
+    head = blocks.filter((F.col("band") == first) & (F.col("longest") == reach_of[first])).first()  # sorting whole blocks would send one of each task
+    head_ids, head_rows = np.frombuffer(head.ids, "<i8"), _matrix(head.ints, head.ids, head.dims)
 
     def first_scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -138,22 +154,22 @@ def top_inner_products(vectors: DataFrame, is_query: Column, k: int = 5, id_col:
             for at in range(0, batch.num_rows, QUERY_ROWS):
                 some = batch.slice(at, QUERY_ROWS)
                 ids = some.column(0).to_numpy().astype("<i8")
-                yield pa.RecordBatch.from_pydict({"block": [int(ids[0])], "ratio": [min(some.column(3).to_pylist())], "dims": pa.array([dims], pa.int32()), "ids": [ids.tobytes()], "ints": [_rows(some.column(1), dims).tobytes()], "reach": [some.column(2).to_numpy().astype("<i8").tobytes()]})
+                yield pa.RecordBatch.from_pydict({"block": [int(ids[0])], "ratio": [min(some.column(3).to_pylist())], "dims": pa.array([dims], pa.int32()), "ids": [ids.tobytes()], "ints": [_packed(_rows(some.column(1), dims))], "reach": [some.column(2).to_numpy().astype("<i8").tobytes()]})
 
     parts = max(1, n // 50 // QUERY_ROWS // 4)
     question = asked.repartitionByRange(parts, "ratio", "vec_id").sortWithinPartitions("ratio", "vec_id").mapInArrow(pack_queries, QUERIES)
-    # One row per band, so at most as many as BAND_ROWS goes into the vectors.
     longest = spark.createDataFrame([(b, float(x)) for b, x in reach_of.items()], "band int, reaches double")
-    question = question.withColumn("band", F.explode(F.lit(sorted(reach_of)))).join(longest, "band").filter("reaches >= ratio")
-    pairs = question.select("band", "block", F.col("ids").alias("q_ids"), F.col("ints").alias("q_ints"), "reach").join(blocks, "band")
+    # Blocks are far larger in memory than the planner expects: only the list of bands may be broadcast.
+    question = question.join(F.broadcast(longest), F.col("reaches") >= F.col("ratio"))
+    pairs = question.select("band", "block", F.col("ids").alias("q_ids"), F.col("ints").alias("q_ints"), "reach").join(blocks.hint("merge"), "band")
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         head_turn, rest_turn = turn[:, :HEAD_DIMS], turn[:, HEAD_DIMS:]
         for batch in batches:
             out: list[tuple[int, int, int]] = []
             for q_ids, q_ints, reach, ids, ints in zip(*(batch.column(c).to_pylist() for c in ("q_ids", "q_ints", "reach", "ids", "ints")), strict=True):
-                q_ids, q, reach = np.frombuffer(q_ids, "<i8"), _matrix(q_ints, dims), np.frombuffer(reach, "<i8")
-                ids, c = np.frombuffer(ids, "<i8"), _matrix(ints, dims)
+                q, c = _matrix(q_ints, q_ids, dims), _matrix(ints, ids, dims)
+                q_ids, reach, ids = (np.frombuffer(raw, "<i8") for raw in (q_ids, reach, ids))
                 qf, cf = q.astype(float), c.astype(float)
                 bound = (qf @ head_turn) @ (cf @ head_turn).T + np.outer(np.linalg.norm(qf @ rest_turn, axis=1), np.linalg.norm(cf @ rest_turn, axis=1))
                 slack = 1e-9 * np.outer(np.linalg.norm(qf, axis=1), np.linalg.norm(cf, axis=1)) + 1e-6
